@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from sitemine.llm import line_dedup, mixing
+from sitemine.llm import line_dedup, mixing, simhash
 
 QUERIES = {
     "op5_mixing": mixing.op5_mixing,
     "op7_line_dedup": line_dedup.op7_line_dedup,
+    "op8_simhash": simhash.op8_simhash,
 }
 ORACLES = {
     "op5_mixing": mixing.ORACLE,

@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from sitemine.llm import line_dedup, mixing, simhash
+from sitemine.llm import embedding_dedup, line_dedup, mixing, simhash
 
 QUERIES = {
+    "op2_embedding_dedup": embedding_dedup.op2_embedding_dedup,
     "op5_mixing": mixing.op5_mixing,
     "op7_line_dedup": line_dedup.op7_line_dedup,
     "op8_simhash": simhash.op8_simhash,
 }
 ORACLES = {
+    "op2_embedding_dedup": embedding_dedup.ORACLE,
     "op5_mixing": mixing.ORACLE,
     "op7_line_dedup": line_dedup.ORACLE,
 }

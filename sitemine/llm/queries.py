@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from sitemine.llm import embedding_dedup, line_dedup, mixing, simhash
+from sitemine.llm import embedding_dedup, line_dedup, mixing, mpeg_audio, simhash
 
 QUERIES = {
+    "op1_mpeg_audio": mpeg_audio.op1_mpeg_audio,
     "op2_embedding_dedup": embedding_dedup.op2_embedding_dedup,
     "op5_mixing": mixing.op5_mixing,
     "op7_line_dedup": line_dedup.op7_line_dedup,

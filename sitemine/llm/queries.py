@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
-from sitemine.llm import embedding_dedup, line_dedup, mixing, mpeg_audio, simhash
+from sitemine.llm import chat_format, embedding_dedup, line_dedup, mixing, mpeg_audio, simhash
 
 QUERIES = {
     "op1_mpeg_audio": mpeg_audio.op1_mpeg_audio,
     "op2_embedding_dedup": embedding_dedup.op2_embedding_dedup,
     "op5_mixing": mixing.op5_mixing,
+    "op6_chat_format": chat_format.op6_chat_format,
     "op7_line_dedup": line_dedup.op7_line_dedup,
     "op8_simhash": simhash.op8_simhash,
 }
 ORACLES = {
     "op2_embedding_dedup": embedding_dedup.ORACLE,
     "op5_mixing": mixing.ORACLE,
+    "op6_chat_format": chat_format.ORACLE,
     "op7_line_dedup": line_dedup.ORACLE,
 }

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from sitemine.llm import bpe, chat_format, embedding_dedup, line_dedup, mixing, mpeg_audio, simhash
+from sitemine.llm import bpe, chat_format, embedding_dedup, line_dedup, mixing, mpeg_audio, simhash, url_rules
 
 QUERIES = {
     "op1_mpeg_audio": mpeg_audio.op1_mpeg_audio,
     "op2_embedding_dedup": embedding_dedup.op2_embedding_dedup,
+    "op3_url_rules": url_rules.op3_url_rules,
     "op4_bpe": bpe.op4_bpe,
     "op5_mixing": mixing.op5_mixing,
     "op6_chat_format": chat_format.op6_chat_format,

@@ -26,7 +26,7 @@ from __future__ import annotations
 import hashlib
 import struct
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
 
@@ -298,7 +298,7 @@ def payload_of(data: bytes, audio: Audio) -> bytes:
 def _rows(batches: Iterator[pa.RecordBatch], row, names: list[str]) -> Iterator[pa.RecordBatch]:
     """Batches with columns ``names`` appended; ``row`` maps the last column's value to them."""
     for batch in batches:
-        for part in (batch.slice(i, 256) for i in range(0, batch.num_rows, 256)):
+        for part in (batch.slice(i, 64) for i in range(0, batch.num_rows, 64)):
             made = [row(v) for v in part.column(part.num_columns - 1).to_pylist()]
             kept = list(part.columns[:-1])
             new = [pa.array([m[i] for m in made]) for i in range(len(names))]
@@ -330,13 +330,22 @@ def measure_row(data: bytes | None) -> tuple:
 
 def measure(files: DataFrame, *, media: str = "media") -> DataFrame:
     """``files`` with the stored bytes read back: features, durations, seek offsets, payload."""
+    return _measured(files, media, measure_row)
+
+
+def store_and_measure(docs: DataFrame, *, text: str = "text") -> DataFrame:
+    """``measure(add_audio(docs))`` in one pass: each file is built, read back and let go."""
+    return _measured(docs.withColumn(text, F.col(text).cast("binary")), text, lambda content: measure_row(store(content or b"")))
+
+
+def _measured(files: DataFrame, media: str, row: Callable[[bytes | None], tuple]) -> DataFrame:
     keep = [c for c in files.columns if c != media]
     names = {k: fresh_name(files.select(*keep), k) for k in MEASURES}
     schema = ", ".join([*(f"`{c}` {t}" for c, t in files.select(*keep).dtypes), *(f"`{names[k]}` {t}" for k, t in MEASURES.items())])
     typed = pa.list_(pa.int64())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for out in _rows(batches, measure_row, list(names.values())):
+        for out in _rows(batches, row, list(names.values())):
             yield out.set_column(out.schema.get_field_index(names["seek_offsets"]), names["seek_offsets"], out.column(names["seek_offsets"]).cast(typed))
 
     return files.select(*keep, media).mapInArrow(run, schema)
@@ -344,7 +353,7 @@ def measure(files: DataFrame, *, media: str = "media") -> DataFrame:
 
 def op1_mpeg_audio(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    read = measure(add_audio(docs))
+    read = store_and_measure(docs)
     size = F.length("payload").cast("long")
     return read.select(
         "doc_id",

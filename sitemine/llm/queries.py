@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from sitemine.llm import bpe, chat_format, embedding_dedup, line_dedup, mixing, mpeg_audio, simhash, url_rules
+from sitemine.llm import bpe, chat_format, embedding_dedup, language_id, line_dedup, mixing, mpeg_audio, quality_lm, simhash, url_rules
 
 QUERIES = {
     "op1_mpeg_audio": mpeg_audio.op1_mpeg_audio,
@@ -13,6 +13,8 @@ QUERIES = {
     "op6_chat_format": chat_format.op6_chat_format,
     "op7_line_dedup": line_dedup.op7_line_dedup,
     "op8_simhash": simhash.op8_simhash,
+    "op9_quality_lm": quality_lm.op9_quality_lm,
+    "op10_language_id": language_id.op10_language_id,
 }
 ORACLES = {
     "op2_embedding_dedup": embedding_dedup.ORACLE,

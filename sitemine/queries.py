@@ -1,6 +1,8 @@
-"""Registry of the core queries."""
+"""Registry of the core queries and the SQL that must give the same rows."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from sitemine.workloads import itemsets
+
+QUERIES = {**itemsets.QUERIES}
+ORACLES = {**itemsets.ORACLES}

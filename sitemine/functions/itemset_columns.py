@@ -7,6 +7,7 @@ from itertools import combinations
 
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 
@@ -33,7 +34,7 @@ def contains(items: Column, itemset: Column) -> Column:
     return F.size(F.array_intersect(items, itemset)) == F.size(itemset)
 
 
-@udtf(returnType="itemset array<int>")
+@udtf(returnType=T.StructType([T.StructField("itemset", T.ArrayType(T.IntegerType()))]))
 class ItemsetSubsets:
     """itemset_subsets(items, z): a row for each z-subset, for lateral joins in SQL."""
 

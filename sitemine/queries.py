@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from sitemine.workloads import itemsets
+from sitemine.workloads import clustering, costs, itemsets
 
-QUERIES = {**itemsets.QUERIES}
-ORACLES = {**itemsets.ORACLES}
+QUERIES = {**itemsets.QUERIES, **clustering.QUERIES, **costs.QUERIES}
+ORACLES = {**itemsets.ORACLES, **clustering.ORACLES, **costs.ORACLES}

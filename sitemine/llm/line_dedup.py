@@ -52,16 +52,17 @@ def drop_frequent_lines(
     docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", min_docs: int = MIN_DOCS, min_chars: int = MIN_CHARS
 ) -> DataFrame:
     """``docs`` with ``text`` reassembled, plus ``n_lines`` and ``n_dropped`` (renamed if taken)."""
+    hit_id = fresh_name(docs, "hit_id")
     frequent = materialise(frequent_keys(docs, text=text, min_docs=min_docs, min_chars=min_chars).select("key"))
     hits = (
-        docs.select(F.col(id_col).alias("hit_id"), F.explode(F.array_distinct(_hashes(F.col(text), min_chars))).alias("key"))
+        docs.select(F.col(id_col).alias(hit_id), F.explode(F.array_distinct(_hashes(F.col(text), min_chars))).alias("key"))
         .join(broadcast_if_small(frequent), "key", "left_semi")
-        .groupBy("hit_id")
+        .groupBy(hit_id)
         .agg(F.collect_set("key").alias("gone"))
     )
     n_lines, n_dropped, gone = (fresh_name(docs, x) for x in ("n_lines", "n_dropped", "gone"))
     hits = hits.withColumnRenamed("gone", gone)
-    joined = docs.join(hits, docs[id_col].eqNullSafe(hits["hit_id"]), "left").drop("hit_id")
+    joined = docs.join(hits, F.col(id_col).eqNullSafe(F.col(hit_id)), "left").drop(hit_id)
     lines = lines_of(F.col(text))
     kept = F.filter(lines, lambda x: ~F.array_contains(F.col(gone), key_hash(line_key(x))))
     clean = F.col(gone).isNull()

@@ -18,7 +18,7 @@ probability, drawn towards the model's mean as if ``PRIOR`` average characters w
 added, so a short text needs more than one odd word to fall.  It is kept unless its
 surprise exceeds the ``quantile`` of trusted documents in its model.
 
-Defined cases: null or empty text is kept (only its end is scored); null languages use
+Defined cases: null or empty text is kept, with null perplexity; null languages use
 the pooled model; without trusted documents everything is kept, with null perplexity;
 null ids are scored and never trusted; repeated rows are scored alike; other columns
 pass through; an empty table gives an empty table.
@@ -196,7 +196,10 @@ def dense_surprise(model: dict) -> np.ndarray:
 
 
 def score(docs: DataFrame, models: dict[str, dict], alphabet: np.ndarray, *, id_col: str, text: str, lang: str, prior: float = PRIOR) -> DataFrame:
-    """(id, model, perplexity, surprise), one row per row of ``docs``."""
+    """(id, model, perplexity, surprise, pooled), one row per row of ``docs``.
+
+    ``pooled`` is the surprise under the model of all languages.
+    """
     kind = dict(docs.dtypes)[id_col]
     shared = docs.sparkSession.sparkContext.broadcast((models, alphabet))
 
@@ -205,18 +208,24 @@ def score(docs: DataFrame, models: dict[str, dict], alphabet: np.ndarray, *, id_
         table = class_table(alphabet)
         dense = lru_cache(8)(lambda name: dense_surprise(models[name]))
         for batch in batches:
-            names, plain, drawn = [], [], []
+            names, plain, drawn, pooled = [], [], [], []
             for name, text in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 name = name if name in models else POOLED
-                codes = trigrams(table[_points(text or "")])
-                total = float(dense(name)[codes].sum(dtype=np.float64))
                 names.append(name)
-                plain.append(float(np.exp(total / len(codes))))
-                drawn.append((total + prior * models[name]["mean"]) / (len(codes) + prior))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(plain, pa.float64()), pa.array(drawn, pa.float64())], names=["id", "model", "perplexity", "surprise"])
+                codes = trigrams(table[_points(text)]) if text else None
+                values = []
+                for each in (name, POOLED):
+                    total = float(dense(each)[codes].sum(dtype=np.float64)) if text else 0.0
+                    values.append((total, (total + prior * models[each]["mean"]) / ((len(codes) if text else 0) + prior)))
+                plain.append(float(np.exp(values[0][0] / len(codes))) if text else None)
+                drawn.append(values[0][1])
+                pooled.append(values[1][1])
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), pa.array(names, pa.string()), *(pa.array(v, pa.float64()) for v in (plain, drawn, pooled))], names=["id", "model", "perplexity", "surprise", "pooled"]
+            )
 
     rows = docs.select(F.col(id_col).alias("id"), model_of(F.col(lang).cast("string")).alias("model"), F.col(text).alias("text"))
-    return rows.mapInArrow(run, f"id {kind}, model string, perplexity double, surprise double")
+    return rows.mapInArrow(run, f"id {kind}, model string, perplexity double, surprise double, pooled double")
 
 
 def judge(
@@ -231,14 +240,13 @@ def judge(
         missing = [F.lit(None).cast("double").alias(c) for c in ("perplexity", "surprise", "threshold")]
         return docs.select(F.col(id_col).alias("id"), F.lit(POOLED).alias("model"), *missing, F.lit(True).alias("keep"))
     scored = materialise(score(docs, kneser_ney(tri), alphabet, id_col=id_col, text=text, lang=lang, prior=prior))
-    # a language's own documents set its threshold, all trusted ones that of the pooled model
+    # a language's own documents set its threshold, all trusted ones under the pooled model that of the rest
     seen = scored.join(trusted, scored["id"] == F.col("doc_id"), "left_semi")
-    cuts = seen.groupBy("model").agg(F.percentile_approx("surprise", quantile, 10_000).alias("threshold"))
-    pooled = seen.agg(F.percentile_approx("surprise", quantile, 10_000).alias("pooled"))
-    bounded = F.broadcast(materialise(cuts))  # a row per language
-    joined = scored.join(bounded, "model", "left").crossJoin(F.broadcast(materialise(pooled)))
-    threshold = F.coalesce("threshold", "pooled")
-    return joined.select("id", "model", "perplexity", "surprise", threshold.alias("threshold"), (F.col("surprise") <= threshold).alias("keep"))
+    cuts = seen.where(F.col("model") != POOLED).groupBy("model").agg(F.percentile_approx("surprise", quantile, 10_000).alias("threshold"))
+    rest = seen.agg(F.lit(POOLED).alias("model"), F.percentile_approx("pooled", quantile, 10_000).alias("threshold"))
+    bounded = F.broadcast(materialise(cuts.union(rest)))  # a row per language
+    joined = scored.join(bounded, "model", "left")
+    return joined.select("id", "model", "perplexity", "surprise", "threshold", F.coalesce(F.col("surprise") <= F.col("threshold"), F.lit(True)).alias("keep"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:

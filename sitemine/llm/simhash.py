@@ -37,6 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sitemine.llm.buckets import deal, runs
+from sitemine.llm.common import fresh_name
 from sitemine.llm.components import connected_components
 from sitemine.session import broadcast_if_small, materialise
 
@@ -49,6 +50,8 @@ SIMILARITY = 0.8
 WORDS = 4
 RECALL = 0.9
 _CHUNK = 65_536
+#: Ids (eight bytes each) that a broadcast may hold.
+ID_ROWS = 4_000_000
 
 
 def shingle_hashes(text: bytes, shingle: int) -> np.ndarray:
@@ -246,10 +249,11 @@ def drop_near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str =
 
     Rows that repeat the id that stays are reduced to one; rows with a null id stay.
     """
-    groups = materialise(similar_texts(docs, id_col=id_col, text=text).select(F.col("id").alias("dup_id"), "component_id"))
-    gone = groups.where(F.col("dup_id") != F.col("component_id")).select("dup_id")
-    kept = docs.join(broadcast_if_small(gone), docs[id_col] == F.col("dup_id"), "left_anti")
-    repeated = groups.where(F.col("dup_id").isNotNull()).groupBy("dup_id").count().where("count > 1")
+    own = fresh_name(docs, "dup_id")
+    groups = materialise(similar_texts(docs, id_col=id_col, text=text).select(F.col("id").alias(own), "component_id"))
+    gone = groups.where(F.col(own) != F.col("component_id")).select(own)
+    kept = docs.join(broadcast_if_small(gone, ID_ROWS), F.col(id_col) == F.col(own), "left_anti")
+    repeated = groups.where(F.col(own).isNotNull()).groupBy(own).count().where("count > 1")
     if repeated.isEmpty():
         return kept
     return kept.where(F.col(id_col).isNotNull()).dropDuplicates([id_col]).unionByName(kept.where(F.col(id_col).isNull()))

@@ -12,6 +12,9 @@ from their tables, the others scan baskets already cut to the items asked for.
 
 from __future__ import annotations
 
+import time
+from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 from fractions import Fraction
 
@@ -42,6 +45,25 @@ class MineResult:
         return self.itemsets.sparkSession.createDataFrame(rows, "pass int, requested long, passed long, failed long")
 
 
+class Clock:
+    """Seconds by part of a run; jobs inside a part carry its name as their job group."""
+
+    def __init__(self, spark, prefix: str):
+        self.spark, self.prefix, self.seconds = spark, prefix, {}
+
+    @contextmanager
+    def part(self, name: str) -> Iterator[None]:
+        context = self.spark.sparkContext
+        outer = context.getLocalProperty("spark.jobGroup.id")
+        context.setLocalProperty("spark.jobGroup.id", f"{self.prefix}:{name}")
+        began = time.perf_counter()
+        try:
+            yield
+        finally:
+            self.seconds[name] = self.seconds.get(name, 0.0) + time.perf_counter() - began
+            context.setLocalProperty("spark.jobGroup.id", outer)
+
+
 def global_minimum(n: int, share: float | str | Fraction) -> int:
     f = as_fraction(share)
     return max(1, -(-n * f.numerator // f.denominator))
@@ -87,18 +109,22 @@ def latesync_mine(
     n = baskets.count()
     sites = materialise(baskets.select("site").distinct())
     least = global_minimum(n, min_support)
-    local = materialise(local_apriori(baskets, k, local_support or min_support, engine=engine))
+    spark = baskets.sparkSession
+    clock = Clock(spark, "latesync")
+    with clock.part("local"):
+        local = materialise(local_apriori(baskets, k, local_support or min_support, engine=engine))
     top = max([1, *sizes_of(local)])
     k = k or top
-    front = materialise(first_frontier(local, frontier, k))
-    spark = baskets.sparkSession
+    with clock.part("frontier"):
+        front = materialise(first_frontier(local, frontier, k))
     asked = spark.createDataFrame([], "itemset array<int>, support long")
     log = spark.createDataFrame([], "pass int, site int, itemset array<int>")
     passed, passes, closed = asked, [], asked.select("itemset")
     while not front.isEmpty():
         now = materialise(front.select("itemset").distinct())
         sizes = sizes_of(now)
-        counts = remote_support(baskets, now, local, sites, sizes, known_counts=known_counts, engine=engine)
+        with clock.part("remote"):
+            counts = remote_support(baskets, now, local, sites, sizes, known_counts=known_counts, engine=engine)
         good, bad = split_global(counts, least)
         log = log.union(front.select(F.lit(len(passes) + 1).alias("pass"), "site", "itemset"))
         asked = materialise(asked.union(counts))
@@ -108,8 +134,9 @@ def latesync_mine(
         if frontier == "bottom_up":
             front = materialise(_ascend(local, good, sizes[0] + 1))
             continue
-        closed = materialise(close_down(passed, k))
-        front = materialise(descend(front, bad, closed, asked)) if frontier != "all" else front.limit(0)
+        with clock.part("frontier"):
+            closed = materialise(close_down(passed, k))
+            front = materialise(descend(front, bad, closed, asked)) if frontier != "all" else front.limit(0)
     if frontier == "bottom_up":
         closed = passed.select("itemset")
     answer = materialise(closed.distinct())
@@ -119,10 +146,11 @@ def latesync_mine(
         unknown = materialise(known.where(F.col("support").isNull()).select("itemset"))
         if not unknown.isEmpty():
             support_passes = 1
-            more = remote_support(baskets, unknown, local, sites, sizes_of(unknown), known_counts=known_counts, engine=engine)
+            with clock.part("remote"):
+                more = remote_support(baskets, unknown, local, sites, sizes_of(unknown), known_counts=known_counts, engine=engine)
             known = asked.union(more).join(answer, "itemset", "left_semi")
     result = materialise(known.select("itemset", F.size("itemset").alias("size"), "support"))
-    counters = {"baskets": n, "minimum": least, "passes": len(passes), "support_passes": support_passes, "requested": sum(p["requested"] for p in passes)}
+    counters = {"baskets": n, "minimum": least, "passes": len(passes), "support_passes": support_passes, "requested": sum(p["requested"] for p in passes), "seconds": clock.seconds}
     return MineResult(result, local, materialise(log), passes, counters)
 
 

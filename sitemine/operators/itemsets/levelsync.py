@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sitemine.functions.itemset_columns import drop_one
-from sitemine.operators.itemsets.latesync import MineResult, global_minimum, remote_support, split_global
+from sitemine.operators.itemsets.latesync import Clock, MineResult, global_minimum, remote_support, split_global
 from sitemine.operators.itemsets.local import local_apriori
 from sitemine.session import materialise
 
@@ -40,6 +40,7 @@ def levelsync_mine(
     sites = materialise(baskets.select("site").distinct())
     least = global_minimum(n, min_support)
     spark = baskets.sparkSession
+    clock = Clock(spark, "levelsync")
     state: dict = {"passes": [], "found": spark.createDataFrame([], "itemset array<int>, support long"), "log": spark.createDataFrame([], "pass int, site int, itemset array<int>"), "pruned": 0}
 
     def settle(level: DataFrame, z: int) -> DataFrame:
@@ -54,7 +55,8 @@ def levelsync_mine(
             state["pruned"] -= asked
         if not asked:
             return level
-        counts = remote_support(baskets, now, level, sites, [z], known_counts=known_counts, engine=engine)
+        with clock.part("remote"):
+            counts = remote_support(baskets, now, level, sites, [z], known_counts=known_counts, engine=engine)
         good, _ = split_global(counts, least)
         if "upper" in pruning:
             state["by_site"] = materialise(_counts_by_site(baskets, good, z, engine))
@@ -64,10 +66,13 @@ def levelsync_mine(
         state["passes"].append({"pass": z, "requested": asked, "passed": passed, "failed": asked - passed, "sizes": [z]})
         return materialise(level.join(good.select("itemset"), "itemset", "left_semi").select("site", "itemset", "cnt"))
 
-    local = local_apriori(baskets, k, min_support, engine=engine, keep=settle)
+    with clock.part("all"):
+        local = local_apriori(baskets, k, min_support, engine=engine, keep=settle)
+    clock.seconds["local"] = clock.seconds.pop("all") - clock.seconds.get("remote", 0.0)
     found = materialise(state["found"].select("itemset", F.size("itemset").alias("size"), "support"))
     counters = {
         "baskets": n, "minimum": least, "passes": len(state["passes"]), "requested": sum(p["requested"] for p in state["passes"]), "upper_pruned": state["pruned"],
+        "seconds": clock.seconds,
     }
     return MineResult(found, local, materialise(state["log"]), state["passes"], counters)
 

@@ -12,6 +12,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from sitemine.functions.merge_columns import merge_np
@@ -110,6 +111,11 @@ def label_stream(points: DataFrame, centers: DataFrame, labels: DataFrame) -> Da
     return assign(points, centers).join(F.broadcast(labels), ["site", "local_id"])
 
 
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that a finished or running query has dropped for being behind the watermark."""
+    return sum(int(op.numRowsDroppedByWatermark) for progress in query.recentProgress for op in progress.stateOperators)
+
+
 def as_of_version(points: DataFrame, versions: DataFrame) -> DataFrame:
     """``points`` (ts, ...) with the latest version (from_ts, version) at or before their time."""
     gathered = versions.groupBy().agg(F.array_sort(F.collect_list(F.struct("from_ts", "version"))).alias("all"))

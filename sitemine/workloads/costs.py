@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import time
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -11,10 +14,13 @@ from sitemine.operators.clustering.stats import sub_stats
 from sitemine.operators.itemsets import baskets as B
 from sitemine.operators.itemsets.latesync import latesync_mine
 from sitemine.operators.itemsets.levelsync import levelsync_mine
+from sitemine.operators.itemsets.views import mine_view
 from sitemine.plans import cost
-from sitemine.session import table
+from sitemine.session import drop_shared, ensure_checkpoint_dir, table
 from sitemine.streaming import baskets as S
+from sitemine.workflow.dag import Dag
 from sitemine.workloads import inputs
+from sitemine.workloads.itemsets import itemset_sql
 
 SIZES = (1_000, 10_000, 100_000, 1_000_000)
 
@@ -67,6 +73,39 @@ def miner_traffic(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(out, "miner string, polling string, passes long, requested long, messages long, bytes long, transfer_seconds double")
 
 
+def time_shares(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of both miners by part, and what remote counting takes of the whole."""
+    baskets, _ = B.from_rows(inputs.brand_rows(spark, sf_dir))
+    out = []
+    for name, miner in (("late", latesync_mine), ("level", levelsync_mine)):
+        seconds = miner(baskets, min_support="0.005").counters["seconds"]
+        total = sum(seconds.values())
+        out += [(name, part, round(s, 4), round(s / total, 4)) for part, s in sorted(seconds.items())]
+    return spark.createDataFrame(out, "miner string, part string, seconds double, share double")
+
+
+def workflow_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of an empty job and of a workflow of two small jobs, launch to first job and in all."""
+    ensure_checkpoint_dir(spark)
+    path = f"{spark.sparkContext.getCheckpointDir()}/workflow-{uuid.uuid4().hex}"
+    began = time.time()
+    spark.range(1).count()
+    empty = time.time() - began
+    began = time.time()
+    dag = Dag(path).add("first", lambda s: s.range(10)).add("second", lambda s, first: first.groupBy().count(), after=["first"])
+    _, info = dag.run(spark)
+    rows = [("empty_job", empty), ("workflow_to_first_job", info.times["first"][0] - began), ("workflow", time.time() - began)]
+    drop_shared(spark, path)
+    return spark.createDataFrame(rows, "what string, seconds double")
+
+
+def sql_mining(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The miner from a view to a view, for use from SQL."""
+    inputs.attribute_rows(spark, sf_dir).createOrReplaceTempView("attribute_rows")
+    mine_view(spark, "attribute_rows", "attribute_sets", k=3, min_support="0.1")
+    return spark.sql("select size, count(*) as n, max(support) as top from attribute_sets group by size")
+
+
 def clustering_traffic(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What the sites send to the merging site, and the choice of that site."""
     s = sub_stats(kmeans_multi(inputs.part_points(spark, sf_dir), 4, iterations=2), d=2)
@@ -133,6 +172,9 @@ QUERIES = {
     "stage_counts": stage_counts,
     "stagemax_model": stagemax_model,
     "miner_traffic": miner_traffic,
+    "time_shares": time_shares,
+    "workflow_latency": workflow_latency,
+    "sql_mining": sql_mining,
     "clustering_traffic": clustering_traffic,
     "tumbling_support": tumbling_support,
     "sliding_support": sliding_support,
@@ -144,6 +186,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "sql_mining": f"select size, count(*)::bigint as n, max(support)::bigint as top from ({itemset_sql(inputs.ATTRIBUTE_SQL, '0.1', 3)}) group by size",
     "link_worst_transfer": f"""select s as bytes, round(max(ms / 1000 + s * 8 / (mbit * 1000000)), 6) as seconds
         from (select unnest([1000, 10000, 100000, 1000000])::bigint as s), (select col2::double as mbit, col3::double as ms from (values {_LINK_VALUES}) v(col0, col1, col2, col3)) group by s""",
     "link_matrix": "select src::bigint as src, " + ", ".join(f"coalesce(max(m) filter (where dst = {i}), -1)::double as to_{i}" for i in range(1, 6)) + f" from (values {_LINK_VALUES}) v(src, dst, m, ms) group by src",

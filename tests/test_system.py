@@ -189,6 +189,32 @@ def test_stream_summaries_and_remerge(spark, sf, tmp_path):
     assert seen == [updates.count()]
 
 
+def test_late_rows_are_dropped_and_counted(spark, sf, tmp_path):
+    folder = tmp_path / "late"
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    cut = events.agg(F.expr("percentile(unix_timestamp(ts), 0.5)")).first()[0]
+    late = F.unix_timestamp("ts") < cut
+    for part in (events.where(~late), events.where(late), events.where(~late).limit(1)):
+        part.coalesce(1).write.mode("append").parquet(str(folder))
+    # files in the order of their writing: the earlier half of time arrives second
+    live = S.event_stream(spark, str(folder))
+    df = S.stream_support(live)
+    query = df.writeStream.format("memory").queryName("late").outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    query.awaitTermination(120)
+    assert S.late_rows(query) > 0
+    kept = spark.table("late").agg(F.sum("support")).first()[0] or 0
+    assert kept + S.late_rows(query) <= events.count() + 1
+
+
+def test_stream_labels(spark, tmp_path):
+    points = spark.createDataFrame([(0, 1, [0.1]), (0, 2, [9.0])], "site int, point_id long, features array<double>")
+    points.write.parquet(str(tmp_path / "p"))
+    centers = spark.createDataFrame([(0, 0, [0.0]), (0, 1, [10.0])], "site int, local_id int, center array<double>")
+    labels = spark.createDataFrame([(0, 0, 7), (0, 1, 8)], "site int, local_id int, global_id int")
+    live = S.label_stream(spark.readStream.schema(points.schema).parquet(str(tmp_path / "p")), centers, labels)
+    assert {r.point_id: r.global_id for r in drain(live, "append", "labelled", tmp_path).collect()} == {1: 7, 2: 8}
+
+
 def test_versions_as_of(spark):
     points = spark.createDataFrame([(1, 5), (2, 15), (3, 1)], "id int, ts int")
     versions = spark.createDataFrame([(2, "a"), (10, "b")], "from_ts int, version string")

@@ -35,7 +35,7 @@ def test_links_and_model(spark):
     times = cost.stage_times(spark, [("r", "a", 0, 1.0), ("r", "a", 1, 3.0), ("r", "remote", 0, 2.0)])
     assert cost.stagemax(times, 0.5).first().est_seconds == 5.5
     assert cost.share(times, "remote").first().share == pytest.approx(1 / 3)
-    assert [round(cost.overhead(e, m), 3) for _, m, e in cost.PUBLISHED] == [0.981, 0.186, 0.246]
+    assert [round(cost.overhead(e, m), 3) for _, m, e in cost.BASELINE] == [0.981, 0.186, 0.246]
     assert cost.stage_count("levelsync", 4) == 9 and cost.compute_share(1, 1, 100) == 0.02
     assert cost.nodes(spark).agg(F.sum("nodes")).first()[0] == 438
     sizes = spark.createDataFrame([(i, 1000) for i in range(1, 6)], "site int, bytes long")

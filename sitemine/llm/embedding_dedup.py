@@ -171,7 +171,7 @@ def near_duplicates(
     groups = materialise(
         rows.where(F.col("vector").isNotNull())
         .groupBy("vector")
-        .agg(F.min("vec_id").alias("node"), F.count("*").alias("copies"))
+        .agg(F.min("vec_id").cast("long").alias("node"), F.count("*").alias("copies"))
     )
     n = groups.count()
     bits, tables = lsh_shape(n, threshold, recall)

@@ -42,12 +42,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from sitemine.llm.common import fresh_name
+from sitemine.llm.common import bounded_batches, fresh_name
 
 PIECE = 65_536
 #: Symbols of a word that are merged in one go; longer words are joined from halves.
 LEAF = 256
-CACHE = 150_000
+CACHE = 120_000
 _SUFFIX = "</w>"
 
 # Latin text needs no normalisation but lower case, and a plain pattern splits it.
@@ -168,6 +168,7 @@ class Bpe:
         for token, i in self.library.get_vocab().items():
             self.names[i] = token
         self.ends = np.array([n.endswith(_SUFFIX) for n in self.names])
+        self.ints = list(range(len(self.names)))  # one object an id, shared by all cached words
         self.cache: dict[str, tuple[int, ...]] = {}
         self.old: dict[str, tuple[int, ...]] = {}
 
@@ -208,10 +209,11 @@ class Bpe:
         if short:
             ids = self.library.encode(" ".join(short), add_special_tokens=False).ids
             cuts = np.flatnonzero(self.ends[ids]) + 1
+            one = self.ints.__getitem__
             if len(cuts) == len(short):
                 at = 0
                 for w, cut in zip(short, cuts.tolist(), strict=True):
-                    self.cache[w] = tuple(ids[at:cut])
+                    self.cache[w] = tuple(map(one, ids[at:cut]))
                     at = cut
             else:
                 for w in short:
@@ -319,7 +321,7 @@ def _schema(df: DataFrame, more: str) -> str:
 def encode(docs: DataFrame, *, text: str = "text", path: str | None = None, piece: int = PIECE) -> DataFrame:
     """``docs`` without ``text``, plus ``ids`` array<int> (renamed if taken)."""
     path = path or default_path()
-    keep = docs.drop(text)
+    keep = bounded_batches(docs).drop(text)
     ids = fresh_name(keep, "ids")
     body = F.coalesce(F.col(text), F.lit(""))
 
@@ -408,7 +410,7 @@ def _encode_long(docs: DataFrame, text: str, ids: str, path: str, piece: int) ->
 def decode(encoded: DataFrame, *, ids: str = "ids", text: str = "decoded", path: str | None = None) -> DataFrame:
     """``encoded`` plus the library's decoding of ``ids``, special tokens included."""
     path = path or default_path()
-    text = fresh_name(encoded, text)
+    text = fresh_name(bounded_batches(encoded), text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = load(path)

@@ -27,3 +27,17 @@ def fresh_name(df: DataFrame, stem: str) -> str:
 
 def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
+
+
+#: Rows of one Arrow batch between Spark and Python: texts may be long, and a batch is held whole on both sides.
+BATCH_ROWS = 1000
+
+
+def bounded_batches(df: DataFrame) -> DataFrame:
+    """``df``, its session held to batches of at most ``BATCH_ROWS`` rows (a setting that may change at run time)."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    conf = df.sparkSession.conf
+    now = int(conf.get(name))
+    if now <= 0 or now > BATCH_ROWS:
+        conf.set(name, BATCH_ROWS)
+    return df

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sitemine.llm.common import fresh_name
+from sitemine.llm.common import bounded_batches, fresh_name
 from sitemine.session import broadcast_if_small, materialise
 
 CLASSES = 128
@@ -133,7 +133,7 @@ def _alphabet(sample: DataFrame) -> np.ndarray:
 
 
 def train(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang: str = "lang", max_rows: int = MAX_ROWS, landmarks: int = LANDMARKS, ridge: float = RIDGE) -> Model:
-    sample = sample_rows(docs, id_col=id_col, text=text, lang=lang, max_rows=max_rows)
+    sample = sample_rows(bounded_batches(docs), id_col=id_col, text=text, lang=lang, max_rows=max_rows)
     alphabet = _alphabet(sample)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -174,7 +174,7 @@ def train(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang:
 
 def predict(docs: DataFrame, model: Model, *, text: str = "text") -> DataFrame:
     """``docs`` without ``text``, plus lang_pred and score (renamed if taken)."""
-    keep = docs.drop(text)
+    keep = bounded_batches(docs).drop(text)
     names = [fresh_name(keep, "lang_pred"), fresh_name(keep, "score")]
     shared = docs.sparkSession.sparkContext.broadcast(model)
     schema = ", ".join([*(f"`{c}` {t}" for c, t in keep.dtypes), f"`{names[0]}` string, `{names[1]}` double"])

@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sitemine.llm.common import fresh_name
+from sitemine.llm.common import bounded_batches, fresh_name
 
 BLOCK = 576
 #: Frames between entries of the seek table.
@@ -308,7 +308,7 @@ def _rows(batches: Iterator[pa.RecordBatch], row, names: list[str]) -> Iterator[
 def add_audio(docs: DataFrame, *, text: str = "text", media: str = "media") -> DataFrame:
     """``docs`` with the MPEG audio file of each text as a binary column, in the text's place."""
     keep = [c for c in docs.columns if c != text]
-    rows = docs.select(*keep, F.col(text).cast("binary").alias(media))
+    rows = bounded_batches(docs).select(*keep, F.col(text).cast("binary").alias(media))
     return rows.mapInArrow(lambda batches: _rows(batches, lambda v: (store(v or b""),), [media]), rows.schema)
 
 
@@ -339,7 +339,7 @@ def store_and_measure(docs: DataFrame, *, text: str = "text") -> DataFrame:
 
 
 def _measured(files: DataFrame, media: str, row: Callable[[bytes | None], tuple]) -> DataFrame:
-    keep = [c for c in files.columns if c != media]
+    keep = [c for c in bounded_batches(files).columns if c != media]
     names = {k: fresh_name(files.select(*keep), k) for k in MEASURES}
     schema = ", ".join([*(f"`{c}` {t}" for c, t in files.select(*keep).dtypes), *(f"`{names[k]}` {t}" for k, t in MEASURES.items())])
     typed = pa.list_(pa.int64())

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sitemine.llm.common import fresh_name
+from sitemine.llm.common import bounded_batches, fresh_name
 from sitemine.session import broadcast_if_small, materialise
 
 CLASSES = 128
@@ -233,7 +233,7 @@ def judge(
 ) -> DataFrame:
     """(id, model, perplexity, surprise, threshold, keep), one row per row of ``docs``."""
     trusted = broadcast_if_small(materialise(trusted_ids(labels)), ID_ROWS)
-    good = docs.select(F.col(id_col).alias("doc_id"), F.col(lang).cast("string").alias("lang"), F.col(text).alias("text")).join(trusted, "doc_id", "left_semi")
+    good = bounded_batches(docs).select(F.col(id_col).alias("doc_id"), F.col(lang).cast("string").alias("lang"), F.col(text).alias("text")).join(trusted, "doc_id", "left_semi")
     alphabet = alphabet_of(good.select("text"))
     tri = count_trigrams(good, alphabet)
     if tri.isEmpty():

@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from sitemine.llm.buckets import deal, runs
-from sitemine.llm.common import fresh_name
+from sitemine.llm.common import bounded_batches, fresh_name
 from sitemine.llm.components import connected_components
 from sitemine.session import broadcast_if_small, materialise
 
@@ -120,7 +120,7 @@ def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text",
                 columns = [pa.array(np.array([m[i] for m in made], np.uint64).view(np.int64)) for i in range(words)]
                 yield pa.RecordBatch.from_arrays([part.column(0), *columns], names=["id", *names])
 
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text).cast("binary").alias("text"))
+    rows = bounded_batches(docs).select(F.col(id_col).alias("id"), F.col(text).cast("binary").alias("text"))
     return rows.mapInArrow(run, f"id {kind}, " + ", ".join(f"{n} long" for n in names))
 
 

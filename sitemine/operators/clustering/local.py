@@ -9,10 +9,11 @@ points with the lowest ids of a site, so runs agree whatever the partitioning.
 
 from __future__ import annotations
 
-from collections.abc import Callable, Mapping
+from collections.abc import Callable, Iterator, Mapping
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -23,6 +24,9 @@ from sitemine.session import materialise
 ITERATIONS = 10
 #: Points of a site that one task may hold (``local_cluster``).
 MAX_SITE_ROWS = 2_000_000
+#: Numbers in the centres of a site from which matrix products pay, and in all centres up to which they may be held.
+MATRIX_FROM = 64
+MATRIX_TO = 4_000_000
 
 KLocal = int | Mapping[int, int]
 
@@ -66,12 +70,42 @@ def _lowest_ids(points: DataFrame, most: int) -> DataFrame:
 
 
 def assign(points: DataFrame, centers: DataFrame) -> DataFrame:
-    """``points`` plus local_id: the nearest centre of the point's site, lowest id among equals."""
+    """``points`` plus local_id: the nearest centre of the point's site, lowest id among equals.
+
+    Few numbers per point are compared by column expressions; many, as long as all centres
+    together are bounded, by matrix products over Arrow batches.
+    """
+    size = centers.agg(F.count("*").alias("rows"), F.max(F.size("center")).alias("d"), F.count_distinct("site").alias("sites")).first()
+    numbers = (size.rows or 0) * (size.d or 0)
+    if size.sites and numbers / size.sites > MATRIX_FROM and numbers <= MATRIX_TO:
+        return _assign_by_matrix(points, centers)
     gathered = centers.groupBy("site").agg(F.array_sort(F.collect_list(F.struct("local_id", "center"))).alias("centers"))
     near = F.array_min(F.transform("centers", lambda c: F.struct(squared_distance(F.col("features"), c["center"]).alias("d"), c["local_id"].alias("local_id"))))
     return points.join(F.broadcast(gathered), "site").withColumn("local_id", near["local_id"]).drop("centers")
 
 
+def _assign_by_matrix(points: DataFrame, centers: DataFrame) -> DataFrame:
+    held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+    for r in centers.orderBy("site", "local_id").collect():
+        held.setdefault(r.site, []).append((r.local_id, r.center))
+    held = {site: (np.array([i for i, _ in rows], np.int32), np.array([c for _, c in rows])) for site, rows in held.items()}
+    shared = points.sparkSession.sparkContext.broadcast(held)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sites = batch.column("site").to_numpy(zero_copy_only=False)
+            x = batch.column("features").flatten().to_numpy().reshape(batch.num_rows, -1)
+            labels = np.zeros(batch.num_rows, np.int32)
+            for site in np.unique(sites):
+                ids, c = shared.value[int(site)]
+                own = sites == site
+                labels[own] = ids[((c * c).sum(axis=1) - 2 * x[own] @ c.T).argmin(axis=1)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(labels)], names=[*batch.schema.names, "local_id"])
+
+    schema = ", ".join([*(f"`{c}` {t}" for c, t in points.dtypes), "local_id int"])
+    return points.join(F.broadcast(centers.select("site").distinct()), "site", "left_semi").mapInArrow(run, schema)
+
+
 def kmeans_multi(points: DataFrame, k_local: KLocal = 20, *, iterations: int = ITERATIONS, tolerance: float = 0.0) -> DataFrame:
     """``points`` plus local_id after at most ``iterations`` Lloyd steps at every site.
 

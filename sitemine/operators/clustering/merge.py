@@ -15,8 +15,6 @@ increase.  Three engines:
 
 from __future__ import annotations
 
-import heapq
-
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -42,73 +40,67 @@ def merge_bound(substats: DataFrame, factor: float = 2.0, variance: str = "scatt
 
 
 class Merger:
-    """The greedy loop over summaries held in arrays."""
+    """The greedy loop over summaries held in arrays.
+
+    Every group keeps its best feasible partner of a higher index; a merge costs one pass
+    over the groups and a new search for those whose partner is gone.
+    """
 
     def __init__(self, n, center, scatter, site, limit, *, bound, pick, variance, scope, distance, same_site):
-        self.n, self.c, self.v = (np.asarray(x, float) for x in (n, center, scatter))
-        self.site, self.limit = np.asarray(site), np.asarray(limit, float)
+        self.n, self.c, self.v = (np.array(x, float) for x in (n, center, scatter))
+        self.site, self.limit = np.asarray(site), np.array(limit, float)
         self.bound, self.pick, self.variance, self.scope, self.distance, self.same_site = bound, pick, variance, scope, distance, same_site
-        self.alive = np.ones(len(self.n), bool)
-        self.members = [[i] for i in range(len(self.n))]
-        self.best: list[tuple[float, int] | None] = [None] * len(self.n)
-        self.steps: list[tuple[int, int, float]] = []
+        size = len(self.n)
+        self.alive, self.single = np.ones(size, bool), np.ones(size, bool)
+        self.members = [[i] for i in range(size)]
+        self.key, self.partner = np.full(size, np.inf), np.full(size, -1)
 
-    def others(self, i: int) -> tuple[np.ndarray, np.ndarray]:
-        """(candidates j > i alive and feasible with i, their keys)."""
-        j = i + 1 + np.flatnonzero(self.alive[i + 1 :])
-        if not self.same_site and len(self.members[i]) == 1:
-            single = np.array([len(self.members[x]) == 1 for x in j], bool)
-            j = j[~single | (self.site[j] != self.site[i])] if len(j) else j
+    def keys(self, i: int, j: np.ndarray) -> np.ndarray:
+        """What merging i with each of j ranks by; infinite where it is not allowed."""
         d = distance_np(self.c[j], self.c[i], self.distance)
         n = self.n[j] + self.n[i]
         more = self.n[j] * self.n[i] / n * d
         merged = self.v[j] + self.v[i] + more
         if self.variance == "mean":
             merged = merged / n
-        bound = self.bound if self.scope == "global" else np.maximum(self.limit[j], self.limit[i])
-        ok = merged < bound
-        key = {"variance": merged, "distance": d, "increase": more}[self.pick]
-        return j[ok], key[ok]
-
-    def refresh(self, i: int) -> None:
-        j, key = self.others(i)
-        self.best[i] = None
+        allowed = merged < (self.bound if self.scope == "global" else np.maximum(self.limit[j], self.limit[i]))
+        if not self.same_site and self.single[i]:
+            allowed &= ~(self.single[j] & (self.site[j] == self.site[i]))
+        return np.where(allowed, {"variance": merged, "distance": d, "increase": more}[self.pick], np.inf)
+
+    def search(self, i: int) -> None:
+        j = i + 1 + np.flatnonzero(self.alive[i + 1 :])
+        self.key[i], self.partner[i] = np.inf, -1
         if len(j):
-            at = np.lexsort((j, key))[0]
-            self.best[i] = (float(key[at]), int(j[at]))
-            heapq.heappush(self.heap, (*((float(key[at])),), i, int(j[at])))
+            keys = self.keys(i, j)
+            at = int(keys.argmin())
+            if np.isfinite(keys[at]):
+                self.key[i], self.partner[i] = keys[at], j[at]
 
     def run(self) -> None:
-        self.heap: list[tuple[float, int, int]] = []
         for i in range(len(self.n)):
-            self.refresh(i)
-        while self.heap:
-            key, i, j = heapq.heappop(self.heap)
-            if not self.alive[i] or self.best[i] != (key, j):
-                continue
-            n, c, v = merge_np((self.n[i], self.c[i], self.v[i]), (self.n[j], self.c[j], self.v[j]), self.distance)
-            self.n[i], self.c[i], self.v[i] = n, c, v
+            self.search(i)
+        while len(self.n):
+            i = int(self.key.argmin())
+            if not np.isfinite(self.key[i]):
+                break
+            j = int(self.partner[i])
+            self.n[i], self.c[i], self.v[i] = merge_np((self.n[i], self.c[i].copy(), self.v[i]), (self.n[j], self.c[j], self.v[j]), self.distance)
             self.limit[i] = max(self.limit[i], self.limit[j])
-            self.alive[j] = False
+            self.alive[j] = self.single[i] = False
+            self.key[j] = np.inf
             self.members[i] += self.members[j]
-            self.steps.append((i, j, float(self.v[self.alive].sum())))
-            self.refresh(i)
-            for a in np.flatnonzero(self.alive[:j]):
-                if a != i and self.best[a] is not None and self.best[a][1] in (i, j):
-                    self.refresh(a)
-                elif a < i:
-                    self._offer(a, i)
-
-    def _offer(self, a: int, i: int) -> None:
-        """Whether the changed group i is now the best partner of a (a < i)."""
-        alive = self.alive.copy()
-        self.alive[:] = False
-        self.alive[[a, i]] = True
-        j, key = self.others(a)
-        self.alive = alive
-        if len(j) and (self.best[a] is None or (float(key[0]), i) < self.best[a]):
-            self.best[a] = (float(key[0]), i)
-            heapq.heappush(self.heap, (float(key[0]), a, i))
+            self.search(i)
+            below = np.flatnonzero(self.alive[:j])
+            below = below[below != i]
+            lost = np.isin(self.partner[below], (i, j)) & np.isfinite(self.key[below])
+            for a in below[lost]:
+                self.search(int(a))
+            rest = below[~lost & (below < i)]
+            if len(rest):
+                keys = self.keys(i, rest)
+                better = (keys < self.key[rest]) | ((keys == self.key[rest]) & np.isfinite(keys) & (i < self.partner[rest]))
+                self.key[rest[better]], self.partner[rest[better]] = keys[better], i
 
 
 def _groups_frame(m: Merger, ids: list[tuple[int, int]]) -> list[dict]:

@@ -18,7 +18,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from sitemine.functions.merge_columns import distance_np, merge_np, move_gain, remove_np, squared_distance
-from sitemine.operators.clustering.merge import MEMBERS
+from sitemine.operators.clustering.merge import MEMBERS, labels_of
+from sitemine.operators.clustering.stats import dimension
 from sitemine.session import materialise
 
 CLUSTERS = f"global_id int, n long, center array<double>, scatter double, n_members int, members {MEMBERS}"
@@ -124,10 +125,8 @@ def _sequential(clusters: DataFrame, substats: DataFrame, b: int | float, bound:
     return repaired, done.where("what = 'move'").select("step", "kind", "a", "b", F.col("total").alias("total_scatter"))
 
 
-def _regroup(substats: DataFrame, labels: DataFrame) -> DataFrame:
+def regroup(substats: DataFrame, labels: DataFrame) -> DataFrame:
     """Cluster summaries recomputed from their members' summaries."""
-    from sitemine.operators.clustering.stats import dimension
-
     rows = labels.join(substats, ["site", "local_id"])
     d = dimension(rows.select(F.col("center").alias("features")))
     n = F.sum("n")
@@ -140,8 +139,6 @@ def _regroup(substats: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None, rounds: int) -> tuple[DataFrame, DataFrame]:
-    from sitemine.operators.clustering.merge import labels_of
-
     log = []
     total = clusters.agg(F.sum("scatter")).first()[0]
     for _ in range(rounds):
@@ -158,7 +155,7 @@ def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: floa
             total -= r.gain
             log.append((len(log) + 1, "move_accept", r.global_id, r.rival, total))
         labels = labels_of(clusters).join(chosen.select("site", "local_id", "rival"), ["site", "local_id"], "left")
-        clusters = materialise(_regroup(substats, labels.select("site", "local_id", F.coalesce("rival", "global_id").alias("global_id"))))
+        clusters = materialise(regroup(substats, labels.select("site", "local_id", F.coalesce("rival", "global_id").alias("global_id"))))
     return clusters, clusters.sparkSession.createDataFrame(log, TRACE)
 
 

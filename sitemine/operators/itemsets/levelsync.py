@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from sitemine.functions.itemset_columns import drop_one
 from sitemine.operators.itemsets.latesync import Clock, MineResult, global_minimum, remote_support, split_global
 from sitemine.operators.itemsets.local import local_apriori
+from sitemine.operators.itemsets.support import count_support
 from sitemine.session import materialise
 
 
@@ -59,7 +60,7 @@ def levelsync_mine(
             counts = remote_support(baskets, now, level, sites, [z], known_counts=known_counts, engine=engine)
         good, _ = split_global(counts, least)
         if "upper" in pruning:
-            state["by_site"] = materialise(_counts_by_site(baskets, good, z, engine))
+            state["by_site"] = materialise(count_support(baskets, good.select("itemset"), [z], engine=engine))
         state["log"] = state["log"].union(level.select(F.lit(z).alias("pass"), "site", "itemset"))
         state["found"] = materialise(state["found"].union(good))
         passed = good.count()
@@ -75,9 +76,3 @@ def levelsync_mine(
         "seconds": clock.seconds,
     }
     return MineResult(found, local, materialise(state["log"]), state["passes"], counters)
-
-
-def _counts_by_site(baskets: DataFrame, sets: DataFrame, z: int, engine: str) -> DataFrame:
-    from sitemine.operators.itemsets.support import count_support
-
-    return count_support(baskets, sets.select("itemset"), [z], engine=engine)

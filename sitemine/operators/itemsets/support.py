@@ -57,8 +57,8 @@ def count_support(baskets: DataFrame, sets: DataFrame, sizes: list[int], *, engi
     if engine == "extend":
         return _extend(cut, wanted, keys, sizes)
     if engine == "contains":
-        held = broadcast_if_small(wanted.withColumnRenamed("site", "of") if "site" in keys else wanted, MAX_HELD_SETS)
-        near = cut.join(held, (F.col("site") == F.col("of")) if "site" in keys else None) if "site" in keys else cut.crossJoin(held)
+        held = broadcast_if_small(wanted, MAX_HELD_SETS)
+        near = cut.join(held, "site") if "site" in keys else cut.crossJoin(held)
         return near.where(F.size(F.array_intersect("items", "itemset")) == F.size("itemset")).groupBy("site", "itemset").agg(F.count("*").alias("cnt"))
     if engine == "trie":
         return _trie(cut, wanted, keys)

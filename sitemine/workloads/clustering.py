@@ -93,7 +93,7 @@ def _fixed_clusters(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFr
     """Sub-clusters (site, key % 4) in three clusters, by (site + local_id) % 3."""
     s = materialise(sub_stats(_parts(spark, sf_dir), d=2))
     labels = s.select("site", "local_id", F.pmod(F.col("site") + F.col("local_id"), F.lit(3)).cast("int").alias("global_id"))
-    return materialise(P._regroup(s, labels)), s
+    return materialise(P.regroup(s, labels)), s
 
 
 def border_rank(spark: SparkSession, sf_dir: str) -> DataFrame:

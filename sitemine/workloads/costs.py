@@ -35,12 +35,12 @@ def worst_links(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def overheads(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = [(n, m, e, round(cost.overhead(e, m), 6)) for n, m, e in cost.PUBLISHED]
+    rows = [(n, m, e, round(cost.overhead(e, m), 6)) for n, m, e in cost.BASELINE]
     return spark.createDataFrame(rows, "task string, measured double, estimated double, overhead double")
 
 
 def gains(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = {n: (m, e) for n, m, e in cost.PUBLISHED}
+    p = {n: (m, e) for n, m, e in cost.BASELINE}
     rows = [("measured", round(cost.gain(p["latesync"][0], p["levelsync"][0]), 6)), ("modelled", round(cost.gain(p["latesync"][1], p["levelsync"][1]), 6))]
     return spark.createDataFrame(rows, "kind string, gain double")
 

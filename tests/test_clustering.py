@@ -213,3 +213,15 @@ def test_remerge_and_nearest(spark):
     assert groups(merge.remerge(old, new, threshold=12.0)) == [(6, 0.3333, 4.3333), (13, 10.5769, 8.4231)]
     near = nearest_center(np.array([[0.0], [10.0]]))
     assert [r[0] for r in s.orderBy("site", "local_id").select(near("center")).collect()] == [0, 1, 0, 1]
+
+
+def test_assignment_by_matrix_equals_expressions(spark, monkeypatch):
+    rng = np.random.default_rng(9)
+    points = spark.createDataFrame([(i % 3, i, v.tolist()) for i, v in enumerate(rng.normal(size=(200, 12)))], "site int, point_id long, features array<double>")
+    centers = local.first_centers(points, 8)
+    by_matrix = local.assign(points, centers)
+    assert "MapInArrow" in by_matrix._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(local, "MATRIX_FROM", 10**9)
+    by_columns = local.assign(points, centers)
+    read = lambda d: {r.point_id: r.local_id for r in d.collect()}
+    assert read(by_matrix) == read(by_columns)

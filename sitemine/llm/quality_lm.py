@@ -6,17 +6,19 @@ classes: the most common code points of all trusted text have their own, the res
 one, so a model never has more than ``CLASSES``^3 entries, whatever the corpus.
 
 Counting reads every trusted document in place: a task adds its documents up per
-language and emits its non-zero counts, which Spark sums by n-gram.  The model is then
-joined together from count tables sharded by (model, context): counts with the totals and
-singletons of their context, and with the lower order's probabilities; lower orders use
-continuation counts, discounts come from counts of counts per model and order.
-
-Scoring looks every n-gram of every whole text up in the finished table, which is
-broadcast (its bound is above; joining documents' n-grams to it row by row would shuffle
-about forty times the input).  A document's surprise is its mean negative log
-probability, drawn towards the model's mean as if ``PRIOR`` average characters were
-added, so a short text needs more than one odd word to fall.  It is kept unless its
-surprise exceeds the ``quantile`` of trusted documents in its model.
+language and emits its non-zero counts, which Spark sums by n-gram.  Everything after is
+joins of count tables sharded by (model, context) or (model, n-gram): counts with the
+totals and freed mass of their context, and with the lower order's probabilities; lower
+orders use continuation counts, discounts come from counts of counts per model and order.
+
+Scoring joins too.  The n-grams that occur in any document get their log probability
+from the count tables (backing off where one was not seen).  Each document then emits its
+distinct n-grams with their counts, which meet the shards of that table one by one: a
+shard is small enough to be broadcast, sums combine before the only shuffle, and a
+document costs one row there.  Its perplexity is the exponential of its mean negative log
+probability.  Its surprise is that mean drawn towards the model's own as if ``PRIOR``
+average characters were added, so a short text needs more than one odd word to fall.  It
+is kept unless its surprise exceeds the ``quantile`` of trusted documents in its model.
 
 Defined cases: null or empty text is kept, with null perplexity; null languages use
 the pooled model; without trusted documents everything is kept, with null perplexity;
@@ -27,11 +29,11 @@ pass through; an empty table gives an empty table.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import lru_cache
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from sitemine.llm.common import bounded_batches, fresh_name
@@ -43,6 +45,8 @@ _FIRST = 2
 QUANTILE = 0.998
 PRIOR = 100
 POOLED = "*"
+#: Rows of a shard of the probability table (an n-gram and a number each).
+SHARD_ROWS = 1_000_000
 #: Ids (eight bytes each) that a broadcast may hold.
 ID_ROWS = 4_000_000
 
@@ -148,7 +152,7 @@ def _contexts(counts: DataFrame) -> DataFrame:
 
 
 def _order(counts: DataFrame, lower: DataFrame, modulus: int) -> tuple[DataFrame, DataFrame]:
-    """Probabilities of the seen n-grams (model, code, n, p) and the contexts' freed mass."""
+    """Probabilities of the seen n-grams (model, code, n, p) and the contexts' freed mass (model, context, held)."""
     contexts = materialise(_contexts(counts))
     keyed = counts.join(F.broadcast(discounts(counts)), "model").withColumn("context", F.floor(F.col("code") / CLASSES)).withColumn("tail", F.col("code") % modulus)
     below = lower.select("model", F.col("code").alias("tail"), F.col("p").alias("p_lower"))
@@ -157,75 +161,106 @@ def _order(counts: DataFrame, lower: DataFrame, modulus: int) -> tuple[DataFrame
     return materialise(joined.select("model", "code", "n", p.alias("p"))), contexts
 
 
-def kneser_ney(tri: DataFrame) -> dict[str, tuple[np.ndarray, ...]]:
-    """The model tables from trigram counts, as arrays by model.
+@dataclass
+class Model:
+    """Count tables joined to probabilities, order by order; all are tables of the cluster."""
 
-    (p1 by class, held2, codes2, p2, held3 contexts, held3, codes3, p3, mean surprise)
-    """
+    orders: list[tuple[DataFrame, DataFrame]]  # (seen n-grams with p, contexts with held) of orders 1 to 3
+    names: DataFrame  # model, number, mean: the mean surprise of its own text
+    alphabet: np.ndarray
+
+
+def kneser_ney(tri: DataFrame, alphabet: np.ndarray) -> Model:
+    """The models from trigram counts."""
     bi = materialise(tri.groupBy("model", (F.col("code") % CLASSES**2).alias("code")).agg(F.count("*").alias("n")))
     uni = materialise(bi.groupBy("model", (F.col("code") % CLASSES).alias("code")).agg(F.count("*").alias("n")))
     flat = uni.select("model", F.lit(0).cast("long").alias("code"), F.lit(1 / CLASSES).alias("p")).distinct()
-    p1, held1 = _order(uni, flat, 1)
-    p2, held2 = _order(bi, p1, CLASSES)
-    p3, held3 = _order(tri, p2, CLASSES**2)
-    models: dict[str, dict] = {}
-    for order, (probs, held) in enumerate(((p1, held1), (p2, held2), (p3, held3)), 1):
-        for kind, frame, value in (("p", probs, "p"), ("h", held.withColumnRenamed("context", "code"), "held")):
-            rows = frame.select("model", "code", F.col(value).alias("v")).toPandas()
-            for name, part in rows.groupby("model"):
-                models.setdefault(name, {})[f"{kind}{order}"] = (part["code"].to_numpy(np.int64), part["v"].to_numpy(np.float64))
-    mean = p3.groupBy("model").agg((-F.sum(F.col("n") * F.log("p")) / F.sum("n")).alias("h")).collect()
-    for r in mean:
-        models[r.model]["mean"] = r.h
-    return models
-
-
-def dense_surprise(model: dict) -> np.ndarray:
-    """-log p of every trigram code."""
-    p1 = np.full(CLASSES, model["h1"][1][0] / CLASSES)
-    p1[model["p1"][0]] = model["p1"][1]
-    held = np.ones(CLASSES)
-    held[model["h2"][0]] = model["h2"][1]
-    p2 = (held[:, None] * p1[None, :]).ravel()
-    p2[model["p2"][0]] = model["p2"][1]
-    held = np.ones(CLASSES**2)
-    held[model["h3"][0]] = model["h3"][1]
-    p3 = (held.reshape(CLASSES, CLASSES, 1) * p2.reshape(1, CLASSES, CLASSES)).ravel()
-    p3[model["p3"][0]] = model["p3"][1]
-    return -np.log(p3).astype(np.float32)
-
-
-def score(docs: DataFrame, models: dict[str, dict], alphabet: np.ndarray, *, id_col: str, text: str, lang: str, prior: float = PRIOR) -> DataFrame:
-    """(id, model, perplexity, surprise, pooled), one row per row of ``docs``.
-
-    ``pooled`` is the surprise under the model of all languages.
-    """
-    kind = dict(docs.dtypes)[id_col]
-    shared = docs.sparkSession.sparkContext.broadcast((models, alphabet))
+    first = _order(uni, flat, 1)
+    second = _order(bi, first[0], CLASSES)
+    third = _order(tri, second[0], CLASSES**2)
+    means = third[0].groupBy("model").agg((-F.sum(F.col("n") * F.log("p")) / F.sum("n")).alias("mean"))
+    number = F.row_number().over(Window.orderBy("model")) - 1  # a row per language
+    return Model([first, second, third], materialise(means.select("model", number.cast("long").alias("number"), "mean")), alphabet)
+
+
+def probabilities(grams: DataFrame, model: Model) -> DataFrame:
+    """(model, code, p) of any trigrams (model, code), backing off where one was not seen."""
+    out = grams.select("model", "code")
+    p = F.lit(1 / CLASSES)
+    for order, (seen, contexts) in enumerate(model.orders, 1):
+        tail = F.col("code") % CLASSES**order
+        own = seen.select(F.col("model").alias("m"), F.col("code").alias("c"), F.col("p").alias(f"p{order}"))
+        free = contexts.select(F.col("model").alias("k"), F.col("context").alias("x"), F.col("held").alias(f"held{order}"))
+        out = out.join(own, (F.col("model") == F.col("m")) & (tail == F.col("c")), "left").drop("m", "c")
+        out = out.join(free, (F.col("model") == F.col("k")) & (F.floor(tail / CLASSES) == F.col("x")), "left").drop("k", "x")
+        p = F.coalesce(F.col(f"p{order}"), F.coalesce(F.col(f"held{order}"), F.lit(1.0)) * p)
+    return out.select("model", "code", p.alias("p"))
+
+
+def _grams_in(docs: DataFrame, alphabet: np.ndarray, known: set[str]) -> DataFrame:
+    """(model, code): the distinct trigrams of all documents (model, text), by model."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = class_table(alphabet)
+        there: dict[str, np.ndarray] = {}
+        for batch in batches:
+            for name, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if text:
+                    there.setdefault(name if name in known else POOLED, np.zeros(CLASSES**3, bool))[trigrams(table[_points(text)])] = True
+        for name, seen in there.items():
+            found = np.flatnonzero(seen)
+            yield pa.RecordBatch.from_arrays([pa.array([name] * len(found), pa.string()), pa.array(found)], names=["model", "code"])
+
+    return docs.select("model", "text").mapInArrow(run, "model string, code long").distinct()
+
+
+def score(docs: DataFrame, model: Model, *, prior: float = PRIOR, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """(id, model, perplexity, surprise) of documents (id, model, text), one row per row."""
+    kind = dict(docs.dtypes)["id"]
+    numbers = {r.model: r.number for r in model.names.collect()}
+    alphabet = model.alphabet
+    wanted = materialise(probabilities(_grams_in(docs, alphabet, set(numbers)), model).join(F.broadcast(model.names), "model").select(
+        (F.col("number") * CLASSES**3 + F.col("code")).alias("gram"), (-F.log("p")).alias("cost")
+    ))
+    shards = max(1, -(-wanted.count() // shard_rows))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        models, alphabet = shared.value
+        """A document's distinct trigrams; an empty one shows itself by a row that counts nothing."""
         table = class_table(alphabet)
-        dense = lru_cache(8)(lambda name: dense_surprise(models[name]))
         for batch in batches:
-            names, plain, drawn, pooled = [], [], [], []
-            for name, text in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                name = name if name in models else POOLED
-                names.append(name)
-                codes = trigrams(table[_points(text)]) if text else None
-                values = []
-                for each in (name, POOLED):
-                    total = float(dense(each)[codes].sum(dtype=np.float64)) if text else 0.0
-                    values.append((total, (total + prior * models[each]["mean"]) / ((len(codes) if text else 0) + prior)))
-                plain.append(float(np.exp(values[0][0] / len(codes))) if text else None)
-                drawn.append(values[0][1])
-                pooled.append(values[1][1])
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(names, pa.string()), *(pa.array(v, pa.float64()) for v in (plain, drawn, pooled))], names=["id", "model", "perplexity", "surprise", "pooled"]
-            )
-
-    rows = docs.select(F.col(id_col).alias("id"), model_of(F.col(lang).cast("string")).alias("model"), F.col(text).alias("text"))
-    return rows.mapInArrow(run, f"id {kind}, model string, perplexity double, surprise double, pooled double")
+            for part in (batch.slice(i, 64) for i in range(0, batch.num_rows, 64)):
+                grams, counts, sizes, own = [], [], [], []
+                for name, text in zip(part.column("model").to_pylist(), part.column("text").to_pylist(), strict=True):
+                    number = numbers.get(name, numbers[POOLED])
+                    code, n = np.unique(trigrams(table[_points(text)]), return_counts=True) if text else (np.array([-1]), np.array([0]))
+                    grams.append(code + number * CLASSES**3 if text else code)
+                    counts.append(n)
+                    sizes.append(len(code))
+                    own.append(number)
+                spot = pa.array(np.repeat(np.arange(part.num_rows), sizes))
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        part.column("rid").take(spot), part.column("id").take(spot), pa.array(np.repeat(own, sizes).astype(np.int64)),
+                        pa.array(np.concatenate(grams).astype(np.int64)), pa.array(np.concatenate(counts).astype(np.int64)),
+                    ],
+                    names=["rid", "id", "number", "gram", "n"],
+                )
+
+    numbered = docs.select(F.monotonically_increasing_id().alias("rid"), "id", "model", "text")
+    rows = numbered.mapInArrow(run, f"rid long, id {kind}, number long, gram long, n long")
+    nothing = docs.sparkSession.range(1).select(F.lit(-1).cast("long").alias("gram"), F.lit(0.0).alias("cost"))
+    sums = None
+    for shard in range(shards):
+        mine = rows if shards == 1 else rows.where(F.pmod("gram", F.lit(shards)) == shard)
+        table = wanted if shards == 1 else wanted.where(F.pmod("gram", F.lit(shards)) == shard)
+        table = table.union(nothing.where(F.pmod("gram", F.lit(shards)) == shard))
+        part = mine.join(F.broadcast(table), "gram").groupBy("rid", "id", "number").agg(F.sum(F.col("n") * F.col("cost")).alias("cost"), F.sum("n").alias("n"))
+        sums = part if sums is None else sums.union(part)
+    if shards > 1:
+        sums = sums.groupBy("rid", "id", "number").agg(F.sum("cost").alias("cost"), F.sum("n").alias("n"))
+    named = sums.join(F.broadcast(model.names), "number")
+    perplexity = F.when(F.col("n") > 0, F.exp(F.col("cost") / F.col("n")))
+    return named.select("id", "model", perplexity.alias("perplexity"), ((F.col("cost") + prior * F.col("mean")) / (F.col("n") + prior)).alias("surprise"))
 
 
 def judge(
@@ -239,13 +274,15 @@ def judge(
     if tri.isEmpty():
         missing = [F.lit(None).cast("double").alias(c) for c in ("perplexity", "surprise", "threshold")]
         return docs.select(F.col(id_col).alias("id"), F.lit(POOLED).alias("model"), *missing, F.lit(True).alias("keep"))
-    scored = materialise(score(docs, kneser_ney(tri), alphabet, id_col=id_col, text=text, lang=lang, prior=prior))
-    # a language's own documents set its threshold, all trusted ones under the pooled model that of the rest
-    seen = scored.join(trusted, scored["id"] == F.col("doc_id"), "left_semi")
-    cuts = seen.where(F.col("model") != POOLED).groupBy("model").agg(F.percentile_approx("surprise", quantile, 10_000).alias("threshold"))
-    rest = seen.agg(F.lit(POOLED).alias("model"), F.percentile_approx("pooled", quantile, 10_000).alias("threshold"))
-    bounded = F.broadcast(materialise(cuts.union(rest)))  # a row per language
-    joined = scored.join(bounded, "model", "left")
+    model = kneser_ney(tri, alphabet)
+    scored = materialise(score(docs.select(F.col(id_col).alias("id"), model_of(F.col(lang).cast("string")).alias("model"), F.col(text).alias("text")), model, prior=prior))
+    cut = F.percentile_approx("surprise", quantile, 10_000).alias("threshold")
+    cuts = scored.where(F.col("model") != POOLED).join(trusted, F.col("id") == F.col("doc_id"), "left_semi").groupBy("model").agg(cut)
+    if not scored.where(F.col("model") == POOLED).isEmpty():
+        # texts of no known language are held against all trusted ones under the same, pooled model
+        pooled = score(good.select(F.col("doc_id").alias("id"), F.lit(POOLED).alias("model"), "text"), model, prior=prior)
+        cuts = cuts.union(pooled.groupBy("model").agg(cut))
+    joined = scored.join(F.broadcast(materialise(cuts)), "model", "left")  # a row per language
     return joined.select("id", "model", "perplexity", "surprise", "threshold", F.coalesce(F.col("surprise") <= F.col("threshold"), F.lit(True)).alias("keep"))
 
 

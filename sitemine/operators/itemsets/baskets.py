@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from sitemine.schemas import BASKET_ROWS, require_columns
-from sitemine.session import broadcast_if_small
+from sitemine.session import broadcast_if_small, materialise
 
 
 def as_fraction(share: float | str | Fraction) -> Fraction:
@@ -22,25 +22,31 @@ def min_count(n: Column, share: float | str | Fraction) -> Column:
     return F.greatest(F.lit(1).cast("long"), F.floor((n * F.lit(f.numerator) + F.lit(f.denominator - 1)) / F.lit(f.denominator)).cast("long"))
 
 
-def item_dictionary(rows: DataFrame) -> DataFrame:
-    """(item, code, support): codes from 0 by (number of baskets, name)."""
-    counts = rows.groupBy("item").agg(F.count("*").alias("support"))
-    order = Window.orderBy("support", "item")
-    return counts.select("item", (F.row_number().over(order) - 1).cast("int").alias("code"), "support")
+def item_codes(rows: DataFrame) -> DataFrame:
+    """(item, code): dense codes from 0, rarer items first, by name among equals.
+
+    The ranking meets in one task with a row per distinct item.
+    """
+    counts = rows.groupBy("item").agg(F.count("*").alias("rows"))
+    return counts.select("item", (F.row_number().over(Window.orderBy("rows", "item")) - 1).cast("int").alias("code"))
+
+
+def item_dictionary(baskets: DataFrame, codes: DataFrame) -> DataFrame:
+    """(item, code, support): in how many baskets each item is."""
+    counts = baskets.select(F.explode("items").alias("code")).groupBy("code").agg(F.count("*").alias("support"))
+    return codes.join(counts, "code").select("item", "code", "support")
 
 
 def from_rows(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(baskets, dictionary): null items are dropped, repeated items count once.
+    """(baskets, codes): null items are dropped, repeated items count once.
 
-    One exchange by (site, tid) serves the distinct and the gathering.
+    Item names are replaced by codes before the one exchange by (site, tid).
     """
     require_columns(rows, BASKET_ROWS)
     clean = rows.where(F.col("item").isNotNull()).select(F.col("site").cast("int").alias("site"), F.col("tid").cast("long").alias("tid"), F.col("item").cast("string").alias("item"))
-    gathered = clean.groupBy("site", "tid").agg(F.collect_set("item").alias("names"))
-    single = gathered.select("site", "tid", F.explode("names").alias("item"))
-    dictionary = item_dictionary(single)
-    coded = single.join(broadcast_if_small(dictionary.select("item", "code")), "item")
-    return coded.groupBy("site", "tid").agg(F.array_sort(F.collect_list("code")).alias("items")), dictionary
+    codes = materialise(item_codes(clean))
+    coded = clean.join(broadcast_if_small(codes), "item").select("site", "tid", "code")
+    return coded.groupBy("site", "tid").agg(F.array_sort(F.collect_set("code")).alias("items")), codes
 
 
 def named(itemsets: DataFrame, dictionary: DataFrame, column: str = "itemset") -> DataFrame:

@@ -129,6 +129,11 @@ def test_looser_local_support_stays_complete(hand):
     assert answer(latesync_mine(hand[0], min_support="0.5", local_support="0.25").itemsets, hand[1]) == WANT
 
 
+def test_dictionary(hand):
+    told = {r["item"]: (r.code, r.support) for r in B.item_dictionary(*hand).collect()}
+    assert told == {"d": (0, 4), "a": (1, 5), "b": (2, 5), "c": (3, 5)}
+
+
 def test_views_and_rules(hand):
     mined = latesync_mine(hand[0], min_support="0.375", k=3)
     sets = answer(mined.itemsets, hand[1])

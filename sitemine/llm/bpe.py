@@ -29,6 +29,7 @@ from __future__ import annotations
 
 import heapq
 import json
+import os
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -40,7 +41,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from tokenizers import Tokenizer
+from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
 from sitemine.llm.common import bounded_batches, fresh_name
 
@@ -168,9 +169,13 @@ class Bpe:
         for token, i in self.library.get_vocab().items():
             self.names[i] = token
         self.ends = np.array([n.endswith(_SUFFIX) for n in self.names])
-        self.ints = list(range(len(self.names)))  # one object an id, shared by all cached words
-        self.cache: dict[str, tuple[int, ...]] = {}
-        self.old: dict[str, tuple[int, ...]] = {}
+        # words come to it split and normalised, so it need not do either
+        self.bulk = Tokenizer.from_file(path)
+        self.bulk.normalizer = normalizers.Sequence([])
+        self.bulk.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        # ids of a word as the bytes of an int32 array: small, and quickly joined
+        self.cache: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
 
     def segments(self, text: str) -> Iterator[tuple[str, int]]:
         """(normalised text, -1) and ("", id of a special string), in order."""
@@ -196,28 +201,27 @@ class Bpe:
 
     def learn(self, words: set[str]) -> None:
         """Put the tokens of words into the cache; long words by halves, others in bulk."""
-        new = [w for w in words if w not in self.cache]
-        known = self.old
-        short = []
-        for w in new:
+        known, short = self.old, []
+        for w in words.difference(self.cache):
             if w in known:
                 self.cache[w] = known[w]
             elif len(w) > LEAF:
-                self.cache[w] = tuple(self.merges.finish(self.merges.part(w.encode())))
+                self.cache[w] = self.word(w)
             else:
                 short.append(w)
         if short:
-            ids = self.library.encode(" ".join(short), add_special_tokens=False).ids
-            cuts = np.flatnonzero(self.ends[ids]) + 1
-            one = self.ints.__getitem__
+            ids = np.array(self.bulk.encode_batch_fast([" ".join(short)], add_special_tokens=False)[0].ids, np.int32)
+            cuts = (np.flatnonzero(self.ends[ids]) + 1) * 4
             if len(cuts) == len(short):
-                at = 0
+                flat, at = ids.tobytes(), 0
                 for w, cut in zip(short, cuts.tolist(), strict=True):
-                    self.cache[w] = tuple(map(one, ids[at:cut]))
+                    self.cache[w] = flat[at:cut]
                     at = cut
             else:
-                for w in short:
-                    self.cache[w] = tuple(self.merges.finish(self.merges.part(w.encode())))
+                self.cache |= {w: self.word(w) for w in short}
+
+    def word(self, w: str) -> bytes:
+        return np.array(self.merges.finish(self.merges.part(w.encode())), np.int32).tobytes()
 
     def trim(self) -> None:
         if len(self.cache) > CACHE:
@@ -226,12 +230,12 @@ class Bpe:
     def encode_all(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of whole texts."""
         split = [[(self.pattern(t).findall(t), i) for t, i in self.segments(text)] for text in texts]
-        self.learn({w for doc in split for words, _ in doc for w in words})
+        self.learn(set().union(*(words for doc in split for words, _ in doc)))
         get = self.cache.__getitem__
         out = []
         for doc in split:
-            parts = [[i] if i >= 0 else chain.from_iterable(map(get, words)) for words, i in doc]
-            out.append(np.fromiter(chain.from_iterable(parts), np.int32))
+            parts = (i.to_bytes(4, "little") if i >= 0 else b"".join(map(get, words)) for words, i in doc)
+            out.append(np.frombuffer(b"".join(parts), "<i4"))
         self.trim()
         return out
 
@@ -239,7 +243,7 @@ class Bpe:
         spans = [m.span() for m in self.pattern(text).finditer(text)]
         words = [text[a:b] for a, b in spans]
         self.learn(set(words))
-        out = Piece(text, spans, [self.cache[w] for w in words])
+        out = Piece(text, spans, [tuple(np.frombuffer(self.cache[w], np.int32).tolist()) for w in words])
         self.trim()
         return out
 
@@ -302,6 +306,7 @@ class Bpe:
 
 @lru_cache(2)
 def load(path: str) -> Bpe:
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a worker has one core
     return Bpe(path)
 
 

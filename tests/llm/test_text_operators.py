@@ -251,3 +251,9 @@ class TestChat:
 def test_no_python_on_the_native_path(spark):
     plan = mixing.mix(docs(spark, ODD))._jdf.queryExecution().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
+
+
+def test_short_integer_ids(spark):
+    rows = spark.createDataFrame([(1, "a b c d e f"), (2, "a b c d e f"), (3, "x")], "doc_id int, text string")
+    assert {r.id: r.component_id for r in simhash.near_duplicates(rows).collect()} == {1: 1, 2: 1, 3: 3}
+    assert sorted(r.doc_id for r in simhash.drop_near_duplicates(rows).collect()) == [1, 3]

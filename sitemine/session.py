@@ -7,8 +7,11 @@ only where that setting is absent (tests on one machine).
 
 from __future__ import annotations
 
+import os
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -60,3 +63,22 @@ def drop_shared(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def ship_code(spark: SparkSession) -> None:
+    """Send this package to the Python workers, once a context.
+
+    Nothing is sent where PYTHONPATH names the package's folder: workers then find it.
+    """
+    root = Path(__file__).resolve().parent.parent
+    if str(root) in os.environ.get("PYTHONPATH", "").split(os.pathsep):
+        return
+    context = spark.sparkContext
+    if getattr(context, "_sitemine_shipped", False):
+        return
+    target = Path(tempfile.mkdtemp(prefix="sitemine-code-")) / "sitemine.zip"
+    with zipfile.ZipFile(target, "w") as out:
+        for path in sorted((root / "sitemine").rglob("*.py")):
+            out.write(path, path.relative_to(root))
+    context.addPyFile(str(target))
+    context._sitemine_shipped = True

@@ -112,7 +112,7 @@ def latesync_mine(
     spark = baskets.sparkSession
     clock = Clock(spark, "latesync")
     with clock.part("local"):
-        local = materialise(local_apriori(baskets, k, local_support or min_support, engine=engine))
+        local = local_apriori(baskets, k, local_support or min_support, engine=engine)
     top = max([1, *sizes_of(local)])
     k = k or top
     with clock.part("frontier"):
@@ -127,8 +127,7 @@ def latesync_mine(
             counts = remote_support(baskets, now, local, sites, sizes, known_counts=known_counts, engine=engine)
         good, bad = split_global(counts, least)
         log = log.union(front.select(F.lit(len(passes) + 1).alias("pass"), "site", "itemset"))
-        asked = materialise(asked.union(counts))
-        passed = materialise(passed.union(good))
+        asked, passed = asked.union(counts), passed.union(good)  # small tables, already kept
         requested, n_good = counts.agg(F.count("*"), F.coalesce(F.sum((F.col("support") >= least).cast("long")), F.lit(0))).first()
         passes.append({"pass": len(passes) + 1, "requested": requested, "passed": n_good, "failed": requested - n_good, "sizes": sizes})
         if frontier == "bottom_up":
@@ -139,7 +138,7 @@ def latesync_mine(
             front = materialise(descend(front, bad, closed, asked)) if frontier != "all" else front.limit(0)
     if frontier == "bottom_up":
         closed = passed.select("itemset")
-    answer = materialise(closed.distinct())
+    answer = closed.distinct()
     support_passes = 0
     known = answer.join(asked, "itemset", "left")
     if with_support:
@@ -151,7 +150,7 @@ def latesync_mine(
             known = asked.union(more).join(answer, "itemset", "left_semi")
     result = materialise(known.select("itemset", F.size("itemset").alias("size"), "support"))
     counters = {"baskets": n, "minimum": least, "passes": len(passes), "support_passes": support_passes, "requested": sum(p["requested"] for p in passes), "seconds": clock.seconds}
-    return MineResult(result, local, materialise(log), passes, counters)
+    return MineResult(result, local, log, passes, counters)
 
 
 def _ascend(local: DataFrame, passed: DataFrame, z: int) -> DataFrame:

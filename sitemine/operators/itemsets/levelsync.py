@@ -62,7 +62,7 @@ def levelsync_mine(
         if "upper" in pruning:
             state["by_site"] = materialise(count_support(baskets, good.select("itemset"), [z], engine=engine))
         state["log"] = state["log"].union(level.select(F.lit(z).alias("pass"), "site", "itemset"))
-        state["found"] = materialise(state["found"].union(good))
+        state["found"] = state["found"].union(good)
         passed = good.count()
         state["passes"].append({"pass": z, "requested": asked, "passed": passed, "failed": asked - passed, "sizes": [z]})
         return materialise(level.join(good.select("itemset"), "itemset", "left_semi").select("site", "itemset", "cnt"))
@@ -75,4 +75,4 @@ def levelsync_mine(
         "baskets": n, "minimum": least, "passes": len(state["passes"]), "requested": sum(p["requested"] for p in state["passes"]), "upper_pruned": state["pruned"],
         "seconds": clock.seconds,
     }
-    return MineResult(found, local, materialise(state["log"]), state["passes"], counters)
+    return MineResult(found, local, state["log"], state["passes"], counters)

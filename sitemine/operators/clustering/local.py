@@ -110,9 +110,10 @@ def kmeans_multi(points: DataFrame, k_local: KLocal = 20, *, iterations: int = I
     """``points`` plus local_id after at most ``iterations`` Lloyd steps at every site.
 
     Empty sub-clusters disappear.  The loop ends early when no centre moves by more than
-    ``tolerance``.
+    ``tolerance``.  The points are written once to the shared folder, not derived anew in
+    every step.
     """
-    points = clean_points(points)
+    points = materialise(clean_points(points))
     d = dimension(points)
     centers = materialise(first_centers(points, k_local))
     for _ in range(iterations):

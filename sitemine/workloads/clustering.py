@@ -175,6 +175,11 @@ def vmerge_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([_summary(vmerge_cluster(p, k_local=k, iterations=4), name) for name, p, k in runs], _SUMMARY)
 
 
+def vmerge_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The whole method on order lines, twenty sub-clusters a site: the bench's throughput."""
+    return spark.createDataFrame([_summary(vmerge_cluster(inputs.line_points(spark, sf_dir), k_local=20, iterations=5), "lineitem")], _SUMMARY)
+
+
 def perturb_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Total scatter and moves by border size, shared members and mode, from the same local step."""
     points = inputs.part_points(spark, sf_dir)
@@ -228,6 +233,7 @@ QUERIES = {
     "merge_engines_agree": merge_engines_agree,
     "vmerge_planted": planted,
     "vmerge_tables": vmerge_tables,
+    "vmerge_lineitem": vmerge_lineitem,
     "perturb_ablation": perturb_ablation,
     "gap_statistic_part": gap_part,
     "central_kmeans": central_reference,

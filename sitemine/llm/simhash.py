@@ -16,7 +16,9 @@ numerous enough to reach ``RECALL`` at the similarity asked for.
 Filtering.  In a bucket the shared positional bytes of each pair are tallied, pairs
 below the guaranteed minimum leave, and the rest are verified by their differing bits.
 A breadth-first sweep emits only the links of a spanning forest: a bucket of n
-neighbours yields n - 1 links, not n^2.
+neighbours yields n - 1 links, not n^2.  In similarity mode a bucket yields what hangs
+together by one word of the fingerprint; all words are then carried to these groups, and
+their forests hold verified links only.
 
 Defined cases: null, empty and blank texts have the zero fingerprint and are linked like
 any other; fewer words than a shingle form one shingle of them all; rows with a null id
@@ -28,7 +30,7 @@ from __future__ import annotations
 
 import itertools
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -174,21 +176,28 @@ def index_rows(nodes: DataFrame, positions: list[tuple[int, ...]], words: int) -
     return nodes.select("node", *names).mapInArrow(run, "key long, node long, probe long")
 
 
-def sweep(nodes: np.ndarray, prints: np.ndarray, max_bits: int, min_shared: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Links of a spanning forest of one bucket: arrays (nodes reached, node reached from)."""
-    left = np.argsort(nodes, kind="stable")
-    out = []
+def trees(left: np.ndarray, near: Callable[[np.ndarray, int], np.ndarray]) -> Iterator[list[tuple[np.ndarray, int]]]:
+    """A spanning forest of the rows ``left``, tree by tree: [(rows reached, row reached from)]; ``near(rows, row)`` tests links."""
     while len(left) > 1:
-        queue, left = [left[0]], left[1:]
+        queue, left, tree = [left[0]], left[1:], []
         while queue and len(left):
             at = queue.pop()
-            near = linked(prints[left], prints[at], max_bits, min_shared)
-            if near.any():
-                hit = left[near]
-                out.append((nodes[hit], np.full(len(hit), nodes[at])))
-                queue.extend(hit)
-                left = left[~near]
-    return out
+            hit = near(left, at)
+            if hit.any():
+                tree.append((left[hit], at))
+                queue.extend(left[hit])
+                left = left[~hit]
+        if tree:
+            yield tree
+
+
+def forest(nodes: np.ndarray, near: Callable[[np.ndarray, int], np.ndarray]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Links of a spanning forest of one bucket: arrays (nodes reached, node reached from)."""
+    return [(nodes[hit], np.full(len(hit), nodes[at])) for tree in trees(np.argsort(nodes, kind="stable"), near) for hit, at in tree]
+
+
+def sweep(nodes: np.ndarray, prints: np.ndarray, max_bits: int, min_shared: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    return forest(nodes, lambda left, at: linked(prints[left], prints[at], max_bits, min_shared))
 
 
 def linked(x: np.ndarray, y, max_bits: int, min_shared: int) -> np.ndarray:
@@ -214,12 +223,63 @@ def bucket_links(nodes: DataFrame, positions: list[tuple[int, ...]], words: int,
             for i in np.flatnonzero(size > 2):
                 found += sweep(nodes[bounds[i] : bounds[i + 1]], prints[bounds[i] : bounds[i + 1]], max_bits, min_shared)
             if sum(len(x) for x, _ in found):
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([f[j] for f in found])) for j in (0, 1)], names=["a", "b"])
+                yield _link_batch(found)
 
     dealt = deal(lambda some: index_rows(some, positions, words), nodes.where(F.col("node").isNotNull()))
     return dealt.select("key", "bi", "bj", "node", "probe").mapInArrow(run, "a long, b long")
 
 
+def _link_batch(found: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.concatenate([f[j] for f in found])) for j in (0, 1)], names=["a", "b"])
+
+
+def bucket_groups(nodes: DataFrame, positions: list[tuple[int, ...]], words: int, max_bits: int) -> DataFrame:
+    """(grp, node): what hangs together in a bucket by the first words alone, once for equal groups.
+
+    Groups are named by a sum of hashes: names that clash join groups and lose no pair.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table, bounds in runs(batches):
+            size = np.diff(bounds)
+            nodes, prints = table.column("node").to_numpy(), table.column("probe").to_numpy().view(np.uint64)
+            named = remix(nodes.view(np.uint64), 1)
+            two = bounds[:-1][size == 2]
+            two = two[linked(prints[two], prints[two + 1], max_bits, 0)]
+            both = named[two] + named[two + 1]
+            found = [(both, nodes[two]), (both, nodes[two + 1])]
+            for i in np.flatnonzero(size > 2):
+                rows = np.arange(bounds[i], bounds[i + 1])
+                for tree in trees(rows, lambda left, at: linked(prints[left], prints[at], max_bits, 0)):
+                    members = np.concatenate([[tree[0][1]], *[hit for hit, _ in tree]])
+                    found.append((np.full(len(members), named[members].sum(dtype=np.uint64)), nodes[members]))
+            if sum(len(x) for x, _ in found):
+                grp, node = (np.concatenate([f[j] for f in found]) for j in (0, 1))
+                yield pa.RecordBatch.from_arrays([pa.array(grp.view(np.int64)), pa.array(node)], names=["grp", "node"])
+
+    dealt = deal(lambda some: index_rows(some, positions, words), nodes.where(F.col("node").isNotNull()))
+    return dealt.select("key", "bi", "bj", "node", "probe").mapInArrow(run, "grp long, node long").distinct()
+
+
+def group_links(groups: DataFrame, nodes: DataFrame, words: int, max_bits: int) -> DataFrame:
+    """(a, b): a spanning forest of every group, of links that hold over all ``words``."""
+    names = [f"w{i}" for i in range(words)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table, bounds in runs(batches, ("grp",)):
+            nodes = table.column("node").to_numpy()
+            prints = np.stack([table.column(n).to_numpy() for n in names], axis=1).view(np.uint64)
+            found = []
+            for low, high in zip(bounds[:-1], bounds[1:], strict=True):
+                mine = prints[low:high]
+                found += forest(nodes[low:high], lambda left, at, mine=mine: np.bitwise_count(mine[left] ^ mine[at]).sum(axis=1, dtype=np.int64) <= max_bits)
+            if found:
+                yield _link_batch(found)
+
+    rows = groups.join(nodes.select("node", *names), "node").select("grp", "node", *names)
+    return rows.repartition("grp").sortWithinPartitions("grp").mapInArrow(run, "a long, b long")
+
+
 def near_duplicates(
     docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, max_bits: int = MAX_BITS
 ) -> DataFrame:
@@ -245,11 +305,8 @@ def similar_texts(
     share = similarity_bits(similarity)
     probe_bits = math.floor(64 * share + 3 * math.sqrt(64 * share * (1 - share)))
     all_bits = math.floor(64 * WORDS * share + math.sqrt(64 * WORDS * share * (1 - share)))
-    found = bucket_links(nodes, spread_keys(WORDS, similarity, recall), WORDS, probe_bits, 0)
-    near = materialise(found.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    differ = sum((F.bit_count(F.col(f"a_{n}").bitwiseXOR(F.col(f"b_{n}"))) for n in names), F.lit(0))
-    sides = [nodes.select(F.col("node").alias(s), *[F.col(n).alias(f"{s}_{n}") for n in names]) for s in ("a", "b")]
-    links = near.join(sides[0], "a").join(sides[1], "b").where(differ <= all_bits).select("a", "b")
+    groups = bucket_groups(nodes, spread_keys(WORDS, similarity, recall), WORDS, probe_bits)
+    links = group_links(groups, nodes, WORDS, all_bits)
     return _with_components(prints, nodes, connected_components(links), names)
 
 

@@ -157,6 +157,27 @@ class TestSimhash:
         assert sorted(r.doc_id for r in kept.collect() if r.doc_id is not None) == list(range(30))
         assert kept.where("doc_id is null").count() == 1
 
+    def test_pairs_inside_a_loose_family_are_found(self, spark):
+        rng = random.Random(8)
+        word = lambda: "".join(rng.choices("abcdefghij", k=6))
+        shared = [word() for _ in range(235)]
+        rows = []
+        for i in range(200):  # Jaccard about 0.63 to each other, a near copy of each at 0.86
+            own = [word() for _ in range(65)]
+            rows += [(i, " ".join(shared + own), "a"), (1000 + i, " ".join(shared + own[:-22] + [word() for _ in range(22)]), "a")]
+        got = {r.id: r.component_id for r in simhash.similar_texts(docs(spark, rows)).collect()}
+        assert all(got[i] == i for i in range(200)) and all(got[1000 + i] in (i, 1000 + i) for i in range(200))
+        assert sum(got[1000 + i] == i for i in range(200)) >= 190
+
+    def test_a_loose_neighbour_does_not_hide_a_link(self, spark):
+        rng = random.Random(9)
+        far, near = ([rng.getrandbits(63) for _ in range(15)] for _ in range(2))
+        prints = [(1, 5, *far), (2, 5, *near), (3, 5, near[0] ^ 1, *near[1:])]
+        nodes = spark.createDataFrame(prints, "node long, " + ", ".join(f"w{i} long" for i in range(16)))
+        groups = simhash.bucket_groups(nodes, [(0, 1, 2), (1, 2, 3)], 16, 18)
+        assert groups.count() == 3
+        assert {(r.a, r.b) for r in simhash.group_links(groups, nodes, 16, 160).collect()} == {(3, 2)}
+
     def test_odd_rows_and_empty(self, spark):
         got = simhash.near_duplicates(docs(spark, ODD)).collect()
         assert len(got) == len(ODD)

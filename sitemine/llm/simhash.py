@@ -11,14 +11,16 @@ positions.  Exact mode: two 64-bit fingerprints that differ in at most d = 4 bit
 in at least 8 - d = 4 bytes, and of the first seven bytes in at least 3; all 35
 triples of those seven positions are keys, so every link meets in some bucket.
 Similarity mode: 1024-bit fingerprints, filed under a fixed spread of byte triples
-numerous enough to reach ``RECALL`` at the similarity asked for.
+numerous enough to reach ``RECALL`` at the similarity asked for.  Bits of very small sets
+differ more than that, so these are also filed under their smallest shingle hashes, of
+which two similar sets share one.
 
 Filtering.  In a bucket the shared positional bytes of each pair are tallied, pairs
 below the guaranteed minimum leave, and the rest are verified by their differing bits.
 A breadth-first sweep emits only the links of a spanning forest: a bucket of n
 neighbours yields n - 1 links, not n^2.  In similarity mode a bucket yields what hangs
 together by one word of the fingerprint; all words are then carried to these groups, and
-their forests hold verified links only.
+their forests join families, in which links are settled by exact Jaccard similarity.
 
 Defined cases: null, empty and blank texts have the zero fingerprint and are linked like
 any other; fewer words than a shingle form one shingle of them all; rows with a null id
@@ -50,7 +52,13 @@ MAX_BITS = 4
 STAGE_SHINGLE = 5
 SIMILARITY = 0.8
 WORDS = 16
-RECALL = 0.9
+RECALL = 0.999
+#: Standard deviations by which a pair's differing bits may pass the expected number.
+SIGMAS = 4
+#: Sets of so few shingles also meet by the shingles themselves: their bits differ more than expected.
+SHORT = 32
+#: Shingle sets (eight bytes a shingle) that a worker compares at a time.
+SET_ROWS = 2048
 _CHUNK = 65_536
 #: Ids (eight bytes each) that a broadcast may hold.
 ID_ROWS = 4_000_000
@@ -99,10 +107,12 @@ def bit_counts(h: np.ndarray) -> np.ndarray:
 def fingerprint(text: bytes | None, shingle: int = SHINGLE, words: int = 1, *, distinct: bool = False) -> list[int]:
     """``words`` unsigned 64-bit words of the text's SimHash; ``distinct`` counts each shingle once."""
     h = shingle_hashes(text or b"", shingle)
+    return fingerprint_of(np.unique(h) if distinct else h, words)
+
+
+def fingerprint_of(h: np.ndarray, words: int) -> list[int]:
     if not len(h):
         return [0] * words
-    if distinct:
-        h = np.unique(h)
     out = []
     for turn in range(words):
         ones = sum((bit_counts(remix(h[i : i + _CHUNK], turn)) for i in range(0, len(h), _CHUNK)), np.zeros(64, np.int64))
@@ -111,19 +121,31 @@ def fingerprint(text: bytes | None, shingle: int = SHINGLE, words: int = 1, *, d
 
 
 def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, words: int = 1, distinct: bool = False) -> DataFrame:
-    """(id, w0..): one row per row of ``docs``; words as signed longs."""
+    """(id, w0..): one row per row of ``docs``; words as signed longs.
+
+    ``distinct`` adds size and digest, the number and the sum of the distinct shingle hashes.
+    """
     names = [f"w{i}" for i in range(words)]
     kind = dict(docs.dtypes)[id_col]
+    more = ["size", "digest"] if distinct else []
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in (batch.slice(i, 1000) for i in range(0, batch.num_rows, 1000)):
-                made = [fingerprint(t, shingle, words, distinct=distinct) for t in part.column(1).to_pylist()]
+                made, sums = [], []
+                for t in part.column(1).to_pylist():
+                    h = shingle_hashes(t or b"", shingle)
+                    if distinct:
+                        h = np.unique(h)
+                        sums.append((len(h), h.sum(dtype=np.uint64)))
+                    made.append(fingerprint_of(h, words))
                 columns = [pa.array(np.array([m[i] for m in made], np.uint64).view(np.int64)) for i in range(words)]
-                yield pa.RecordBatch.from_arrays([part.column(0), *columns], names=["id", *names])
+                if distinct:
+                    columns += [pa.array([n for n, _ in sums], pa.int64()), pa.array(np.array([x for _, x in sums], np.uint64).view(np.int64))]
+                yield pa.RecordBatch.from_arrays([part.column(0), *columns], names=["id", *names, *more])
 
     rows = bounded_batches(docs).select(F.col(id_col).alias("id"), F.col(text).cast("binary").alias("text"))
-    return rows.mapInArrow(run, f"id {kind}, " + ", ".join(f"{n} long" for n in names))
+    return rows.mapInArrow(run, f"id {kind}, " + ", ".join(f"{n} long" for n in [*names, *more]))
 
 
 def exact_keys(max_bits: int = MAX_BITS) -> list[tuple[int, ...]]:
@@ -280,6 +302,67 @@ def group_links(groups: DataFrame, nodes: DataFrame, words: int, max_bits: int)
     return rows.repartition("grp").sortWithinPartitions("grp").mapInArrow(run, "a long, b long")
 
 
+def prefix(hashes: np.ndarray, similarity: float) -> np.ndarray:
+    """The smallest hashes of a sorted set: two sets of this Jaccard similarity share one of theirs."""
+    return hashes[: len(hashes) - math.ceil(similarity * len(hashes) - 1e-9) + 1]
+
+
+def set_rows(texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(key, node, shingles) from (node, family, text): a set under its family, a short one under its prefix too."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in (batch.slice(i, 100) for i in range(0, batch.num_rows, 100)):
+                keys, nodes, sets = [], [], []
+                for node, family, text in zip(*(part.column(c).to_pylist() for c in ("node", "family", "text")), strict=True):
+                    hashes = np.unique(shingle_hashes(text or b"", shingle))
+                    under = [] if family is None else [family]
+                    if len(hashes) <= SHORT:
+                        under += prefix(hashes, similarity).view(np.int64).tolist()
+                    keys += under
+                    nodes += [node] * len(under)
+                    sets += [hashes.astype("<u8").tobytes()] * len(under)
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(nodes, pa.int64()), pa.array(sets, pa.binary())], names=["key", "node", "shingles"])
+
+    return texts.select("node", "family", F.col("text").cast("binary").alias("text")).mapInArrow(run, "key long, node long, shingles binary")
+
+
+def alike(sets: list[np.ndarray], similarity: float) -> Callable[[np.ndarray, int], np.ndarray]:
+    """The link test of ``trees``: exact Jaccard similarity of sorted sets of hashes."""
+    size = np.array([len(x) for x in sets])
+    known, ids = np.unique(np.concatenate(sets), return_inverse=True)
+    ends = np.cumsum(size)
+    marked = np.zeros(len(known), bool)
+
+    def near(left: np.ndarray, at: int) -> np.ndarray:
+        own = ids[ends[at] - size[at] : ends[at]]
+        marked[own] = True
+        upto = np.concatenate([[0], np.cumsum(marked[ids])])
+        marked[own] = False
+        shared = upto[ends[left]] - upto[ends[left] - size[left]]
+        union = size[left] + size[at] - shared
+        return (union == 0) | (shared / np.maximum(union, 1) >= similarity)
+
+    return near
+
+
+def set_links(texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(a, b): a spanning forest, of links whose Jaccard similarity is reached, of the rows that meet under a key."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table, bounds in runs(batches):
+            nodes, shingles, found = table.column("node").to_numpy(), table.column("shingles"), []
+            for i in np.flatnonzero(np.diff(bounds) > 1):
+                low, high = bounds[i], bounds[i + 1]
+                sets = [np.frombuffer(x, "<u8") for x in shingles.slice(low, high - low).to_pylist()]
+                found += forest(nodes[low:high], alike(sets, similarity))
+            if found:
+                yield _link_batch(found)
+
+    dealt = deal(lambda some: set_rows(some, shingle, similarity), texts, block_rows=SET_ROWS)
+    return dealt.select("key", "bi", "bj", "node", "shingles").mapInArrow(run, "a long, b long")
+
+
 def near_duplicates(
     docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, max_bits: int = MAX_BITS
 ) -> DataFrame:
@@ -293,21 +376,24 @@ def near_duplicates(
 def similar_texts(
     docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = STAGE_SHINGLE, similarity: float = SIMILARITY, recall: float = RECALL
 ) -> DataFrame:
-    """(id, component): texts whose 1024-bit fingerprints over distinct shingles show ``similarity`` or more are linked.
+    """(id, component): texts whose sets of shingles have Jaccard ``similarity`` or more are linked.
 
-    The share of differing bits estimates the angle between two shingle sets, hence their
-    Jaccard similarity.  Pairs are kept up to the expected difference at ``similarity``
-    plus one standard deviation (of 1024 bits: 0.8 gives or takes 0.02).
+    The share of differing bits estimates the angle between two sets, hence their Jaccard
+    similarity.  Pairs within ``SIGMAS`` standard deviations of the expected difference join
+    families; inside a family every two sets are compared exactly, in blocks.
     """
     names = [f"w{i}" for i in range(WORDS)]
     prints = materialise(fingerprints(docs, id_col=id_col, text=text, shingle=shingle, words=WORDS, distinct=True))
-    nodes = materialise(prints.groupBy(*names).agg(F.min("id").cast("long").alias("node")))
+    nodes = materialise(prints.groupBy(*names, "size", "digest").agg(F.min("id").cast("long").alias("node")))
     share = similarity_bits(similarity)
-    probe_bits = math.floor(64 * share + 3 * math.sqrt(64 * share * (1 - share)))
-    all_bits = math.floor(64 * WORDS * share + math.sqrt(64 * WORDS * share * (1 - share)))
+    probe_bits, all_bits = (math.floor(n * share + SIGMAS * math.sqrt(n * share * (1 - share))) for n in (64, 64 * WORDS))
     groups = bucket_groups(nodes, spread_keys(WORDS, similarity, recall), WORDS, probe_bits)
-    links = group_links(groups, nodes, WORDS, all_bits)
-    return _with_components(prints, nodes, connected_components(links), names)
+    families = connected_components(group_links(groups, nodes, WORDS, all_bits)).select("node", F.col("component").alias("family"))
+    short = nodes.where((F.col("size") <= SHORT) & F.col("node").isNotNull()).select("node", F.lit(None).cast("long").alias("family"))
+    wanted = materialise(families.union(short).groupBy("node").agg(F.max("family").alias("family")))
+    own = bounded_batches(docs).select(F.col(id_col).alias("own_id"), F.col(text).alias("text"))
+    texts = own.join(broadcast_if_small(wanted, ID_ROWS), F.col("own_id") == F.col("node")).select("node", "family", "text")
+    return _with_components(prints, nodes, connected_components(set_links(texts, shingle, similarity)), [*names, "size", "digest"]).drop("size", "digest")
 
 
 def _with_components(prints: DataFrame, nodes: DataFrame, components: DataFrame, names: list[str]) -> DataFrame:

@@ -168,10 +168,10 @@ def read_id3v2(data: bytes) -> tuple[dict[str, str], int]:
     return tags, min(len(data), end + (10 if flags & 0x10 else 0))
 
 
-def _read_tail(data: bytes, tags: dict[str, str]) -> int:
+def _read_tail(data: bytes, tags: dict[str, str], tagged: bool) -> int:
     """Where the audio ends: ID3v1 and APEv2 tags behind it are read."""
     end = len(data)
-    if end >= 128 and data[end - 128 : end - 125] == b"TAG":
+    if tagged:
         end -= 128
         for name, a, b in (("id3v1.title", 3, 33), ("id3v1.artist", 33, 63), ("id3v1.album", 63, 93), ("id3v1.year", 93, 97)):
             if value := data[end + a : end + b].split(b"\0")[0].decode("latin-1").strip():
@@ -217,9 +217,19 @@ def _vbr(audio: Audio, frame: bytes, head: Header) -> bool:
 
 def parse(data: bytes) -> Audio:
     """Everything measurable of an MPEG audio stream; damage is counted, not fatal."""
+    tagged = len(data) >= 128 and data[-128:-125] == b"TAG"
+    if tagged:
+        audio, ended = _walk(data, False)
+        if ended:  # these bytes belong to the last frame
+            return audio
+    return _walk(data, tagged)[0]
+
+
+def _walk(data: bytes, tagged: bool) -> tuple[Audio, bool]:
+    """What the stream holds, with or without an ID3v1 tag behind it, and whether a frame ends where the audio does."""
     audio = Audio()
     audio.tags, at = read_id3v2(data)
-    end = _read_tail(data, audio.tags)
+    end = _read_tail(data, audio.tags, tagged)
     offsets: list[int] = []
     sure = False  # whether the byte at hand follows a frame that ended there
     while at + 4 <= end:
@@ -250,7 +260,7 @@ def parse(data: bytes) -> Audio:
         at, sure = at + head.size, True
     audio.junk += end - at
     audio.frames, audio.offsets = len(offsets), np.array(offsets, np.int64)
-    return audio
+    return audio, sure and at == end
 
 
 # The writer's frame: MPEG-2 Layer III with CRC, 144 kbit/s, 16 kHz, mono.

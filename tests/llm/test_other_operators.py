@@ -80,6 +80,15 @@ class TestAudio:
             assert r.media_sha256 == hashlib.sha256(mpeg_audio.store((text or "").encode())).hexdigest()
         assert mpeg_audio.store_and_measure(df.limit(0)).count() == 0
 
+    def test_text_that_looks_like_a_tag(self):
+        for content in (b"a" * 505 + b"TAG" + b"b" * 68, b"x" * (576 + 505) + b"TAG tail"):
+            data = mpeg_audio.store(content)
+            assert data[-128:-125] == b"TAG"
+            audio = mpeg_audio.parse(data)
+            assert mpeg_audio.payload_of(data, audio) == mpeg_audio.pad(content) and audio.junk == 0
+            tagged = mpeg_audio.parse(data + b"TAG" + b"title".ljust(125, b"\0"))
+            assert tagged.tags["id3v1.title"] == "title" and tagged.junk == 0 and tagged.frames == audio.frames
+
 
 class TestEmbeddings:
     def brute(self, rows, threshold=0.9):

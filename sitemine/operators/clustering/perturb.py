@@ -7,7 +7,8 @@ falls.  Only two clusters change in a move, so the test needs only their summari
 
 ``sequential`` mode lets each accepted move change the summaries seen by the next, in one
 task over the summaries.  ``batch`` mode evaluates all candidates at once as joins and
-accepts the best gains that share no cluster, round by round.
+accepts the best gains that share no cluster, round by round, until no candidate gains
+(``max_sweeps`` bounds sequential mode only).
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from pyspark.sql import functions as F
 from sitemine.functions.merge_columns import distance_np, merge_np, move_gain, remove_np, squared_distance
 from sitemine.operators.clustering.merge import MEMBERS, labels_of
 from sitemine.operators.clustering.stats import dimension
-from sitemine.session import materialise
+from sitemine.session import materialise, shared_table
 
 CLUSTERS = f"global_id int, n long, center array<double>, scatter double, n_members int, members {MEMBERS}"
 TRACE = "step int, kind string, a int, b int, total_scatter double"
@@ -138,10 +139,10 @@ def regroup(substats: DataFrame, labels: DataFrame) -> DataFrame:
     return sums.join(spread, "global_id").select("global_id", "n", "center", "scatter", F.size("members").alias("n_members"), "members")
 
 
-def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None, rounds: int) -> tuple[DataFrame, DataFrame]:
+def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None) -> tuple[DataFrame, DataFrame]:
     log = []
-    total = clusters.agg(F.sum("scatter")).first()[0]
-    for _ in range(rounds):
+    total = reached = clusters.agg(F.sum("scatter")).first()[0]
+    while True:
         options = materialise(moves(clusters, substats, b, bound).where("gain > 0"))
         # a move stands if it is the best of both clusters that it touches
         touched = options.select("global_id", "rival", "site", "local_id", "gain", F.explode(F.array("global_id", "rival")).alias("touched"))
@@ -151,11 +152,17 @@ def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: floa
         accepted = chosen.select("global_id", "rival", "gain").orderBy("global_id").collect()  # at most half the clusters
         if not accepted:
             break
+        labels = labels_of(clusters).join(chosen.select("site", "local_id", "rival"), ["site", "local_id"], "left")
+        # read from a table: a checkpoint's size estimate is a product that doubles its digits every round
+        moved, _ = shared_table(regroup(substats, labels.select("site", "local_id", F.coalesce("rival", "global_id").alias("global_id"))))
+        # the recomputed total has to fall strictly, or gains of rounding size could go round for ever
+        now = moved.agg(F.sum("scatter")).first()[0]
+        if not now < reached:
+            break
+        clusters, reached = moved, now
         for r in accepted:
             total -= r.gain
             log.append((len(log) + 1, "move_accept", r.global_id, r.rival, total))
-        labels = labels_of(clusters).join(chosen.select("site", "local_id", "rival"), ["site", "local_id"], "left")
-        clusters = materialise(regroup(substats, labels.select("site", "local_id", F.coalesce("rival", "global_id").alias("global_id"))))
     return clusters, clusters.sparkSession.createDataFrame(log, TRACE)
 
 
@@ -170,5 +177,5 @@ def perturb(
     if mode == "batch":
         if distance != "sqeuclidean":
             raise ValueError("batch mode needs squared distances")
-        return _batch(clusters, substats, border, bound, max(max_sweeps, 1) * 10)
+        return _batch(clusters, substats, border, bound)
     raise ValueError("mode must be sequential or batch")

@@ -148,6 +148,16 @@ def test_repair_by_hand(spark):
     assert perturb.multi_attributed(clusters, s, 1000.0).count() == 2 and perturb.multi_attributed(clusters, s, 0.5).count() == 0
 
 
+def test_batch_repair_goes_on_while_moves_gain(spark):
+    # twelve members of cluster 0 belong to cluster 1; a round moves one of them
+    rows = [(0, i, 50, [0.0], 0.0) for i in range(2)] + [(0, 10 + i, 1, [9.0 + i / 100], 0.0) for i in range(12)] + [(1, 0, 50, [10.0], 0.0)]
+    s = spark.createDataFrame(rows, STATS)
+    labels = spark.createDataFrame([(r[0], r[1], r[0]) for r in rows], "site int, local_id int, global_id int")
+    after, trace = perturb.perturb(perturb.regroup(s, labels), s, border=12, mode="batch")
+    assert trace.where("kind = 'move_accept'").count() == 12
+    assert sorted(r.n for r in after.collect()) == [62, 100]
+
+
 def test_repair_never_raises_the_total(spark):
     rng = np.random.default_rng(6)
     x = rng.normal(size=(600, 2)) * 5

@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import shutil
+import subprocess
+import sys
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
@@ -22,6 +25,18 @@ def test_registry():
     assert set(oracles) <= set(queries) and len(queries) > 60
 
 
+def test_core_stands_alone(tmp_path):
+    """Without the optional subpackage the entry points work, whether or not the pipeline's file was left."""
+    root = Path(__spark_entry__.__file__).resolve().parent
+    shutil.copytree(root / "sitemine", tmp_path / "sitemine", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    for name in ("__spark_entry__.py", "corpus_pipeline.py"):
+        if (root / name).exists():
+            shutil.copy(root / name, tmp_path / name)
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert 'pipeline' not in q and len(q) > 60 and set(o) <= set(q)"
+    said = subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env={"PYTHONPATH": str(tmp_path), "PATH": "/usr/bin:/bin"}, capture_output=True, text=True, timeout=120)
+    assert said.returncode == 0, said.stderr[-1500:]
+
+
 def test_flagship(spark):
     assert __spark_entry__.entry(spark).columns == ["itemset", "size", "support"]
 

@@ -7,20 +7,26 @@ remix the same hash.
 
 Index.  Equal fingerprints collapse to one node (the smallest id), so groups of exact
 copies cost one row each.  A node is filed under the values of its bytes at chosen
-positions.  Exact mode: two 64-bit fingerprints that differ in at most d = 4 bits agree
-in at least 8 - d = 4 bytes, and of the first seven bytes in at least 3; all 35
-triples of those seven positions are keys, so every link meets in some bucket.
-Similarity mode: 1024-bit fingerprints, filed under a fixed spread of byte triples
-numerous enough to reach ``RECALL`` at the similarity asked for.  Bits of very small sets
-differ more than that, so these are also filed under their smallest shingle hashes, of
-which two similar sets share one.
+positions: two 64-bit fingerprints that differ in at most d = 4 bits agree in at least
+8 - d = 4 bytes, and of the first seven bytes in at least 3; all 35 triples of those
+seven positions are keys, so every link meets in some bucket.
 
 Filtering.  In a bucket the shared positional bytes of each pair are tallied, pairs
 below the guaranteed minimum leave, and the rest are verified by their differing bits.
 A breadth-first sweep emits only the links of a spanning forest: a bucket of n
-neighbours yields n - 1 links, not n^2.  In similarity mode a bucket yields what hangs
-together by one word of the fingerprint; all words are then carried to these groups, and
-their forests join families, in which links are settled by exact Jaccard similarity.
+neighbours yields n - 1 links, not n^2.
+
+Similarity mode.  Two texts whose sets of shingles are similar at 0.8 differ in a fifth of
+their bits, so no byte of one short fingerprint is sure to agree and a tally of its bytes
+guarantees nothing.  Here the shingles are dealt by their hash to positions, and each
+position holds the SimHash word of its few shingles: where no shingle differs the word is
+the same.  A set is filed under its words at the first ``POSITIONS`` positions, a number
+that does not grow with the text; a pair at the threshold agrees in about a third of them
+and in none with a chance below 0.0001.  In a bucket, pairs whose 256-bit fingerprints are
+within ``SIGMAS`` standard deviations of the difference expected at the threshold join
+families; inside a family every two sets are compared exactly, in blocks.  Sets of at most
+``SHORT`` shingles are compared exactly wherever they share one of their smallest shingle
+hashes, which two similar sets always do.
 
 Defined cases: null, empty and blank texts have the zero fingerprint and are linked like
 any other; fewer words than a shingle form one shingle of them all; rows with a null id
@@ -51,8 +57,11 @@ MAX_BITS = 4
 #: Similarity mode.
 STAGE_SHINGLE = 5
 SIMILARITY = 0.8
-WORDS = 16
-RECALL = 0.999
+WORDS = 4
+#: Positions a set is filed under, of ``FEWEST`` times a power of four in all: at most ``CROWD`` shingles to each on average.
+POSITIONS = 32
+FEWEST = 64
+CROWD = 3
 #: Standard deviations by which a pair's differing bits may pass the expected number.
 SIGMAS = 4
 #: Sets of so few shingles also meet by the shingles themselves: their bits differ more than expected.
@@ -104,10 +113,9 @@ def bit_counts(h: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(sums).view(np.uint8).reshape(-1, 64).sum(axis=0, dtype=np.int64)
 
 
-def fingerprint(text: bytes | None, shingle: int = SHINGLE, words: int = 1, *, distinct: bool = False) -> list[int]:
-    """``words`` unsigned 64-bit words of the text's SimHash; ``distinct`` counts each shingle once."""
-    h = shingle_hashes(text or b"", shingle)
-    return fingerprint_of(np.unique(h) if distinct else h, words)
+def fingerprint(text: bytes | None, shingle: int = SHINGLE, words: int = 1) -> list[int]:
+    """``words`` unsigned 64-bit words of the text's SimHash."""
+    return fingerprint_of(shingle_hashes(text or b"", shingle), words)
 
 
 def fingerprint_of(h: np.ndarray, words: int) -> list[int]:
@@ -120,32 +128,68 @@ def fingerprint_of(h: np.ndarray, words: int) -> list[int]:
     return out
 
 
-def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, words: int = 1, distinct: bool = False) -> DataFrame:
-    """(id, w0..): one row per row of ``docs``; words as signed longs.
+def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE) -> DataFrame:
+    """(id, w0): the 64-bit fingerprint of each row of ``docs`` as a signed long."""
+    kind = dict(docs.dtypes)[id_col]
 
-    ``distinct`` adds size and digest, the number and the sum of the distinct shingle hashes.
-    """
-    names = [f"w{i}" for i in range(words)]
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            made = [fingerprint(t, shingle)[0] for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.array(made, np.uint64).view(np.int64))], names=["id", "w0"])
+
+    rows = bounded_batches(docs).select(F.col(id_col).alias("id"), F.col(text).cast("binary").alias("text"))
+    return rows.mapInArrow(run, f"id {kind}, w0 long")
+
+
+def position_words(h: np.ndarray, positions: int) -> tuple[np.ndarray, np.ndarray]:
+    """(position, word): SimHash words of the shingles dealt to each of the first ``POSITIONS`` of ``positions``."""
+    at = (remix(h, 7) >> np.uint64(32)) * np.uint64(positions) >> np.uint64(32)
+    own = np.flatnonzero(at < POSITIONS)
+    own = own[np.argsort(at[own], kind="stable")]
+    where, starts, sizes = np.unique(at[own], return_index=True, return_counts=True)
+    if not len(where):
+        return where, where
+    ones = np.zeros((len(where), 64), np.int64)
+    np.add.at(ones, np.repeat(np.arange(len(where)), sizes), np.unpackbits(remix(h[own], 8).astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little"))
+    return where, np.packbits(2 * ones > sizes[:, None], axis=1, bitorder="little").view("<u8").ravel()
+
+
+def position_keys(h: np.ndarray, ratio: float) -> np.ndarray:
+    """Keys of a set of shingle hashes; two sets whose sizes differ by no more than ``ratio`` use the same number of positions in one filing."""
+    if len(h) <= ratio * SHORT:
+        return np.empty(0, np.uint64)  # its partners are short as well
+    positions = FEWEST
+    while len(h) >= CROWD * positions:
+        positions *= 4
+    out = []
+    for many in (positions, 4 * positions) if len(h) >= ratio * CROWD * positions else (positions,):
+        where, words = position_words(h, many)
+        out.append(remix(words ^ remix(np.uint64(many * POSITIONS) + where, 9), 10))
+    return np.concatenate(out)
+
+
+def set_fingerprints(docs: DataFrame, *, id_col: str, text: str, shingle: int, ratio: float) -> DataFrame:
+    """(id, w0.., size, digest, keys): fingerprint words of the distinct shingles, their number, the sum of their hashes, keys of the index."""
+    names = [f"w{i}" for i in range(WORDS)]
     kind = dict(docs.dtypes)[id_col]
-    more = ["size", "digest"] if distinct else []
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in (batch.slice(i, 1000) for i in range(0, batch.num_rows, 1000)):
-                made, sums = [], []
-                for t in part.column(1).to_pylist():
-                    h = shingle_hashes(t or b"", shingle)
-                    if distinct:
-                        h = np.unique(h)
-                        sums.append((len(h), h.sum(dtype=np.uint64)))
-                    made.append(fingerprint_of(h, words))
-                columns = [pa.array(np.array([m[i] for m in made], np.uint64).view(np.int64)) for i in range(words)]
-                if distinct:
-                    columns += [pa.array([n for n, _ in sums], pa.int64()), pa.array(np.array([x for _, x in sums], np.uint64).view(np.int64))]
-                yield pa.RecordBatch.from_arrays([part.column(0), *columns], names=["id", *names, *more])
+            made, sizes, digests, keys = [], [], [], []
+            for t in batch.column(1).to_pylist():
+                h = np.unique(shingle_hashes(t or b"", shingle))
+                made.append(fingerprint_of(h, WORDS))
+                sizes.append(len(h))
+                digests.append(h.sum(dtype=np.uint64))
+                keys.append(position_keys(h, ratio).view(np.int64))
+            signed = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), *(signed([m[i] for m in made]) for i in range(WORDS)), pa.array(sizes, pa.int64()), signed(digests), pa.array(keys, pa.list_(pa.int64()))],
+                names=["id", *names, "size", "digest", "keys"],
+            )
 
     rows = bounded_batches(docs).select(F.col(id_col).alias("id"), F.col(text).cast("binary").alias("text"))
-    return rows.mapInArrow(run, f"id {kind}, " + ", ".join(f"{n} long" for n in [*names, *more]))
+    return rows.mapInArrow(run, f"id {kind}, " + ", ".join(f"{n} long" for n in [*names, "size", "digest"]) + ", keys array<long>")
 
 
 def exact_keys(max_bits: int = MAX_BITS) -> list[tuple[int, ...]]:
@@ -160,29 +204,37 @@ def exact_keys(max_bits: int = MAX_BITS) -> list[tuple[int, ...]]:
     return list(itertools.combinations(range(7), agree - 1))
 
 
-def similarity_bits(similarity: float) -> float:
-    """Expected share of differing bits between sets of this Jaccard similarity."""
-    return math.acos(2 * similarity / (1 + similarity)) / math.pi
+MEASURES = ("jaccard", "cosine")
+
+
+def similar(shared: np.ndarray, a: np.ndarray, b: int, similarity: float, measure: str) -> np.ndarray:
+    """Whether sets of a and b shingles that share so many reach the similarity; two empty sets do."""
+    union = a + b - shared
+    if measure == "jaccard":
+        return (union == 0) | (shared / np.maximum(union, 1) >= similarity)
+    return (union == 0) | (shared / np.sqrt(np.maximum(a * b, 1)) >= similarity)
 
 
-def spread_keys(words: int, similarity: float, recall: float) -> list[tuple[int, ...]]:
-    """Enough byte triples that a pair at ``similarity`` shares one with chance ``recall``."""
-    chance = (1 - similarity_bits(similarity)) ** 24
-    n = math.ceil(math.log(1 - recall) / math.log(1 - chance))
-    triples = list(itertools.combinations(range(8 * words), 3))
-    picked = np.random.default_rng(SEED).permutation(len(triples))[:n]
-    return [triples[i] for i in sorted(picked)]
+def size_ratio(similarity: float, measure: str) -> float:
+    """The least share of its partner's size, and of its own shingles, that a similar set has."""
+    if measure not in MEASURES:
+        raise ValueError(f"measure must be one of {', '.join(MEASURES)}")
+    return similarity if measure == "jaccard" else similarity**2
 
 
-def index_rows(nodes: DataFrame, positions: list[tuple[int, ...]], words: int) -> DataFrame:
-    """(key, node, probe): a node under each of its keys; probe is its first word."""
-    names = [f"w{i}" for i in range(words)]
+def similarity_bits(similarity: float, measure: str = "jaccard") -> float:
+    """Expected share of differing bits between sets at this similarity (sets of one size differ most)."""
+    return math.acos(2 * similarity / (1 + similarity) if measure == "jaccard" else similarity) / math.pi
+
+
+def index_rows(nodes: DataFrame, positions: list[tuple[int, ...]]) -> DataFrame:
+    """(key, node, probe): a node under each of its keys; probe is its fingerprint."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in (batch.slice(i, 1000) for i in range(0, batch.num_rows, 1000)):
-                fps = np.stack([part.column(n).to_numpy() for n in names], axis=1)
-                octets = fps.astype("<i8").view(np.uint8).reshape(len(fps), 8 * words).astype(np.int64)
+                fps = part.column("w0").to_numpy()
+                octets = fps.astype("<i8").view(np.uint8).reshape(len(fps), 8).astype(np.int64)
                 keys = np.empty((len(fps), len(positions)), np.int64)
                 for i, where in enumerate(positions):
                     key = np.full(len(fps), i, np.int64)
@@ -191,31 +243,25 @@ def index_rows(nodes: DataFrame, positions: list[tuple[int, ...]], words: int) -
                     keys[:, i] = key
                 k = len(positions)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(keys.ravel()), pa.array(np.repeat(part.column("node").to_numpy(), k)), pa.array(np.repeat(fps[:, 0], k))],
-                    names=["key", "node", "probe"],
+                    [pa.array(keys.ravel()), pa.array(np.repeat(part.column("node").to_numpy(), k)), pa.array(np.repeat(fps, k))], names=["key", "node", "probe"]
                 )
 
-    return nodes.select("node", *names).mapInArrow(run, "key long, node long, probe long")
+    return nodes.select("node", "w0").mapInArrow(run, "key long, node long, probe long")
 
 
-def trees(left: np.ndarray, near: Callable[[np.ndarray, int], np.ndarray]) -> Iterator[list[tuple[np.ndarray, int]]]:
-    """A spanning forest of the rows ``left``, tree by tree: [(rows reached, row reached from)]; ``near(rows, row)`` tests links."""
+def forest(nodes: np.ndarray, near: Callable[[np.ndarray, int], np.ndarray]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Links of a spanning forest of one bucket: arrays (nodes reached, node reached from); ``near(rows, row)`` tests links."""
+    left, found = np.argsort(nodes, kind="stable"), []
     while len(left) > 1:
-        queue, left, tree = [left[0]], left[1:], []
+        queue, left = [left[0]], left[1:]
         while queue and len(left):
             at = queue.pop()
             hit = near(left, at)
             if hit.any():
-                tree.append((left[hit], at))
+                found.append((nodes[left[hit]], np.full(int(hit.sum()), nodes[at])))
                 queue.extend(left[hit])
                 left = left[~hit]
-        if tree:
-            yield tree
-
-
-def forest(nodes: np.ndarray, near: Callable[[np.ndarray, int], np.ndarray]) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Links of a spanning forest of one bucket: arrays (nodes reached, node reached from)."""
-    return [(nodes[hit], np.full(len(hit), nodes[at])) for tree in trees(np.argsort(nodes, kind="stable"), near) for hit, at in tree]
+    return found
 
 
 def sweep(nodes: np.ndarray, prints: np.ndarray, max_bits: int, min_shared: int) -> list[tuple[np.ndarray, np.ndarray]]:
@@ -232,7 +278,7 @@ def linked(x: np.ndarray, y, max_bits: int, min_shared: int) -> np.ndarray:
     return out
 
 
-def bucket_links(nodes: DataFrame, positions: list[tuple[int, ...]], words: int, max_bits: int, min_shared: int) -> DataFrame:
+def bucket_links(nodes: DataFrame, positions: list[tuple[int, ...]], max_bits: int, min_shared: int) -> DataFrame:
     """(a, b): links of a spanning forest of every bucket; a node without id has no place."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -247,7 +293,7 @@ def bucket_links(nodes: DataFrame, positions: list[tuple[int, ...]], words: int,
             if sum(len(x) for x, _ in found):
                 yield _link_batch(found)
 
-    dealt = deal(lambda some: index_rows(some, positions, words), nodes.where(F.col("node").isNotNull()))
+    dealt = deal(lambda some: index_rows(some, positions), nodes.where(F.col("node").isNotNull()))
     return dealt.select("key", "bi", "bj", "node", "probe").mapInArrow(run, "a long, b long")
 
 
@@ -255,59 +301,35 @@ def _link_batch(found: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.concatenate([f[j] for f in found])) for j in (0, 1)], names=["a", "b"])
 
 
-def bucket_groups(nodes: DataFrame, positions: list[tuple[int, ...]], words: int, max_bits: int) -> DataFrame:
-    """(grp, node): what hangs together in a bucket by the first words alone, once for equal groups.
-
-    Groups are named by a sum of hashes: names that clash join groups and lose no pair.
-    """
+def family_links(nodes: DataFrame, max_bits: int) -> DataFrame:
+    """(a, b): a spanning forest of every bucket of (node, w0.., keys), of pairs whose fingerprints differ in at most ``max_bits``."""
+    names = [f"w{i}" for i in range(WORDS)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table, bounds in runs(batches):
             size = np.diff(bounds)
-            nodes, prints = table.column("node").to_numpy(), table.column("probe").to_numpy().view(np.uint64)
-            named = remix(nodes.view(np.uint64), 1)
+            nodes = table.column("node").to_numpy()
+            prints = np.stack([table.column(n).to_numpy() for n in names], axis=1).view(np.uint64)
+            close = lambda x, y: np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64) <= max_bits
             two = bounds[:-1][size == 2]
-            two = two[linked(prints[two], prints[two + 1], max_bits, 0)]
-            both = named[two] + named[two + 1]
-            found = [(both, nodes[two]), (both, nodes[two + 1])]
+            two = two[close(prints[two], prints[two + 1])]
+            found = [(nodes[two], nodes[two + 1])]
             for i in np.flatnonzero(size > 2):
-                rows = np.arange(bounds[i], bounds[i + 1])
-                for tree in trees(rows, lambda left, at: linked(prints[left], prints[at], max_bits, 0)):
-                    members = np.concatenate([[tree[0][1]], *[hit for hit, _ in tree]])
-                    found.append((np.full(len(members), named[members].sum(dtype=np.uint64)), nodes[members]))
+                mine = prints[bounds[i] : bounds[i + 1]]
+                found += forest(nodes[bounds[i] : bounds[i + 1]], lambda left, at, mine=mine: close(mine[left], mine[at]))
             if sum(len(x) for x, _ in found):
-                grp, node = (np.concatenate([f[j] for f in found]) for j in (0, 1))
-                yield pa.RecordBatch.from_arrays([pa.array(grp.view(np.int64)), pa.array(node)], names=["grp", "node"])
-
-    dealt = deal(lambda some: index_rows(some, positions, words), nodes.where(F.col("node").isNotNull()))
-    return dealt.select("key", "bi", "bj", "node", "probe").mapInArrow(run, "grp long, node long").distinct()
-
-
-def group_links(groups: DataFrame, nodes: DataFrame, words: int, max_bits: int) -> DataFrame:
-    """(a, b): a spanning forest of every group, of links that hold over all ``words``."""
-    names = [f"w{i}" for i in range(words)]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table, bounds in runs(batches, ("grp",)):
-            nodes = table.column("node").to_numpy()
-            prints = np.stack([table.column(n).to_numpy() for n in names], axis=1).view(np.uint64)
-            found = []
-            for low, high in zip(bounds[:-1], bounds[1:], strict=True):
-                mine = prints[low:high]
-                found += forest(nodes[low:high], lambda left, at, mine=mine: np.bitwise_count(mine[left] ^ mine[at]).sum(axis=1, dtype=np.int64) <= max_bits)
-            if found:
                 yield _link_batch(found)
 
-    rows = groups.join(nodes.select("node", *names), "node").select("grp", "node", *names)
-    return rows.repartition("grp").sortWithinPartitions("grp").mapInArrow(run, "a long, b long")
+    dealt = deal(lambda some: some.select(F.explode("keys").alias("key"), "node", *names), nodes)
+    return dealt.select("key", "bi", "bj", "node", *names).mapInArrow(run, "a long, b long")
 
 
-def prefix(hashes: np.ndarray, similarity: float) -> np.ndarray:
-    """The smallest hashes of a sorted set: two sets of this Jaccard similarity share one of theirs."""
-    return hashes[: len(hashes) - math.ceil(similarity * len(hashes) - 1e-9) + 1]
+def prefix(hashes: np.ndarray, ratio: float) -> np.ndarray:
+    """The smallest hashes of a sorted set: two sets that share at least ``ratio`` of either share one of theirs."""
+    return hashes[: len(hashes) - math.ceil(ratio * len(hashes) - 1e-9) + 1]
 
 
-def set_rows(texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
+def set_rows(texts: DataFrame, shingle: int, ratio: float) -> DataFrame:
     """(key, node, shingles) from (node, family, text): a set under its family, a short one under its prefix too."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -318,7 +340,7 @@ def set_rows(texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
                     hashes = np.unique(shingle_hashes(text or b"", shingle))
                     under = [] if family is None else [family]
                     if len(hashes) <= SHORT:
-                        under += prefix(hashes, similarity).view(np.int64).tolist()
+                        under += prefix(hashes, ratio).view(np.int64).tolist()
                     keys += under
                     nodes += [node] * len(under)
                     sets += [hashes.astype("<u8").tobytes()] * len(under)
@@ -327,8 +349,8 @@ def set_rows(texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
     return texts.select("node", "family", F.col("text").cast("binary").alias("text")).mapInArrow(run, "key long, node long, shingles binary")
 
 
-def alike(sets: list[np.ndarray], similarity: float) -> Callable[[np.ndarray, int], np.ndarray]:
-    """The link test of ``trees``: exact Jaccard similarity of sorted sets of hashes."""
+def alike(sets: list[np.ndarray], similarity: float, measure: str = "jaccard") -> Callable[[np.ndarray, int], np.ndarray]:
+    """The link test of ``forest``: exact similarity of sorted sets of hashes."""
     size = np.array([len(x) for x in sets])
     known, ids = np.unique(np.concatenate(sets), return_inverse=True)
     ends = np.cumsum(size)
@@ -340,14 +362,14 @@ def alike(sets: list[np.ndarray], similarity: float) -> Callable[[np.ndarray, in
         upto = np.concatenate([[0], np.cumsum(marked[ids])])
         marked[own] = False
         shared = upto[ends[left]] - upto[ends[left] - size[left]]
-        union = size[left] + size[at] - shared
-        return (union == 0) | (shared / np.maximum(union, 1) >= similarity)
+        return similar(shared, size[left], size[at], similarity, measure)
 
     return near
 
 
-def set_links(texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
-    """(a, b): a spanning forest, of links whose Jaccard similarity is reached, of the rows that meet under a key."""
+def set_links(texts: DataFrame, shingle: int, similarity: float, measure: str) -> DataFrame:
+    """(a, b): a spanning forest, of links whose similarity is reached, of the rows that meet under a key."""
+    ratio = size_ratio(similarity, measure)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table, bounds in runs(batches):
@@ -355,11 +377,11 @@ def set_links(texts: DataFrame, shingle: int, similarity: float) -> DataFrame:
             for i in np.flatnonzero(np.diff(bounds) > 1):
                 low, high = bounds[i], bounds[i + 1]
                 sets = [np.frombuffer(x, "<u8") for x in shingles.slice(low, high - low).to_pylist()]
-                found += forest(nodes[low:high], alike(sets, similarity))
+                found += forest(nodes[low:high], alike(sets, similarity, measure))
             if found:
                 yield _link_batch(found)
 
-    dealt = deal(lambda some: set_rows(some, shingle, similarity), texts, block_rows=SET_ROWS)
+    dealt = deal(lambda some: set_rows(some, shingle, ratio), texts, block_rows=SET_ROWS)
     return dealt.select("key", "bi", "bj", "node", "shingles").mapInArrow(run, "a long, b long")
 
 
@@ -369,31 +391,32 @@ def near_duplicates(
     """(id, fingerprint long, component): exact 64-bit mode, one row per row of ``docs``."""
     prints = materialise(fingerprints(docs, id_col=id_col, text=text, shingle=shingle))
     nodes = materialise(prints.groupBy("w0").agg(F.min("id").cast("long").alias("node")))
-    joined = connected_components(bucket_links(nodes, exact_keys(max_bits), 1, max_bits, 8 - max_bits).distinct())
+    joined = connected_components(bucket_links(nodes, exact_keys(max_bits), max_bits, 8 - max_bits).distinct())
     return _with_components(prints, nodes, joined, ["w0"]).withColumnRenamed("w0", "fingerprint")
 
 
 def similar_texts(
-    docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = STAGE_SHINGLE, similarity: float = SIMILARITY, recall: float = RECALL
+    docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", shingle: int = STAGE_SHINGLE, similarity: float = SIMILARITY, measure: str = "jaccard"
 ) -> DataFrame:
-    """(id, component): texts whose sets of shingles have Jaccard ``similarity`` or more are linked.
+    """(id, component): texts whose sets of shingles reach ``similarity`` are linked.
 
-    The share of differing bits estimates the angle between two sets, hence their Jaccard
-    similarity.  Pairs within ``SIGMAS`` standard deviations of the expected difference join
-    families; inside a family every two sets are compared exactly, in blocks.
+    ``measure``: jaccard, or cosine (shared shingles over the root of the product of the
+    sizes), which is what SimHash bits estimate.
     """
     names = [f"w{i}" for i in range(WORDS)]
-    prints = materialise(fingerprints(docs, id_col=id_col, text=text, shingle=shingle, words=WORDS, distinct=True))
+    prints = materialise(set_fingerprints(docs, id_col=id_col, text=text, shingle=shingle, ratio=size_ratio(similarity, measure)))
     nodes = materialise(prints.groupBy(*names, "size", "digest").agg(F.min("id").cast("long").alias("node")))
-    share = similarity_bits(similarity)
-    probe_bits, all_bits = (math.floor(n * share + SIGMAS * math.sqrt(n * share * (1 - share))) for n in (64, 64 * WORDS))
-    groups = bucket_groups(nodes, spread_keys(WORDS, similarity, recall), WORDS, probe_bits)
-    families = connected_components(group_links(groups, nodes, WORDS, all_bits)).select("node", F.col("component").alias("family"))
+    share, bits = similarity_bits(similarity, measure), 64 * WORDS
+    max_bits = math.floor(bits * share + SIGMAS * math.sqrt(bits * share * (1 - share)))
+    own = prints.select(F.col("id").cast("long").alias("node"), *names, "keys").where(F.size("keys") > 0)
+    ids = broadcast_if_small(nodes.where(F.col("node").isNotNull()).select("node"), ID_ROWS)
+    families = connected_components(family_links(own.join(ids, "node", "left_semi"), max_bits)).select("node", F.col("component").alias("family"))
     short = nodes.where((F.col("size") <= SHORT) & F.col("node").isNotNull()).select("node", F.lit(None).cast("long").alias("family"))
     wanted = materialise(families.union(short).groupBy("node").agg(F.max("family").alias("family")))
     own = bounded_batches(docs).select(F.col(id_col).alias("own_id"), F.col(text).alias("text"))
     texts = own.join(broadcast_if_small(wanted, ID_ROWS), F.col("own_id") == F.col("node")).select("node", "family", "text")
-    return _with_components(prints, nodes, connected_components(set_links(texts, shingle, similarity)), [*names, "size", "digest"]).drop("size", "digest")
+    prints = prints.drop("keys")
+    return _with_components(prints, nodes, connected_components(set_links(texts, shingle, similarity, measure)), [*names, "size", "digest"]).drop("size", "digest")
 
 
 def _with_components(prints: DataFrame, nodes: DataFrame, components: DataFrame, names: list[str]) -> DataFrame:
@@ -402,13 +425,13 @@ def _with_components(prints: DataFrame, nodes: DataFrame, components: DataFrame,
     return prints.join(known, same).drop(*[f"of_{n}" for n in names])
 
 
-def drop_near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+def drop_near_duplicates(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", measure: str = "cosine") -> DataFrame:
     """``docs`` with one document (the smallest id) of each group of similar texts.
 
     Rows that repeat the id that stays are reduced to one; rows with a null id stay.
     """
     own = fresh_name(docs, "dup_id")
-    groups = materialise(similar_texts(docs, id_col=id_col, text=text).select(F.col("id").alias(own), "component_id"))
+    groups = materialise(similar_texts(docs, id_col=id_col, text=text, measure=measure).select(F.col("id").alias(own), "component_id"))
     gone = groups.where(F.col(own) != F.col("component_id")).select(own)
     kept = docs.join(broadcast_if_small(gone, ID_ROWS), F.col(id_col) == F.col(own), "left_anti")
     repeated = groups.where(F.col(own).isNotNull()).groupBy(own).count().where("count > 1")

@@ -6,6 +6,7 @@ import hashlib
 import random
 import re
 
+import numpy as np
 import pytest
 import xxhash
 from tokenizers import Tokenizer
@@ -138,7 +139,7 @@ class TestSimhash:
         nodes = spark.createDataFrame([(i, p - 2**64 if p >= 2**63 else p) for i, p in enumerate(prints)], "node long, w0 long").dropDuplicates(["w0"])
         real = simhash.deal
         monkeypatch.setattr(simhash, "deal", lambda *a, **k: real(*a, **k, block_rows=256))
-        links = simhash.bucket_links(nodes, simhash.exact_keys(4), 1, 4, 4)
+        links = simhash.bucket_links(nodes, simhash.exact_keys(4), 4, 4)
         assert components.connected_components(links).select("component").distinct().count() == 1
 
     def test_similar_texts_and_stage(self, spark):
@@ -186,12 +187,42 @@ class TestSimhash:
 
     def test_a_loose_neighbour_does_not_hide_a_link(self, spark):
         rng = random.Random(9)
-        far, near = ([rng.getrandbits(63) for _ in range(15)] for _ in range(2))
-        prints = [(1, 5, *far), (2, 5, *near), (3, 5, near[0] ^ 1, *near[1:])]
-        nodes = spark.createDataFrame(prints, "node long, " + ", ".join(f"w{i} long" for i in range(16)))
-        groups = simhash.bucket_groups(nodes, [(0, 1, 2), (1, 2, 3)], 16, 18)
-        assert groups.count() == 3
-        assert {(r.a, r.b) for r in simhash.group_links(groups, nodes, 16, 160).collect()} == {(3, 2)}
+        far, near = ([rng.getrandbits(63) for _ in range(4)] for _ in range(2))
+        prints = [(1, [5, 6], *far), (2, [5, 7], *near), (3, [5, 8], near[0] ^ 1, *near[1:]), (4, [9], *near)]
+        nodes = spark.createDataFrame(prints, "node long, keys array<long>, " + ", ".join(f"w{i} long" for i in range(4)))
+        assert {(r.a, r.b) for r in simhash.family_links(nodes, 60).collect()} == {(3, 2)}
+
+    @pytest.mark.parametrize("measure", ["jaccard", "cosine"])
+    def test_similar_pairs_meet_whatever_their_size(self, measure):
+        """Brute force of the index: of pairs just at the threshold nearly all share a key, at every size and size ratio."""
+        rng = np.random.default_rng(11)
+        ratio = simhash.size_ratio(0.8, measure)
+        for n in (33, 60, 130, 185, 193, 300, 500, 760, 770, 2000, 3100, 12_000):
+            met = 0
+            for turn in range(60):
+                smaller = n if turn % 2 else round(n * (1 + ratio) / 2)
+                need = 0.8 / 1.8 * (n + smaller) if measure == "jaccard" else 0.8 * (n * smaller) ** 0.5
+                shared = min(smaller, int(need) + 1)
+                made = np.unique(rng.integers(0, 2**64, n + smaller, np.uint64))
+                a, b = np.sort(made[:n]), np.sort(np.concatenate([made[:shared], made[n : n + smaller - shared]]))
+                met += bool(np.intersect1d(simhash.position_keys(a, ratio), simhash.position_keys(b, ratio)).size)
+            assert met == 60, (measure, n, met)
+
+    def test_cosine_families(self, spark):
+        rng = random.Random(12)
+        word = lambda: "".join(rng.choices("abcdefghij", k=6))
+        rows, sets = [], {}
+        for i in range(120):  # copies with words changed, at cosines from about 0.6 to 0.95
+            base = [word() for _ in range(rng.choice([20, 60, 150, 400, 900]))]
+            near = [w if rng.random() > rng.choice([0.01, 0.03, 0.05, 0.08]) else word() for w in base]
+            rows += [(i, " ".join(base), "a"), (1000 + i, " ".join(near), "a")]
+        for i, t, _ in rows:
+            w = t.split()
+            sets[i] = {tuple(w[j : j + 5]) for j in range(len(w) - 4)}
+        got = {r.id: r.component_id for r in simhash.similar_texts(docs(spark, rows), measure="cosine").collect()}
+        for i in range(120):
+            a, b = sets[i], sets[1000 + i]
+            assert (got[1000 + i] == i) == (len(a & b) / (len(a) * len(b)) ** 0.5 >= 0.8), i
 
     def test_odd_rows_and_empty(self, spark):
         got = simhash.near_duplicates(docs(spark, ODD)).collect()

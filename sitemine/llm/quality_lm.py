@@ -1,54 +1,71 @@
 """Quality classifier: interpolated modified Kneser-Ney over trusted text.
 
-Trusted documents (labelled good and not toxic) train one character trigram model per
-language and one pooled model for texts of no or an unknown language.  Characters are
-classes: the most common code points of all trusted text have their own, the rest share
-one, so a model never has more than ``CLASSES``^3 entries, whatever the corpus.
-
-Counting reads every trusted document in place: a task adds its documents up per
-language and emits its non-zero counts, which Spark sums by n-gram.  Everything after is
-joins of count tables sharded by (model, context) or (model, n-gram): counts with the
-totals and freed mass of their context, and with the lower order's probabilities; lower
-orders use continuation counts, discounts come from counts of counts per model and order.
-
-Scoring joins too.  The n-grams that occur in any document get their log probability
-from the count tables (backing off where one was not seen).  Each document then emits its
-distinct n-grams with their counts, which meet the shards of that table one by one: a
-shard is small enough to be broadcast, sums combine before the only shuffle, and a
-document costs one row there.  Its perplexity is the exponential of its mean negative log
-probability.  Its surprise is that mean drawn towards the model's own as if ``PRIOR``
-average characters were added, so a short text needs more than one odd word to fall.  It
-is kept unless its surprise exceeds the ``quantile`` of trusted documents in its model.
-
-Defined cases: null or empty text is kept, with null perplexity; null languages use
-the pooled model; without trusted documents everything is kept, with null perplexity;
-null ids are scored and never trusted; repeated rows are scored alike; other columns
-pass through; an empty table gives an empty table.
+Trusted documents (labelled good and not toxic) train models of four code points each, one
+pair for each language and, where texts of no or an unknown language are there, a pooled
+pair.  Any code point counts as itself: the tables grow with the trusted text.
+
+Two halves.  Documents are halved by a hash of their text.  Each half's trusted texts train
+a model that scores the other half, so no document, trusted or not, is scored by a model
+that has seen it, and copies of a text are scored alike.
+
+Counting reads every trusted document in place: a task adds n-grams up per language and
+half and emits each once, and Spark sums them.  Everything after is joins of count tables
+keyed by (model, context): counts with the totals and freed mass of their context and with
+the lower order's probabilities; lower orders use continuation counts, discounts come from
+counts of counts per model and order.
+
+Scoring joins documents' n-grams with those tables, backing off where one was not seen.
+Tables of up to ``TABLE_ROWS`` rows in all are broadcast as sorted hashes and met in place,
+so no document leaves its task; larger ones meet the documents' distinct n-grams, emitted
+once, in joins dealt by (model, context, point).  Both give the same sums.  A document's
+perplexity is the exponential of its mean negative log probability.  Its own perplexity is
+that of its points under its own pairs of points: a text that repeats itself predicts itself.
+
+Thresholds are quantiles over trusted documents of a language, by bands of text length (a
+band of fewer than ``MIN_BAND`` trusted documents uses the whole language's perplexities and
+no threshold of own perplexity).  A document is kept unless its perplexity exceeds the
+``quantile`` or its own perplexity is below the opposite one.
+
+Defined cases: null or empty text is kept, with null perplexities; null languages and those
+without trusted text in both halves use the pooled models, and without those two halves
+a text that its half's model would have to score is kept; without trusted documents everything is kept,
+with null perplexities; null ids are scored and never trusted; repeated rows are scored
+alike; other columns pass through; an empty table gives an empty table.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sitemine.llm.common import bounded_batches, fresh_name
-from sitemine.session import broadcast_if_small, materialise
+from sitemine.session import broadcast_if_small, drop_shared, materialise, shared_table
 
-CLASSES = 128
-#: Classes 0 and 1 are the edge of a text and any character without a class of its own.
-_FIRST = 2
+#: Code points of an n-gram; a context of three fits a long.
+ORDER = 4
+#: Bits of a code point, and the point that stands for what is before and after a text.
+POINT = 21
+EDGE = (1 << POINT) - 1
 QUANTILE = 0.998
-PRIOR = 100
+#: Bands are powers of two of the number of n-grams, the outer ones open.
+BANDS = (5, 14)
+MIN_BAND = 50
 POOLED = "*"
-#: Rows of a shard of the probability table (an n-gram and a number each).
-SHARD_ROWS = 1_000_000
+#: Rows of all tables together that a worker holds (16 bytes each and an index).
+TABLE_ROWS = 6_000_000
+#: Points of a text that are looked up at a time.
+CHUNK = 1 << 18
+#: N-grams that a task gathers before it adds them up.
+GATHER = 1 << 21
 #: Ids (eight bytes each) that a broadcast may hold.
 ID_ROWS = 4_000_000
+_M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 
 
 def trusted_ids(labels: DataFrame) -> DataFrame:
@@ -57,79 +74,93 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where(good & F.col("doc_id").isNotNull()).select("doc_id").distinct()
 
 
-def _points(text: str) -> np.ndarray:
-    return np.frombuffer(text.encode("utf-32-le", "replace"), "<u4")
+def points_of(text: str) -> np.ndarray:
+    return np.frombuffer(text.encode("utf-32-le", "replace"), "<u4").astype(np.int64)
 
 
-def class_table(alphabet: np.ndarray) -> np.ndarray:
-    table = np.ones(0x110000, np.uint8)
-    table[alphabet] = np.arange(_FIRST, _FIRST + len(alphabet))
-    return table
+def grams(points: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(contexts, points that follow) of a text's n-grams, ``CHUNK`` at a time: three edges before it and one after."""
+    edges = np.full(ORDER - 1, EDGE)
+    x = np.concatenate([edges, points, edges[:1]])
+    for i in range(0, len(points) + 1, CHUNK):
+        part = x[i : i + CHUNK + ORDER - 1]
+        n = len(part) - ORDER + 1
+        context = np.zeros(n, np.int64)
+        for k in range(ORDER - 1):
+            context = context << POINT | part[k : k + n]
+        yield context, part[ORDER - 1 :]
 
 
-def trigrams(classes: np.ndarray) -> np.ndarray:
-    """Codes of the trigrams of a text's classes, two edges before it and one after."""
-    x = np.zeros(len(classes) + 3, np.int32)
-    x[2:-1] = classes
-    return (x[:-2] * CLASSES + x[1:-1]) * CLASSES + x[2:]
+def mixed(*parts: np.ndarray | int) -> np.ndarray:
+    """A 64-bit hash of numbers, the same wherever it is taken."""
+    out = np.zeros(1, np.uint64)
+    for part in parts:
+        out = (out ^ np.asarray(part).astype(np.uint64)) * _M1
+        out = (out ^ (out >> np.uint64(29))) * _M2
+        out = out ^ (out >> np.uint64(32))
+    return out
 
 
-def alphabet_of(texts: DataFrame) -> np.ndarray:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen = np.zeros(0x110000, np.int64)
-        for batch in batches:
-            for text in batch.column(0).to_pylist():
-                np.add(seen[: 1 << 16], np.bincount(np.minimum(p := _points(text or ""), 0xFFFF), minlength=1 << 16), out=seen[: 1 << 16])
-                if len(p) and p.max() > 0xFFFF:
-                    high = p[p > 0xFFFF]
-                    seen[0xFFFF] -= len(high)
-                    np.add.at(seen, high, 1)
-        found = np.flatnonzero(seen)
-        yield pa.RecordBatch.from_arrays([pa.array(found), pa.array(seen[found])], names=["c", "n"])
+def half_of(text: Column) -> Column:
+    return F.pmod(F.xxhash64(text), F.lit(2)).cast("int")
 
-    top = texts.mapInArrow(run, "c long, n long").groupBy("c").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "c").limit(CLASSES - _FIRST)
-    return np.array(sorted(r.c for r in top.collect()), np.int64)
 
+def languages_of(trusted: DataFrame) -> list[str]:
+    """The languages with trusted text in both halves, in order.
 
-def count_trigrams(docs: DataFrame, alphabet: np.ndarray) -> DataFrame:
-    """(model, code, n) from (lang, text): counts for each language and for all together."""
+    A model's number is twice the place of its language, plus the half that trained it.
+    """
+    halves = trusted.where(F.col("lang").isNotNull()).groupBy("lang").agg(F.min("half").alias("low"), F.max("half").alias("high"))
+    return sorted(r.lang for r in halves.where("low < high").collect())
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = class_table(alphabet)
-        counts: dict[str | None, np.ndarray] = {}
 
-        def out() -> Iterator[pa.RecordBatch]:
-            for lang, seen in counts.items():
-                found = np.flatnonzero(seen)
-                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(found), pa.string()), pa.array(found), pa.array(seen[found])], names=["lang", "code", "n"])
-            counts.clear()
+def count_grams(trusted: DataFrame, languages: list[str], *, pooled: bool = True, gather: int = GATHER) -> DataFrame:
+    """(number, context, point, n) from (lang, half, text): n-grams of each language and half, and of all languages if ``pooled``."""
+    place = {name: i for i, name in enumerate(languages)}
+    none = len(languages)
 
-        for batch in batches:
-            for lang, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                if lang not in counts and len(counts) >= 8:
-                    yield from out()
-                seen = counts.setdefault(lang, np.zeros(CLASSES**3, np.int64))
-                codes = trigrams(table[_points(text or "")])
-                if len(codes) > 50_000:
-                    seen += np.bincount(codes, minlength=len(seen))
-                else:
-                    found, n = np.unique(codes, return_counts=True)
-                    seen[found] += n
-        yield from out()
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, ...]] = []
+        waiting = size = 0
 
-    each = materialise(docs.select("lang", "text").mapInArrow(run, "lang string, code long, n long").groupBy("lang", "code").agg(F.sum("n").alias("n")))
-    own = each.where(F.col("lang").isNotNull()).select(model_of(F.col("lang")).alias("model"), "code", "n")
-    return materialise(own.union(each.groupBy("code").agg(F.sum("n").alias("n")).select(F.lit(POOLED).alias("model"), "code", "n")))
+        def added() -> list[tuple[np.ndarray, ...]]:
+            number, context, point, n = (np.concatenate([h[i] for h in held]) for i in range(4))
+            _, first, inverse = np.unique(mixed(number, context, point), return_index=True, return_inverse=True)
+            return [(number[first], context[first], point[first], np.bincount(inverse, n).astype(np.int64))]
 
+        def out() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(x) for x in held[0]], names=["number", "context", "point", "n"])
 
-def model_of(lang: Column) -> Column:
-    return F.coalesce(F.concat(F.lit("="), lang), F.lit(POOLED))
+        for batch in batches:
+            for lang, half, text in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+                number = 2 * place.get(lang, none) + half
+                for context, point in grams(points_of(text or "")):
+                    held.append((np.full(len(point), number), context, point, np.ones(len(point), np.int64)))
+                    waiting += len(point)
+                    if waiting >= gather:
+                        held = added()
+                        waiting, size = 0, len(held[0][0])
+                        if size >= gather:
+                            yield out()
+                            held = []
+        if held:
+            held = added()
+            yield out()
+
+    keys = ["number", "context", "point"]
+    each = trusted.select("lang", "half", "text").mapInArrow(run, "number long, context long, point long, n long").groupBy(*keys).agg(F.sum("n").alias("n"))
+    own = F.col("number") < 2 * none
+    if not pooled:
+        return materialise(each.where(own))
+    each = materialise(each)
+    together = each.groupBy((F.pmod("number", F.lit(2)) + 2 * none).alias("number"), "context", "point").agg(F.sum("n").alias("n"))
+    return materialise(each.where(own).union(together))
 
 
 def discounts(counts: DataFrame) -> DataFrame:
-    """(model, d1, d2, d3) of one order: the modified discounts from counts of counts."""
+    """(number, d1, d2, d3) of one order: the modified discounts from counts of counts."""
     n = [None, *(F.sum((F.col("n") == i).cast("long")) for i in range(1, 5))]
-    found = counts.groupBy("model").agg(*[n[i].alias(f"n{i}") for i in range(1, 5)])
+    found = counts.groupBy("number").agg(*[n[i].alias(f"n{i}") for i in range(1, 5)])
     base = F.col("n1") / F.nullif(F.col("n1") + 2 * F.col("n2"), F.lit(0))
 
     def d(i: int) -> Column:
@@ -137,153 +168,260 @@ def discounts(counts: DataFrame) -> DataFrame:
         # tiny samples leave the estimate outside its range or undefined: half a count then
         return F.when((raw > 0) & (raw < i), raw).otherwise(F.lit(0.5))
 
-    return found.select("model", *[d(i).alias(f"d{i}") for i in (1, 2, 3)])
+    return found.select("number", *[d(i).alias(f"d{i}") for i in (1, 2, 3)])
 
 
 def discount_of(n: Column) -> Column:
     return F.when(n == 1, F.col("d1")).when(n == 2, F.col("d2")).otherwise(F.col("d3"))
 
 
-def _contexts(counts: DataFrame) -> DataFrame:
-    """(model, context, total, held): counts of a context and the mass its discounts free."""
-    with_d = counts.join(F.broadcast(discounts(counts)), "model")
-    off = discount_of(F.col("n"))
-    return with_d.groupBy("model", F.floor(F.col("code") / CLASSES).alias("context")).agg(F.sum("n").alias("total"), (F.sum(off) / F.sum("n")).alias("held"))
-
-
-def _order(counts: DataFrame, lower: DataFrame, modulus: int) -> tuple[DataFrame, DataFrame]:
-    """Probabilities of the seen n-grams (model, code, n, p) and the contexts' freed mass (model, context, held)."""
-    contexts = materialise(_contexts(counts))
-    keyed = counts.join(F.broadcast(discounts(counts)), "model").withColumn("context", F.floor(F.col("code") / CLASSES)).withColumn("tail", F.col("code") % modulus)
-    below = lower.select("model", F.col("code").alias("tail"), F.col("p").alias("p_lower"))
-    joined = keyed.join(contexts, ["model", "context"]).join(below, ["model", "tail"])
-    p = (F.col("n") - discount_of(F.col("n"))) / F.col("total") + F.col("held") * F.col("p_lower")
-    return materialise(joined.select("model", "code", "n", p.alias("p"))), contexts
+def shorter(context: Column, points: int) -> Column:
+    """The last ``points`` points of a context."""
+    return context.bitwiseAND(F.lit((1 << POINT * points) - 1))
 
 
 @dataclass
 class Model:
-    """Count tables joined to probabilities, order by order; all are tables of the cluster."""
-
-    orders: list[tuple[DataFrame, DataFrame]]  # (seen n-grams with p, contexts with held) of orders 1 to 3
-    names: DataFrame  # model, number, mean: the mean surprise of its own text
-    alphabet: np.ndarray
-
-
-def kneser_ney(tri: DataFrame, alphabet: np.ndarray) -> Model:
-    """The models from trigram counts."""
-    bi = materialise(tri.groupBy("model", (F.col("code") % CLASSES**2).alias("code")).agg(F.count("*").alias("n")))
-    uni = materialise(bi.groupBy("model", (F.col("code") % CLASSES).alias("code")).agg(F.count("*").alias("n")))
-    flat = uni.select("model", F.lit(0).cast("long").alias("code"), F.lit(1 / CLASSES).alias("p")).distinct()
-    first = _order(uni, flat, 1)
-    second = _order(bi, first[0], CLASSES)
-    third = _order(tri, second[0], CLASSES**2)
-    means = third[0].groupBy("model").agg((-F.sum(F.col("n") * F.log("p")) / F.sum("n")).alias("mean"))
-    number = F.row_number().over(Window.orderBy("model")) - 1  # a row per language
-    return Model([first, second, third], materialise(means.select("model", number.cast("long").alias("number"), "mean")), alphabet)
-
-
-def probabilities(grams: DataFrame, model: Model) -> DataFrame:
-    """(model, code, p) of any trigrams (model, code), backing off where one was not seen."""
-    out = grams.select("model", "code")
-    p = F.lit(1 / CLASSES)
-    for order, (seen, contexts) in enumerate(model.orders, 1):
-        tail = F.col("code") % CLASSES**order
-        own = seen.select(F.col("model").alias("m"), F.col("code").alias("c"), F.col("p").alias(f"p{order}"))
-        free = contexts.select(F.col("model").alias("k"), F.col("context").alias("x"), F.col("held").alias(f"held{order}"))
-        out = out.join(own, (F.col("model") == F.col("m")) & (tail == F.col("c")), "left").drop("m", "c")
-        out = out.join(free, (F.col("model") == F.col("k")) & (F.floor(tail / CLASSES) == F.col("x")), "left").drop("k", "x")
-        p = F.coalesce(F.col(f"p{order}"), F.coalesce(F.col(f"held{order}"), F.lit(1.0)) * p)
-    return out.select("model", "code", p.alias("p"))
-
-
-def _grams_in(docs: DataFrame, alphabet: np.ndarray, known: set[str]) -> DataFrame:
-    """(model, code): the distinct trigrams of all documents (model, text), by model."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = class_table(alphabet)
-        there: dict[str, np.ndarray] = {}
-        for batch in batches:
-            for name, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                if text:
-                    there.setdefault(name if name in known else POOLED, np.zeros(CLASSES**3, bool))[trigrams(table[_points(text)])] = True
-        for name, seen in there.items():
-            found = np.flatnonzero(seen)
-            yield pa.RecordBatch.from_arrays([pa.array([name] * len(found), pa.string()), pa.array(found)], names=["model", "code"])
-
-    return docs.select("model", "text").mapInArrow(run, "model string, code long").distinct()
-
-
-def score(docs: DataFrame, model: Model, *, prior: float = PRIOR, shard_rows: int = SHARD_ROWS) -> DataFrame:
-    """(id, model, perplexity, surprise) of documents (id, model, text), one row per row."""
+    """Tables of the cluster, order by order, from one point to ``ORDER``."""
+
+    seen: list[DataFrame]  # number, context, point, p: the n-grams counted
+    contexts: list[DataFrame]  # number, context, held: the mass that a context leaves to the lower order
+    floor: DataFrame  # number, p: of a point never counted
+
+
+def kneser_ney(counts: DataFrame) -> Model:
+    """The models from counts of the longest n-grams."""
+    tables = [counts]
+    for k in range(ORDER - 2, -1, -1):  # a shorter n-gram counts in how many n-grams one longer it ends
+        tables.append(materialise(tables[-1].groupBy("number", shorter(F.col("context"), k).alias("context"), "point").agg(F.count("*").alias("n"))))
+    tables.reverse()
+    floor = materialise(tables[0].groupBy("number").agg((1 / (F.count("*") + 1)).alias("p")))  # all its points and one unknown
+    lower, seen, contexts = floor.withColumnRenamed("p", "p_lower"), [], []
+    for k, table in enumerate(tables):
+        keyed = table.join(F.broadcast(discounts(table)), "number").withColumn("off", discount_of(F.col("n")))  # two rows a language
+        freed = materialise(keyed.groupBy("number", "context").agg(F.sum("n").alias("total"), (F.sum("off") / F.sum("n")).alias("held")))
+        joined = keyed.join(broadcast_if_small(freed), ["number", "context"])
+        if k:
+            joined = joined.withColumn("below", shorter(F.col("context"), k - 1)).join(broadcast_if_small(lower), ["number", "below", "point"])
+        else:
+            joined = joined.join(F.broadcast(lower), "number")
+        p = (F.col("n") - F.col("off")) / F.col("total") + F.col("held") * F.col("p_lower")
+        seen.append(materialise(joined.select("number", "context", "point", p.alias("p"))))
+        contexts.append(freed.select("number", "context", "held"))
+        lower = seen[-1].select("number", F.col("context").alias("below"), "point", F.col("p").alias("p_lower"))
+    return Model(seen, contexts, floor)
+
+
+def probabilities(asked: DataFrame, model: Model) -> DataFrame:
+    """(number, context, point, p) of any n-grams (number, context, point), backing off where one was not seen."""
+    out = asked.select("number", "context", "point").join(F.broadcast(model.floor.withColumnRenamed("p", "p0")), "number")
+    p = F.col("p0")
+    for k, (seen, contexts) in enumerate(zip(model.seen, model.contexts, strict=True)):
+        end = f"end{k}"
+        out = out.withColumn(end, shorter(F.col("context"), k))
+        out = out.join(broadcast_if_small(seen.select("number", F.col("context").alias(end), "point", F.col("p").alias(f"p{k + 1}"))), ["number", end, "point"], "left")
+        out = out.join(broadcast_if_small(contexts.select("number", F.col("context").alias(end), F.col("held").alias(f"held{k}"))), ["number", end], "left")
+        p = F.coalesce(F.col(f"p{k + 1}"), F.coalesce(F.col(f"held{k}"), F.lit(1.0)) * p)
+    return out.select("number", "context", "point", p.alias("p"))
+
+
+class Table:
+    """Numbers by 64-bit hash in a worker: sorted hashes, and where each start of the hash begins."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray):
+        order = np.argsort(keys)
+        self.keys, self.values = keys[order], values[order]
+        bits = max(1, len(keys).bit_length())
+        self.shift = np.uint64(64 - bits)
+        self.first = np.searchsorted(self.keys >> self.shift, np.arange((1 << bits) + 1, dtype=np.uint64)).astype(np.int32)
+
+    def find(self, asked: np.ndarray) -> np.ndarray:
+        """The value of each hash, NaN where there is none."""
+        start = (asked >> self.shift).astype(np.int64)
+        at, end = self.first[start], self.first[start + 1]
+        out = np.full(len(asked), np.nan)
+        left = np.flatnonzero(at < end)
+        at, end = at[left], end[left]
+        while len(left):
+            hit = self.keys[at] == asked[left]
+            out[left[hit]] = self.values[at[hit]]
+            at = at + 1
+            more = ~hit & (at < end)
+            left, at, end = left[more], at[more], end[more]
+        return out
+
+
+_SEEN, _CONTEXT, _FLOOR = 0, 10, 20
+
+
+def log_costs(table: Table, number: int, context: np.ndarray, point: np.ndarray) -> np.ndarray:
+    """Negative log probabilities of a text's n-grams, backing off where one was not seen."""
+    out, left, weight = np.empty(len(point)), np.arange(len(point)), np.ones(len(point))
+    for k in range(ORDER, 0, -1):
+        end = context[left] & ((1 << POINT * (k - 1)) - 1)
+        p = table.find(mixed(_SEEN + k, number, end, point[left]))
+        hit = ~np.isnan(p)
+        out[left[hit]] = weight[hit] * p[hit]
+        left, weight, end = left[~hit], weight[~hit], end[~hit]
+        if not len(left):
+            return -np.log(out)
+        held = table.find(mixed(_CONTEXT + k, number, end))
+        weight = weight * np.where(np.isnan(held), 1.0, held)
+    out[left] = weight * table.find(mixed(_FLOOR, number))
+    return -np.log(out)
+
+
+def own_cost(points: np.ndarray) -> float:
+    """Sum of the negative log probabilities of a text's points under its own pairs of points."""
+    x = np.concatenate([[EDGE], points, [EDGE]])
+    pairs = total = None
+    for i in range(0, len(x) - 1, CHUNK):
+        found, n = np.unique(x[i : i + CHUNK + 1][:-1] << POINT | x[i : i + CHUNK + 1][1:], return_counts=True)
+        if pairs is not None:
+            found, inverse = np.unique(np.concatenate([pairs, found]), return_inverse=True)
+            n = np.bincount(inverse, np.concatenate([total, n]))
+        pairs, total = found, n
+    starts = np.flatnonzero(np.diff(pairs >> POINT, prepend=-1))
+    sums = np.add.reduceat(total, starts)
+    return float((sums * np.log(sums)).sum() - (total * np.log(total)).sum())
+
+
+_SCORED = "number long, n long, cost double, own double"
+
+
+def _numbered(docs: DataFrame, languages: list[str], run: Callable, schema: str) -> DataFrame:
+    """``run(part, numbers, texts)`` over (id, lang, half, text, ..): a document is scored by the model of the other half."""
+    place = {name: i for i, name in enumerate(languages)}
     kind = dict(docs.dtypes)["id"]
-    numbers = {r.model: r.number for r in model.names.collect()}
-    alphabet = model.alphabet
-    wanted = materialise(probabilities(_grams_in(docs, alphabet, set(numbers)), model).join(F.broadcast(model.names), "model").select(
-        (F.col("number") * CLASSES**3 + F.col("code")).alias("gram"), (-F.log("p")).alias("cost")
-    ))
-    shards = max(1, -(-wanted.count() // shard_rows))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A document's distinct trigrams; an empty one shows itself by a row that counts nothing."""
-        table = class_table(alphabet)
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in (batch.slice(i, 64) for i in range(0, batch.num_rows, 64)):
-                grams, counts, sizes, own = [], [], [], []
-                for name, text in zip(part.column("model").to_pylist(), part.column("text").to_pylist(), strict=True):
-                    number = numbers.get(name, numbers[POOLED])
-                    code, n = np.unique(trigrams(table[_points(text)]), return_counts=True) if text else (np.array([-1]), np.array([0]))
-                    grams.append(code + number * CLASSES**3 if text else code)
-                    counts.append(n)
-                    sizes.append(len(code))
-                    own.append(number)
-                spot = pa.array(np.repeat(np.arange(part.num_rows), sizes))
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        part.column("rid").take(spot), part.column("id").take(spot), pa.array(np.repeat(own, sizes).astype(np.int64)),
-                        pa.array(np.concatenate(grams).astype(np.int64)), pa.array(np.concatenate(counts).astype(np.int64)),
-                    ],
-                    names=["rid", "id", "number", "gram", "n"],
-                )
-
-    numbered = docs.select(F.monotonically_increasing_id().alias("rid"), "id", "model", "text")
-    rows = numbered.mapInArrow(run, f"rid long, id {kind}, number long, gram long, n long")
-    nothing = docs.sparkSession.range(1).select(F.lit(-1).cast("long").alias("gram"), F.lit(0.0).alias("cost"))
-    sums = None
-    for shard in range(shards):
-        mine = rows if shards == 1 else rows.where(F.pmod("gram", F.lit(shards)) == shard)
-        table = wanted if shards == 1 else wanted.where(F.pmod("gram", F.lit(shards)) == shard)
-        table = table.union(nothing.where(F.pmod("gram", F.lit(shards)) == shard))
-        part = mine.join(F.broadcast(table), "gram").groupBy("rid", "id", "number").agg(F.sum(F.col("n") * F.col("cost")).alias("cost"), F.sum("n").alias("n"))
-        sums = part if sums is None else sums.union(part)
-    if shards > 1:
-        sums = sums.groupBy("rid", "id", "number").agg(F.sum("cost").alias("cost"), F.sum("n").alias("n"))
-    named = sums.join(F.broadcast(model.names), "number")
-    perplexity = F.when(F.col("n") > 0, F.exp(F.col("cost") / F.col("n")))
-    return named.select("id", "model", perplexity.alias("perplexity"), ((F.col("cost") + prior * F.col("mean")) / (F.col("n") + prior)).alias("surprise"))
-
-
-def judge(
-    docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang: str = "lang", quantile: float = QUANTILE, prior: float = PRIOR
-) -> DataFrame:
-    """(id, model, perplexity, surprise, threshold, keep), one row per row of ``docs``."""
+            told = zip(batch.column("lang").to_pylist(), batch.column("half").to_pylist(), strict=True)
+            yield from run(batch, [2 * place.get(lang, len(languages)) + 1 - half for lang, half in told], batch.column("text").to_pylist())
+
+    return docs.mapInArrow(rows, f"id {kind}, {schema}")
+
+
+def _in_place(docs: DataFrame, model: Model, languages: list[str]) -> DataFrame:
+    """(id, number, n, cost, own): documents meet the broadcast tables where they are."""
+
+    def hashed(kind: int, columns: list[str], value: str, table: DataFrame) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                keys = mixed(kind, *(batch.column(c).to_numpy() for c in columns))
+                yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), batch.column(value)], names=["key", "value"])
+
+        return table.select(*columns, value).mapInArrow(run, "key long, value double")
+
+    parts = [hashed(_FLOOR, ["number"], "p", model.floor)]
+    for k, (seen, contexts) in enumerate(zip(model.seen, model.contexts, strict=True), 1):
+        parts += [hashed(_SEEN + k, ["number", "context", "point"], "p", seen), hashed(_CONTEXT + k, ["number", "context"], "held", contexts)]
+    rows = reduce(DataFrame.union, parts).toArrow()
+    shared = docs.sparkSession.sparkContext.broadcast((rows.column("key").to_numpy().view(np.uint64), rows.column("value").to_numpy()))
+    del rows
+    unfolded: list[Table] = []
+
+    def run(part: pa.RecordBatch, numbers: list[int], texts: list[str | None]) -> Iterator[pa.RecordBatch]:
+        if not unfolded:
+            unfolded.append(Table(*shared.value))
+        sums = []
+        for number, text in zip(numbers, texts, strict=True):
+            points = points_of(text or "")
+            cost = sum(float(log_costs(unfolded[0], number, c, p).sum()) for c, p in grams(points)) if len(points) else 0.0
+            sums.append((number, len(points) + 1 if len(points) else 0, cost, own_cost(points) if len(points) else 0.0))
+        yield pa.RecordBatch.from_arrays([part.column("id"), *(pa.array(x) for x in zip(*sums, strict=True))], names=["id", "number", "n", "cost", "own"])
+
+    return _numbered(docs, languages, run, _SCORED)
+
+
+def _by_joins(docs: DataFrame, model: Model, languages: list[str]) -> tuple[DataFrame, str]:
+    """(id, number, n, cost, own): documents' distinct n-grams, written once, meet the tables in joins; and the written table's path."""
+
+    def run(part: pa.RecordBatch, numbers: list[int], texts: list[str | None]) -> Iterator[pa.RecordBatch]:
+        for i, (number, text) in enumerate(zip(numbers, texts, strict=True)):
+            points = points_of(text or "")
+            whole = (len(points) + 1, own_cost(points)) if len(points) else (0, 0.0)
+            # a first row without an n-gram stands for the document
+            parts = [(np.full(1, -1), np.full(1, -1), np.zeros(1, np.int64))]
+            for context, point in grams(points) if len(points) else ():
+                _, first, n = np.unique(mixed(context, point), return_index=True, return_counts=True)
+                parts.append((context[first], point[first], n))
+            context, point, n = (np.concatenate([x[j] for x in parts]) for j in range(3))
+            spot = pa.array(np.zeros(len(n), np.int64))
+            yield pa.RecordBatch.from_arrays(
+                [part.column("id").slice(i, 1).take(spot), pa.array(np.full(len(n), number)), pa.array(np.full(len(n), whole[0])), pa.array(np.full(len(n), whole[1])),
+                 pa.array(context), pa.array(point), pa.array(n), part.column("rid").slice(i, 1).take(spot)],
+                names=["id", "number", "n", "own", "context", "point", "times", "rid"],
+            )
+
+    named = docs.select(F.monotonically_increasing_id().alias("rid"), "id", "lang", "half", "text")
+    emitted, path = shared_table(_numbered(named, languages, run, "number long, n long, own double, context long, point long, times long, rid long"))
+    keys = ["number", "context", "point"]
+    costs = probabilities(emitted.where("times > 0").select(*keys).distinct(), model).select(*keys, (-F.log("p")).alias("each"))
+    met = emitted.join(costs, keys, "left")
+    sums = met.groupBy("rid", "id", "number", "n", "own").agg(F.sum(F.col("times") * F.coalesce("each", F.lit(0.0))).alias("cost"))
+    return sums.select("id", "number", "n", "cost", "own"), path
+
+
+def score(docs: DataFrame, model: Model, languages: list[str], *, table_rows: int = TABLE_ROWS) -> DataFrame:
+    """(id, model, length, perplexity, own_perplexity) of documents (id, lang, half, text), one row per row, computed."""
+    sizes = sum(t.count() for t in [*model.seen, *model.contexts])
+    path = None
+    if sizes <= table_rows:
+        sums = _in_place(docs, model, languages)
+    else:
+        sums, path = _by_joins(docs, model, languages)
+    trained = [r.number for r in model.floor.select("number").collect()]  # two a language
+    some = (F.col("n") > 0) & F.col("number").isin(trained)
+    names = F.array(*[F.concat(F.lit("="), F.lit(x)) for x in languages], F.lit(POOLED))
+    place = F.floor(F.col("number") / 2).cast("int")
+    out = materialise(
+        sums.select(
+            "id", F.element_at(names, place + 1).alias("model"), F.col("n").alias("length"),
+            F.when(some, F.exp(F.col("cost") / F.col("n"))).alias("perplexity"), F.when(some, F.exp(F.col("own") / F.col("n"))).alias("own_perplexity"),
+        )
+    )
+    if path:
+        drop_shared(docs.sparkSession, path)
+    return out
+
+
+def band_of(length: Column) -> Column:
+    low, high = BANDS
+    return F.least(F.greatest(F.floor(F.log2(F.greatest(length, F.lit(1)))), F.lit(low)), F.lit(high)).cast("int")
+
+
+def thresholds(scored: DataFrame, quantile: float, min_band: int = MIN_BAND) -> tuple[DataFrame, DataFrame]:
+    """(model, band, threshold, least_own) of bands with enough documents, and (model, any_threshold)."""
+    some = scored.where(F.col("perplexity").isNotNull())
+    upper = F.percentile_approx("perplexity", quantile, 10_000)
+    lower = F.percentile_approx("own_perplexity", 1 - quantile, 10_000)
+    by_band = some.groupBy("model", band_of(F.col("length")).alias("band")).agg(upper.alias("threshold"), lower.alias("least_own"), F.count("*").alias("docs"))
+    return by_band.where(F.col("docs") >= min_band).drop("docs"), some.groupBy("model").agg(upper.alias("any_threshold"))
+
+
+def judge(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang: str = "lang", quantile: float = QUANTILE, table_rows: int = TABLE_ROWS) -> DataFrame:
+    """(id, model, perplexity, own_perplexity, threshold, least_own, keep), one row per row of ``docs``."""
     trusted = broadcast_if_small(materialise(trusted_ids(labels)), ID_ROWS)
-    good = bounded_batches(docs).select(F.col(id_col).alias("doc_id"), F.col(lang).cast("string").alias("lang"), F.col(text).alias("text")).join(trusted, "doc_id", "left_semi")
-    alphabet = alphabet_of(good.select("text"))
-    tri = count_trigrams(good, alphabet)
-    if tri.isEmpty():
-        missing = [F.lit(None).cast("double").alias(c) for c in ("perplexity", "surprise", "threshold")]
+    own = bounded_batches(docs).select(F.col(id_col).alias("id"), F.col(lang).cast("string").alias("lang"), half_of(F.col(text)).alias("half"), F.col(text).alias("text"))
+    good = own.join(trusted, F.col("id") == F.col("doc_id"), "left_semi")
+    if good.isEmpty():
+        missing = [F.lit(None).cast("double").alias(c) for c in ("perplexity", "own_perplexity", "threshold", "least_own")]
         return docs.select(F.col(id_col).alias("id"), F.lit(POOLED).alias("model"), *missing, F.lit(True).alias("keep"))
-    model = kneser_ney(tri, alphabet)
-    scored = materialise(score(docs.select(F.col(id_col).alias("id"), model_of(F.col(lang).cast("string")).alias("model"), F.col(text).alias("text")), model, prior=prior))
-    cut = F.percentile_approx("surprise", quantile, 10_000).alias("threshold")
-    cuts = scored.where(F.col("model") != POOLED).join(trusted, F.col("id") == F.col("doc_id"), "left_semi").groupBy("model").agg(cut)
-    if not scored.where(F.col("model") == POOLED).isEmpty():
-        # texts of no known language are held against all trusted ones under the same, pooled model
-        pooled = score(good.select(F.col("doc_id").alias("id"), F.lit(POOLED).alias("model"), "text"), model, prior=prior)
-        cuts = cuts.union(pooled.groupBy("model").agg(cut))
-    joined = scored.join(F.broadcast(materialise(cuts)), "model", "left")  # a row per language
-    return joined.select("id", "model", "perplexity", "surprise", "threshold", F.coalesce(F.col("surprise") <= F.col("threshold"), F.lit(True)).alias("keep"))
+    languages = languages_of(good)
+    known = F.coalesce(F.col("lang").isin(languages), F.lit(False)) if languages else F.lit(False)
+    pooled = not own.where(~known).select("id").isEmpty()
+    model = kneser_ney(count_grams(good, languages, pooled=pooled))
+    scored = score(own, model, languages, table_rows=table_rows)
+    held = scored.where(F.col("model") != POOLED).join(trusted, F.col("id") == F.col("doc_id"), "left_semi")
+    if pooled:
+        # texts of no known language are held against all trusted ones under the same, pooled models
+        held = held.union(score(good.withColumn("lang", F.lit(None).cast("string")), model, languages, table_rows=table_rows))
+    by_band, by_model = thresholds(held, quantile)
+    joined = scored.withColumn("band", band_of(F.col("length"))).join(F.broadcast(by_band), ["model", "band"], "left").join(F.broadcast(by_model), "model", "left")  # rows per language
+    limit = F.coalesce("threshold", "any_threshold")
+    keep = F.coalesce(F.col("perplexity") <= limit, F.lit(True)) & F.coalesce(F.col("own_perplexity") >= F.col("least_own"), F.lit(True))
+    return joined.select("id", "model", "perplexity", "own_perplexity", limit.alias("threshold"), "least_own", keep.alias("keep"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
@@ -297,4 +435,4 @@ def op9_quality_lm(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality", "toxic")
     told = judge(docs, labels)
-    return told.select(F.col("id").alias("doc_id"), "model", "perplexity", "threshold", "keep")
+    return told.select(F.col("id").alias("doc_id"), "model", "perplexity", "threshold", "own_perplexity", "least_own", "keep")

@@ -8,6 +8,7 @@ import math
 import random
 import re
 import struct
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -206,45 +207,108 @@ class TestQuality:
         kept = quality_lm.keep_good(docs, labels)
         assert kept.columns == docs.columns and kept.where("doc_id >= 1000 and doc_id < 1100").count() == 0 and kept.where("doc_id is null").count() == 1
 
-    def test_probabilities_sum_to_one_and_match_the_formula(self, spark):
-        rows, _ = self.rows()
-        docs = spark.createDataFrame(rows[:60], "doc_id long, text string, lang string")
-        alphabet = quality_lm.alphabet_of(docs.select("text"))
-        model = quality_lm.kneser_ney(quality_lm.count_trigrams(docs, alphabet), alphabet)
-        table = quality_lm.class_table(alphabet)
-        counts = np.zeros(quality_lm.CLASSES**3, np.int64)
-        for _, text, _ in rows[:60]:
-            np.add.at(counts, quality_lm.trigrams(table[quality_lm._points(text)]), 1)
-        c = quality_lm.CLASSES
-        c3 = counts.reshape(c, c, c)
-        c2 = (c3 > 0).sum(axis=0)
-        c1 = (c2 > 0).sum(axis=0)[None, :]
-
-        def level(n, lower):
-            k = [None, *((n == i).sum() for i in range(1, 5))]
-            y = k[1] / (k[1] + 2 * k[2]) if k[1] + 2 * k[2] else 0
-            d = [0.0]
-            for i in (1, 2, 3):
-                raw = i - (i + 1) * y * k[i + 1] / k[i] if k[i] and k[1] + 2 * k[2] else -1
-                d.append(raw if 0 < raw < i else 0.5)
-            off = np.array(d)[np.minimum(n, 3)]
-            total = n.sum(axis=-1, keepdims=True)
-            held = np.where(total > 0, off.sum(axis=-1, keepdims=True) / np.maximum(total, 1), 1)
-            return np.where(n > 0, n - off, 0) / np.maximum(total, 1) + held * lower
-
-        want = level(c3, level(c2, level(c1, np.full((1, c), 1 / c)))[None])
-        assert np.allclose(want.sum(axis=-1), 1)
-        rng = np.random.default_rng(1)
-        asked = np.unique(np.concatenate([np.flatnonzero(counts), rng.integers(0, c**3, 2000)]))
-        grams = spark.createDataFrame([("*", int(g)) for g in asked], "model string, code long")
-        got = {r.code: r.p for r in quality_lm.probabilities(grams, model).collect()}
-        assert np.allclose([got[g] for g in asked], want.ravel()[asked], rtol=1e-9)
-        one = docs.select(F.col("doc_id").alias("id"), F.lit("*").alias("model"), "text")
-        whole = {r.id: r for r in quality_lm.score(one, model).collect()}
-        shards = {r.id: r for r in quality_lm.score(one, model, shard_rows=300).collect()}
-        for i, text, _ in rows[:60]:
-            cost = -np.log(want.ravel()[quality_lm.trigrams(table[quality_lm._points(text)])])
-            assert whole[i].perplexity == pytest.approx(np.exp(cost.mean())) == pytest.approx(shards[i].perplexity)
+    def brute(self, texts):
+        """Kneser-Ney written out over strings: p(gram) of any four points, edges as None."""
+        top = Counter(g for t in texts for x in [[None] * 3 + list(t) + [None]] for g in zip(x, x[1:], x[2:], x[3:], strict=False))
+        levels = [top]
+        while len(next(iter(levels[-1]))) > 1:
+            levels.append(Counter(g[1:] for g in levels[-1]))
+        levels = [(c, self.discount(c)) for c in reversed(levels)]
+        floor = 1 / (len(levels[0][0]) + 1)
+        totals = []
+        for c, d in levels:
+            total, freed = Counter(), Counter()
+            for g, n in c.items():
+                total[g[:-1]] += n
+                freed[g[:-1]] += d[min(n, 3)]
+            totals.append((total, freed))
+
+        def p(gram):
+            out = floor
+            for k, ((c, d), (total, freed)) in enumerate(zip(levels, totals, strict=True), 1):
+                end = gram[-k:]
+                if end[:-1] in total:
+                    n = c.get(end, 0)
+                    out = ((n - d[min(n, 3)]) if n else 0) / total[end[:-1]] + freed[end[:-1]] / total[end[:-1]] * out
+            return out
+
+        return p, sorted({g[0] for g in levels[0][0]}, key=str)
+
+    @staticmethod
+    def discount(counts):
+        k = Counter(counts.values())
+        y = k[1] / (k[1] + 2 * k[2]) if k[1] + 2 * k[2] else 0
+        raw = [(i - (i + 1) * y * k[i + 1] / k[i]) if k[i] and k[1] + 2 * k[2] else -1 for i in (1, 2, 3)]
+        return [0.0, *(r if 0 < r < i else 0.5 for i, r in enumerate(raw, 1))]
+
+    def test_probabilities_and_sums_are_those_of_the_formula(self, spark):
+        rows, junk = self.rows()
+        trusted = [(i, t, lang, i % 2) for i, t, lang in rows[:80]]
+        good = spark.createDataFrame(trusted, "id long, text string, lang string, half int")
+        languages = quality_lm.languages_of(good)
+        assert languages == sorted(PROSE)
+        counts = quality_lm.count_grams(good, languages, gather=500)  # many small additions
+        model = quality_lm.kneser_ney(counts)
+        point = lambda c: quality_lm.EDGE if c is None else ord(c)
+        truth = {}
+        for place, name in enumerate([*languages, None]):
+            for half in (0, 1):
+                truth[2 * place + half] = self.brute([t for _, t, lang, h in trusted if h == half and lang == (name or lang)])
+        for number, (p, alphabet) in truth.items():
+            contexts = [(None, None, None), ("t", "h", "e"), ("q", "q", "q"), ("e", " ", None)]
+            assert all(sum(p((*c, x)) for x in alphabet) + p((*c, "unknown")) == pytest.approx(1) for c in contexts)
+            asked = [(*c, x) for c in contexts for x in [*alphabet, "☃"]]
+            frame = spark.createDataFrame([(number, point(a) << 42 | point(b) << 21 | point(c), point(d)) for a, b, c, d in asked], "number long, context long, point long")
+            got = {(r.context, r.point): r.p for r in quality_lm.probabilities(frame, model).collect()}
+            for a, b, c, d in asked:
+                assert got[point(a) << 42 | point(b) << 21 | point(c), point(d)] == pytest.approx(p((a, b, c, d)), rel=1e-9)
+        mixed = [*trusted, *((i, t, lang, i % 2) for i, t, lang in junk), (9000, "no such language ☃", "xx", 0), (9001, None, "en", 1), (9002, "", None, 0), (3, trusted[3][1], trusted[3][2], 1)]
+        docs = spark.createDataFrame(mixed, good.schema).repartition(5)
+        ways = [sorted(map(tuple, quality_lm.score(docs, model, languages, table_rows=n).collect())) for n in (10**6, 0)]
+        assert len(ways[0]) == len(ways[1]) == len(mixed)
+        for a, b in zip(*ways, strict=True):
+            assert a[:3] == b[:3] and (a[3:] == b[3:] or a[3:] == pytest.approx(b[3:], rel=1e-9))
+        told = {r[0]: r for r in ways[0]}
+        for i, t, lang, half in mixed:
+            if not t:
+                assert told[i][2] == 0 and told[i][3] is None
+                continue
+            p = truth[2 * (languages.index(lang) if lang in languages else 3) + 1 - half][0]
+            x = [None] * 3 + list(t) + [None]
+            cost = -np.mean([np.log(p(g)) for g in zip(x, x[1:], x[2:], x[3:], strict=False)])
+            pairs, firsts = Counter(zip([None, *t], [*t, None], strict=True)), Counter([None, *t])
+            own = -sum(n * np.log(n / firsts[g[0]]) for g, n in pairs.items()) / (len(t) + 1)
+            assert told[i][2:] == pytest.approx((len(t) + 1, np.exp(cost), np.exp(own)), rel=1e-9)
+
+    def test_long_texts_in_chunks(self, monkeypatch):
+        rng = np.random.default_rng(3)
+        points = rng.integers(97, 105, 5000)
+        whole, own = list(quality_lm.grams(points)), quality_lm.own_cost(points)
+        monkeypatch.setattr(quality_lm, "CHUNK", 700)
+        parts = list(quality_lm.grams(points))
+        assert len(whole) == 1 and len(parts) == 8 and quality_lm.own_cost(points) == pytest.approx(own)
+        assert all((np.concatenate([p[i] for p in parts]) == whole[0][i]).all() for i in (0, 1))
+
+    def test_thresholds_and_keep(self, spark, monkeypatch):
+        """Quantiles by language and band written out, and what they keep."""
+        monkeypatch.setattr(quality_lm, "MIN_BAND", 20)
+        monkeypatch.setattr(quality_lm.thresholds, "__defaults__", (20,))
+        rows, junk = self.rows()
+        docs = spark.createDataFrame(rows + junk, "doc_id long, text string, lang string")
+        labels = spark.createDataFrame([(i, 1, 0) for i, _, _ in rows[:200]], "doc_id long, quality int, toxic int")
+        told = quality_lm.judge(docs, labels, quantile=0.9).collect()
+        trusted = {i for i, _, _ in rows[:200]}
+        size = {i: len(t) + 1 for i, t, _ in rows + junk}
+        band = lambda r: min(max(int(np.log2(size[r.id])), 5), 14)
+        for r in told:
+            peers = [x for x in told if x.id in trusted and x.model == r.model]
+            near = [x for x in peers if band(x) == band(r)]
+            rank = lambda values, q: sorted(values)[max(0, int(np.ceil(q * len(values) - 1e-9)) - 1)]
+            limit = rank([x.perplexity for x in (near if len(near) >= 20 else peers)], 0.9)
+            least = rank([x.own_perplexity for x in near], 0.1) if len(near) >= 20 else None
+            assert (r.threshold, r.least_own) == (limit, least)
+            assert r.keep == (r.perplexity <= limit and (least is None or r.own_perplexity >= least))
+        assert {r.keep for r in told} == {True, False}
 
     def test_without_trusted_or_rows(self, spark):
         docs = spark.createDataFrame([(1, "a", "en")], "doc_id long, text string, lang string")

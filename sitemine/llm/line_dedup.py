@@ -3,25 +3,34 @@
 Every document (a row) is split at ``\\n``.  A line's key is the line without blanks at
 both ends, A-Z lower-cased.  Keys are hashed to 128 bits; a document names each of its
 keys once, so a plain count per hash is the number of documents, and the count combines
-on the map side.  Documents that hold a frequent key are reassembled by position from
-their own lines, so no line ever travels alone.
+on the map side.  Lines then travel as (document, position, hash) only: those whose hash
+is frequent give the positions that each document loses, and the documents are
+reassembled by position, in time linear in their lines.
 
 Defined cases: a null or empty text is one empty line; empty keys (fewer than
 ``min_chars`` code points) never drop; a document that loses all lines keeps "";
-rows that repeat a document count as documents of their own; other columns pass
-through unchanged; an empty table gives an empty table.
+rows that repeat a document count as documents of their own, and rows of one id with
+different texts lose lines each by itself; other columns pass through unchanged; an empty
+table gives an empty table.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from sitemine.llm.common import BLANKS, ascii_lower, fresh_name
+from sitemine.llm.common import BLANKS, ascii_lower, bounded_batches, fresh_name
 from sitemine.session import broadcast_if_small, materialise
 
 MIN_DOCS = 10
 MIN_CHARS = 1
+#: Documents, and positions in all, that a broadcast of what is dropped may hold; beyond it the texts are shuffled to them.
+HIT_ROWS = 500_000
+HIT_POSITIONS = 4_000_000
 
 
 def lines_of(text: Column) -> Column:
@@ -38,42 +47,58 @@ def key_hash(key: Column) -> Column:
 
 
 def _hashes(text: Column, min_chars: int) -> Column:
+    """The hash of each line's key, null for keys that never drop."""
     keys = F.transform(lines_of(text), line_key)
-    return F.transform(F.filter(keys, lambda k: F.char_length(k) >= min_chars), key_hash)
+    return F.transform(keys, lambda k: F.when(F.char_length(k) >= min_chars, key_hash(k)))
 
 
 def frequent_keys(docs: DataFrame, *, text: str = "text", min_docs: int = MIN_DOCS, min_chars: int = MIN_CHARS) -> DataFrame:
     """(key, n_docs): hashes of the keys found in at least ``min_docs`` documents."""
-    each = docs.select(F.explode(F.array_distinct(_hashes(F.col(text), min_chars))).alias("key"))
+    each = docs.select(F.explode(F.array_distinct(_hashes(F.col(text), min_chars))).alias("key")).where(F.col("key").isNotNull())
     return each.groupBy("key").agg(F.count("*").alias("n_docs")).where(F.col("n_docs") >= min_docs)
 
 
+def reassemble(joined: DataFrame, *, text: str, gone: str, n_lines: str, n_dropped: str) -> DataFrame:
+    """``joined`` with ``text`` less the lines at the positions ``gone`` (null: none), and both counts in place of ``gone``."""
+    kept = [c for c in joined.columns if c != gone]
+    fields = [T.StructField(f.name, T.StringType()) if f.name == text else f for f in joined.schema if f.name != gone]
+    schema = T.StructType([*fields, T.StructField(n_lines, T.LongType()), T.StructField(n_dropped, T.LongType())])
+    at = kept.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts, total, dropped = [], [], []
+            for body, lost in zip(batch.column(at).to_pylist(), batch.column(len(kept)).to_pylist(), strict=True):
+                body = body or ""
+                if lost:
+                    lines, lost = body.split("\n"), set(lost)
+                    total.append(len(lines))
+                    body = "\n".join(line for i, line in enumerate(lines) if i not in lost)
+                else:
+                    total.append(body.count("\n") + 1)
+                dropped.append(len(lost or ()))
+                texts.append(body)
+            columns = [pa.array(texts, pa.string()) if i == at else batch.column(i) for i in range(len(kept))]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(total, pa.int64()), pa.array(dropped, pa.int64())], names=[*kept, n_lines, n_dropped])
+
+    return joined.select(*kept, gone).mapInArrow(run, schema)
+
+
 def drop_frequent_lines(
     docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", min_docs: int = MIN_DOCS, min_chars: int = MIN_CHARS
 ) -> DataFrame:
     """``docs`` with ``text`` reassembled, plus ``n_lines`` and ``n_dropped`` (renamed if taken)."""
-    hit_id = fresh_name(docs, "hit_id")
+    hit_id, mark, hit_mark = (fresh_name(docs, x) for x in ("hit_id", "mark", "hit_mark"))
     frequent = materialise(frequent_keys(docs, text=text, min_docs=min_docs, min_chars=min_chars).select("key"))
-    hits = (
-        docs.select(F.col(id_col).alias(hit_id), F.explode(F.array_distinct(_hashes(F.col(text), min_chars))).alias("key"))
-        .join(broadcast_if_small(frequent), "key", "left_semi")
-        .groupBy(hit_id)
-        .agg(F.collect_set("key").alias("gone"))
-    )
+    lines = docs.select(F.col(id_col).alias(hit_id), F.xxhash64(F.col(text)).alias(hit_mark), F.posexplode(_hashes(F.col(text), min_chars)).alias("at", "key"))
     n_lines, n_dropped, gone = (fresh_name(docs, x) for x in ("n_lines", "n_dropped", "gone"))
-    hits = hits.withColumnRenamed("gone", gone)
-    joined = docs.join(hits, F.col(id_col).eqNullSafe(F.col(hit_id)), "left").drop(hit_id)
-    lines = lines_of(F.col(text))
-    kept = F.filter(lines, lambda x: ~F.array_contains(F.col(gone), key_hash(line_key(x))))
-    clean = F.col(gone).isNull()
-    body = F.when(clean, F.coalesce(F.col(text), F.lit(""))).otherwise(F.array_join(kept, "\n"))
-    total = F.size(lines).cast("long")
-    return (
-        joined.withColumn(n_lines, total)
-        .withColumn(n_dropped, F.when(clean, F.lit(0)).otherwise(total - F.size(kept)).cast("long"))
-        .withColumn(text, body)
-        .drop(gone)
-    )
+    hits = materialise(lines.join(broadcast_if_small(frequent), "key", "left_semi").groupBy(hit_id, hit_mark).agg(F.collect_set("at").alias(gone)))
+    rows, positions = hits.agg(F.count("*"), F.coalesce(F.sum(F.size(gone)), F.lit(0))).first()
+    if rows <= HIT_ROWS and positions <= HIT_POSITIONS:
+        hits = F.broadcast(hits)
+    own = bounded_batches(docs).withColumn(mark, F.xxhash64(F.col(text)))
+    joined = own.join(hits, F.col(id_col).eqNullSafe(F.col(hit_id)) & (F.col(mark) == F.col(hit_mark)), "left")
+    return reassemble(joined.drop(hit_id, mark, hit_mark), text=text, gone=gone, n_lines=n_lines, n_dropped=n_dropped).select(*docs.columns, n_lines, n_dropped)
 
 
 def op7_line_dedup(spark, sf_dir: str) -> DataFrame:

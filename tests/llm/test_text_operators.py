@@ -47,6 +47,16 @@ class TestLineDedup:
         got = [(r.doc_id, r.n_lines_, r.n_dropped, r.text) for r in got.collect()]
         assert sorted(got, key=str) == sorted(self.brute(rows, 4), key=str)
 
+    @pytest.mark.parametrize("limit", [10**6, 0])
+    def test_many_lines_with_many_hits(self, spark, monkeypatch, limit):
+        """Long documents of lines that all drop, or every other one, and one id with two texts; with and without a broadcast."""
+        monkeypatch.setattr(line_dedup, "HIT_ROWS", limit)
+        rows = [(i, "\n".join(f"line {j}" if j % 2 or i < 4 else f"own {i} {j}" for j in range(20_000)), "a") for i in range(6)]
+        rows += [(5, "line 1\nother", "b"), (None, "line 3\nline 5\nkept", "b"), (None, "kept", "b")]
+        got = line_dedup.drop_frequent_lines(docs(spark, rows), min_docs=5)
+        got = [(r.doc_id, r.n_lines_, r.n_dropped, r.text) for r in got.collect()]
+        assert sorted(got, key=str) == sorted(self.brute(rows, 5), key=str)
+
     def test_empty(self, spark):
         assert line_dedup.drop_frequent_lines(docs(spark, [])).count() == 0
 

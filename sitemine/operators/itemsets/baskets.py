@@ -16,6 +16,12 @@ def as_fraction(share: float | str | Fraction) -> Fraction:
     return share if isinstance(share, Fraction) else Fraction(str(share))
 
 
+def least_of(n: int, share: float | str | Fraction) -> int:
+    """The smallest count that is at least ``share`` of ``n`` (at least 1), exactly."""
+    f = as_fraction(share)
+    return max(1, -(-n * f.numerator // f.denominator))
+
+
 def min_count(n: Column, share: float | str | Fraction) -> Column:
     """The smallest count that is at least ``share`` of ``n`` (at least 1), in integers."""
     f = as_fraction(share)

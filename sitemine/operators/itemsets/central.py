@@ -12,7 +12,7 @@ from sitemine.operators.itemsets.latesync import global_minimum
 from sitemine.operators.itemsets.local import local_apriori
 
 
-def central_apriori(baskets: DataFrame, k: int | None, share: float | str | Fraction, *, engine: str = "expand") -> DataFrame:
+def central_apriori(baskets: DataFrame, k: int | None, share: float | str | Fraction, *, engine: str = "auto") -> DataFrame:
     """(itemset, size, support) over all baskets."""
     # the miner runs per site; with all baskets in one, (site, tid) need not stay unique
     one = baskets.select(F.lit(0).alias("site"), "tid", "items")

@@ -18,7 +18,7 @@ from sitemine.functions.itemset_columns import drop_one
 from sitemine.operators.itemsets.latesync import Clock, MineResult, global_minimum, remote_support, split_global
 from sitemine.operators.itemsets.local import local_apriori
 from sitemine.operators.itemsets.support import count_support
-from sitemine.session import materialise
+from sitemine.session import drop_shared, materialise, shared_table
 
 
 def upper_bound(candidates: DataFrame, counts: DataFrame) -> DataFrame:
@@ -33,15 +33,23 @@ def upper_bound(candidates: DataFrame, counts: DataFrame) -> DataFrame:
 
 
 def levelsync_mine(
-    baskets: DataFrame, *, min_support: float | str | Fraction, k: int | None = 4, pruning: tuple[str, ...] = ("local",), known_counts: bool = True, engine: str = "expand"
+    baskets: DataFrame, *, min_support: float | str | Fraction, k: int | None = 4, pruning: tuple[str, ...] = ("local",), known_counts: bool = True, engine: str = "auto"
 ) -> MineResult:
     """Globally frequent itemsets of sizes 1 to k (``None``: until a size is empty)."""
-    baskets = materialise(baskets)
-    n = baskets.count()
-    sites = materialise(baskets.select("site").distinct())
-    least = global_minimum(n, min_support)
     spark = baskets.sparkSession
     clock = Clock(spark, "levelsync")
+    with clock.part("prepare"):
+        baskets, path = shared_table(baskets)
+    try:
+        return _level(baskets, clock, min_support, k, pruning, known_counts, engine)
+    finally:
+        drop_shared(spark, path)
+
+
+def _level(baskets: DataFrame, clock: Clock, min_support, k, pruning, known_counts, engine) -> MineResult:
+    spark = baskets.sparkSession
+    n, n_sites = baskets.agg(F.count("*"), F.count_distinct("site")).first()
+    least = global_minimum(n, min_support)
     state: dict = {"passes": [], "found": spark.createDataFrame([], "itemset array<int>, support long"), "log": spark.createDataFrame([], "pass int, site int, itemset array<int>"), "pruned": 0}
 
     def settle(level: DataFrame, z: int) -> DataFrame:
@@ -57,14 +65,14 @@ def levelsync_mine(
         if not asked:
             return level
         with clock.part("remote"):
-            counts = remote_support(baskets, now, level, sites, [z], known_counts=known_counts, engine=engine)
+            counts = remote_support(baskets, now, level, n_sites, [z], known_counts=known_counts, engine=engine)
         good, _ = split_global(counts, least)
         if "upper" in pruning:
             state["by_site"] = materialise(count_support(baskets, good.select("itemset"), [z], engine=engine))
         state["log"] = state["log"].union(level.select(F.lit(z).alias("pass"), "site", "itemset"))
         state["found"] = state["found"].union(good)
         passed = good.count()
-        state["passes"].append({"pass": z, "requested": asked, "passed": passed, "failed": asked - passed, "sizes": [z]})
+        state["passes"].append({"pass": z, "kind": "level", "requested": asked, "passed": passed, "failed": asked - passed})
         return materialise(level.join(good.select("itemset"), "itemset", "left_semi").select("site", "itemset", "cnt"))
 
     with clock.part("all"):
@@ -72,7 +80,7 @@ def levelsync_mine(
     clock.seconds["local"] = clock.seconds.pop("all") - clock.seconds.get("remote", 0.0)
     found = materialise(state["found"].select("itemset", F.size("itemset").alias("size"), "support"))
     counters = {
-        "baskets": n, "minimum": least, "passes": len(state["passes"]), "requested": sum(p["requested"] for p in state["passes"]), "upper_pruned": state["pruned"],
+        "baskets": n, "sites": n_sites, "minimum": least, "passes": len(state["passes"]), "requested": sum(p["requested"] for p in state["passes"]), "upper_pruned": state["pruned"],
         "seconds": clock.seconds,
     }
-    return MineResult(found, local, state["log"], state["passes"], counters)
+    return MineResult(found, materialise(local), materialise(state["log"]), state["passes"], counters)

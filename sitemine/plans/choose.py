@@ -7,20 +7,9 @@ from pyspark.sql import functions as F
 
 from sitemine.operators.clustering.local import MAX_SITE_ROWS
 from sitemine.operators.clustering.merge import TASK_ROWS
-from sitemine.operators.itemsets.support import MAX_HELD_SETS
+from sitemine.operators.itemsets.support import counting_engine
 
-#: Items in a basket up to which listing its subsets is cheaper than matching them.
-EXPAND_LENGTH = 25
-
-
-def counting_engine(baskets: DataFrame, n_sets: int | None = None) -> str:
-    """expand for short baskets, trie where the sets fit a worker, else extend."""
-    if n_sets is not None and n_sets <= 50:
-        return "contains"
-    long = baskets.agg(F.percentile_approx(F.size("items"), 0.99, 1000)).first()[0] or 0
-    if long <= EXPAND_LENGTH:
-        return "expand"
-    return "trie" if n_sets is not None and n_sets <= MAX_HELD_SETS else "extend"
+__all__ = ["counting_engine", "late_sync_advice", "local_engine", "merge_engine"]
 
 
 def local_engine(points: DataFrame) -> str:

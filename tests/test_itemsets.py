@@ -6,12 +6,13 @@ import itertools
 import random
 from fractions import Fraction
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from sitemine.functions.itemset_columns import all_subsets, drop_one, register, subsets
 from sitemine.operators.itemsets import baskets as B
-from sitemine.operators.itemsets import central, frontier, local, rules, support
+from sitemine.operators.itemsets import central, frontier, latesync, local, rules, support
 from sitemine.operators.itemsets.latesync import global_minimum, latesync_mine
 from sitemine.operators.itemsets.levelsync import levelsync_mine
 
@@ -84,7 +85,7 @@ def test_all_miners_agree_on_random_baskets(spark, seed):
     coded = coded.cache()
     want = brute(baskets, share, 4)
     late = latesync_mine(coded, min_support=share)
-    assert answer(late.itemsets, dictionary) == want and late.counters["passes"] <= 4
+    assert answer(late.itemsets, dictionary) == want and late.counters["frontier_passes"] <= 4 and late.counters["passes"] <= 5
     asked = [tuple(r.itemset) for r in late.requests.select("itemset", "pass").distinct().collect()]
     assert len(asked) == len(set(asked))
     assert answer(levelsync_mine(coded, min_support=share, pruning=("local", "upper")).itemsets, dictionary) == want
@@ -93,6 +94,55 @@ def test_all_miners_agree_on_random_baskets(spark, seed):
     assert answer(latesync_mine(coded.repartition(7), min_support=share, known_counts=False).itemsets, dictionary) == want
 
 
+@pytest.mark.parametrize("kind", ["maximal", "all", "bottom_up", "size_k"])
+def test_passes_in_one_task_and_by_joins_agree(spark, monkeypatch, kind):
+    """Both ways ask the same, and with supports every locally frequent set is asked exactly once."""
+    rng = random.Random(7)
+    baskets = [(rng.randrange(3), i, "".join(rng.choices("abcdefg" if i % 3 else "abc", k=rng.randint(1, 6)))) for i in range(60)]
+    coded, dictionary = B.from_rows(rows_of(spark, baskets))
+    coded = coded.cache()
+    told = []
+    for limit in (latesync.SETTLE_ROWS, 0):
+        monkeypatch.setattr(latesync, "SETTLE_ROWS", limit)
+        mined = latesync_mine(coded, min_support="0.2", frontier=kind)
+        log = sorted((r["pass"], r.site, tuple(r.itemset)) for r in mined.requests.collect())
+        told.append((answer(mined.itemsets, dictionary), [(p["kind"], p["requested"], p["passed"]) for p in mined.passes], log))
+        assert mined.counters["requested"] == len({(p, s) for p, _, s in log})
+        if kind == "maximal":
+            everything = {tuple(r.itemset) for r in mined.local.collect()}
+            assert {s for _, _, s in log} == everything and mined.counters["requested"] == len(everything)
+    assert told[0] == told[1]
+    member = latesync_mine(coded, min_support="0.2", frontier=kind, with_support=False)
+    assert set(answer(member.itemsets, dictionary)) == set(told[0][0]) and member.counters["support_passes"] == 0
+    assert [(p["kind"], p["requested"], p["passed"]) for p in member.passes] == [p for p in told[0][1] if p[0] == "frontier"]
+
+
+def test_local_sets_by_task_and_by_level_agree(spark, monkeypatch):
+    rng = random.Random(8)
+    baskets = [(rng.randrange(3), i, "".join(rng.choices("abcdefghij", k=rng.randint(1, 8)))) for i in range(150)]
+    coded, _ = B.from_rows(rows_of(spark, baskets))
+    coded = coded.cache()
+    read = lambda df: {(r.site, tuple(r.itemset), r.size, r.cnt) for r in df.collect()}
+    for k in (3, None):
+        want = read(local.local_apriori(coded, k, "0.1"))
+        assert want and all(len(s) == z for _, s, z, _ in want)
+        assert read(local.local_apriori(coded, k, "0.1", engine="expand")) == want == read(local.local_apriori(coded, k, "0.1", engine="bitmap"))
+    monkeypatch.setattr(local, "SITE_CANDIDATES", 5)  # too many for a task: the sites are mined level by level
+    assert read(local.local_apriori(coded, None, "0.1")) == want
+    monkeypatch.setattr(local, "SITE_BASKETS", 5)
+    assert read(local.local_apriori(coded, None, "0.1")) == want
+
+
+def test_bit_columns_in_blocks(monkeypatch):
+    rng = np.random.default_rng(9)
+    baskets = [np.sort(rng.choice(40, rng.integers(0, 12), replace=False)) for _ in range(3000)]
+    offsets = np.concatenate([[0], np.cumsum([len(b) for b in baskets])])
+    sets = np.array(sorted(itertools.combinations(range(0, 40, 3), 3)), np.int32)
+    want = [sum(set(s) <= set(b.tolist()) for b in baskets) for s in sets.tolist()]
+    monkeypatch.setattr(support, "_BLOCK_BASKETS", 700)
+    assert support.count_sets(offsets, np.concatenate(baskets), sets).tolist() == want
+
+
 def test_counting_engines_agree(hand):
     baskets, _ = hand
     sets = baskets.select(F.explode(all_subsets(F.col("items"), 3)).alias("itemset")).distinct()

@@ -144,8 +144,8 @@ def test_workflow_runs_in_order_and_resumes(spark, tmp_path):
 def test_choices(spark):
     short = spark.createDataFrame([(0, 1, [1, 2, 3])], "site int, tid long, items array<int>")
     long = spark.createDataFrame([(0, 1, list(range(60)))], "site int, tid long, items array<int>")
-    assert choose.counting_engine(short) == "expand" and choose.counting_engine(long) == "extend" and choose.counting_engine(long, 1000) == "trie"
-    assert choose.counting_engine(long, 5) == "contains"
+    assert choose.counting_engine(short) == "expand" and choose.counting_engine(long) == "extend" and choose.counting_engine(long, 1000) == "bitmap"
+    assert choose.counting_engine(long, 10**9) == "extend"
     assert choose.merge_engine(10, False) == "task" and choose.merge_engine(10**6, True) == "rounds" and choose.merge_engine(10**6, False) == "tree"
     level = spark.createDataFrame([(1, 100, 1)], "size int, local_sets long, global_sets long")
     assert choose.late_sync_advice(level) == "levelsync"

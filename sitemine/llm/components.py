@@ -1,16 +1,17 @@
 """Distributed connected components over a link table.
 
-Alternating large-star and small-star steps: every node sends its larger neighbours,
-then its smaller ones, to the smallest node it sees, until the links form stars.  Each
-step is a minimum per node (combined before the shuffle) and a join back; the minima are
-checkpointed first, so both join sides are plain exchanges and adaptive execution can
-split a hub that touches a large share of the links.  Nothing is collected on the driver
-but two numbers per round.
+Every node points to a smaller node of its component.  A round joins each link with the
+grandparents of its far end and gives the smallest seen to the near end and to the near
+end's parent (so whole trees hook on, not single nodes), and every node is moved up to its
+own grandparent.  Pointers only fall; when their sum stands still they are stars around the
+smallest node of each component.  Minima combine before the shuffle, and both sides of the
+joins that meet a hub are plain exchanges, which adaptive execution can split.  Nothing is
+collected on the driver but one sum a round.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from sitemine.session import materialise
@@ -22,24 +23,26 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFr
     ``component`` is the smallest node reachable.  Self links, null ends and repeated
     links are allowed and change nothing.  No links give an empty table.
     """
-    edges = materialise(
-        links.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b)))
-        .select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo"))
-        .distinct()
-    )
-    before = None
+    once = links.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b))).select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).distinct()
+    edges = materialise(once.select(F.explode(F.array(F.struct("u", "v"), F.struct(F.col("v").alias("u"), F.col("u").alias("v")))).alias("e")).select("e.*"))
+    parents = edges.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("least")).select("node", F.least("node", "least").alias("parent"))
+    parents, total = _summed(parents)
     while True:
-        both = edges.union(edges.select("lo", "hi"))
-        smallest = materialise(both.groupBy(F.col("hi").alias("node")).agg(F.min("lo").alias("least")).withColumn("least", F.least("node", "least")))
-        large = materialise(
-            both.join(smallest, F.col("hi") == F.col("node")).where(F.col("lo") > F.col("hi")).select(F.col("lo").alias("hi"), F.col("least").alias("lo")).distinct()
+        above = parents.select(F.col("node").alias("up"), F.col("parent").alias("grand"))
+        known = materialise(parents.join(above, F.col("parent") == F.col("up")).select("node", "parent", "grand"))
+        far = known.select(F.col("node").alias("v"), F.col("grand").alias("seen"))
+        lowest = edges.join(far, "v").groupBy("u").agg(F.min("seen").alias("low"))
+        told = known.join(lowest, F.col("node") == F.col("u")).select(
+            F.explode(F.array(F.struct("node", F.least("low", "grand").alias("to")), F.struct(F.col("parent").alias("node"), F.col("low").alias("to")))).alias("x")
         )
-        smallest = materialise(large.groupBy(F.col("hi").alias("node")).agg(F.min("lo").alias("least")))
-        moved = large.join(smallest, F.col("hi") == F.col("node")).where(F.col("lo") != F.col("least")).select(F.col("lo").alias("hi"), F.col("least").alias("lo"))
-        edges = materialise(moved.union(smallest.select("node", "least")).distinct())
-        now = edges.agg(F.count("*"), F.sum(F.xxhash64("hi", "lo").cast("decimal(20,0)"))).first()
-        if now == before:
-            break
-        before = now
-    roots = edges.select(F.col("lo").alias("node"), F.col("lo").alias("component")).distinct()
-    return edges.select(F.col("hi").alias("node"), F.col("lo").alias("component")).union(roots)
+        before = total
+        parents, total = _summed(told.groupBy(F.col("x.node").alias("node")).agg(F.min("x.to").alias("parent")))
+        if total == before:
+            return parents.select("node", F.col("parent").alias("component"))
+
+
+def _summed(parents: DataFrame) -> tuple[DataFrame, object]:
+    """``parents`` computed, and the sum of its pointers."""
+    seen = Observation()
+    kept = materialise(parents.observe(seen, F.sum(F.col("parent").cast("decimal(38,0)")).alias("total")))
+    return kept, seen.get["total"]

@@ -62,7 +62,7 @@ TABLE_ROWS = 6_000_000
 #: Points of a text that are looked up at a time.
 CHUNK = 1 << 18
 #: N-grams that a task gathers before it adds them up.
-GATHER = 1 << 21
+GATHER = 1 << 19
 #: Ids (eight bytes each) that a broadcast may hold.
 ID_ROWS = 4_000_000
 _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)

@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from fractions import Fraction
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sitemine.schemas import BASKET_ROWS, require_columns
-from sitemine.session import broadcast_if_small, materialise
+from sitemine.session import broadcast_if_small, materialise, numbered
 
 
 def as_fraction(share: float | str | Fraction) -> Fraction:
@@ -29,12 +29,9 @@ def min_count(n: Column, share: float | str | Fraction) -> Column:
 
 
 def item_codes(rows: DataFrame) -> DataFrame:
-    """(item, code): dense codes from 0, rarer items first, by name among equals.
-
-    The ranking meets in one task with a row per distinct item.
-    """
-    counts = rows.groupBy("item").agg(F.count("*").alias("rows"))
-    return counts.select("item", (F.row_number().over(Window.orderBy("rows", "item")) - 1).cast("int").alias("code"))
+    """(item, code): dense codes from 0, rarer items first, by name among equals."""
+    counts = materialise(rows.groupBy("item").agg(F.count("*").alias("rows")))
+    return numbered(counts, [F.col("rows"), F.col("item")], "code").select("item", F.col("code").cast("int").alias("code"))
 
 
 def item_dictionary(baskets: DataFrame, codes: DataFrame) -> DataFrame:

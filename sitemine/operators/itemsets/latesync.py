@@ -86,15 +86,20 @@ def remote_support(baskets: DataFrame, asked: DataFrame, local: DataFrame, n_sit
     counted at every site in one scan.
     """
     asked = asked.select("itemset")
+    rest = asked
     if known_counts:
-        known = local.join(asked, "itemset", "left_semi").groupBy("itemset").agg(F.sum("cnt").alias("cnt"), F.count("*").alias("sites")).where(F.col("sites") == n_sites)
-        known = materialise(known.select("itemset", "cnt"))
+        known = local.join(asked, "itemset", "left_semi").groupBy("itemset").agg(F.sum("cnt").alias("told"), F.count("*").alias("sites")).where(F.col("sites") == n_sites)
+        known = materialise(known.select("itemset", "told"))
         rest = materialise(asked.join(known, "itemset", "left_anti"))
-        counts = known if rest.isEmpty() else known.union(count_support(baskets, rest, sizes, engine=engine, by_site=False))
+        out = asked.join(known, "itemset", "left")
     else:
-        counts = count_support(baskets, asked, sizes, engine=engine, by_site=False)
-    totals = counts.groupBy("itemset").agg(F.sum("cnt").alias("support"))
-    return materialise(asked.join(totals, "itemset", "left").select("itemset", F.coalesce("support", F.lit(0)).cast("long").alias("support")))
+        out = asked.withColumn("told", F.lit(None).cast("long"))
+    if not rest.isEmpty():
+        scanned = count_support(baskets, rest, sizes, engine=engine, by_site=False).select("itemset", F.col("cnt").alias("scanned"))
+        out = out.join(scanned, "itemset", "left")
+    else:
+        out = out.withColumn("scanned", F.lit(None).cast("long"))
+    return materialise(out.select("itemset", F.coalesce("told", "scanned", F.lit(0)).cast("long").alias("support")))
 
 
 def split_global(counts: DataFrame, least: int) -> tuple[DataFrame, DataFrame]:

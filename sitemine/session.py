@@ -13,11 +13,13 @@ import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: Rows of a narrow table (ids, hashes, counts) that one broadcast may hold.
 BROADCAST_ROWS = 500_000
+#: Rows that one task may rank.
+RANK_ROWS = 1_000_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -49,6 +51,26 @@ def broadcast_if_small(df: DataFrame, max_rows: int = BROADCAST_ROWS) -> DataFra
     return df
 
 
+def numbered(df: DataFrame, order: list[Column], name: str, few: int = RANK_ROWS) -> DataFrame:
+    """``df`` with its rows numbered from 0 in ``order`` as long ``name``.
+
+    Up to ``few`` rows are ranked in one task; more are sorted by ranges, and a row's number
+    is its place in its range after all the ranges before it.
+    """
+    if df.limit(few + 1).count() <= few:
+        return df.withColumn(name, (F.row_number().over(Window.orderBy(*order)) - 1).cast("long"))
+    placed = materialise(df.orderBy(*order).withColumn(name, F.monotonically_increasing_id()))
+    part = F.shiftright(F.col(name), 33)
+    sizes = placed.groupBy(part.alias("range_no")).agg(F.count("*").alias("rows")).orderBy("range_no").collect()  # a row a range
+    starts, before = [], 0
+    for r in sizes:
+        starts.append((r.range_no, before))
+        before += r.rows
+    start = df.sparkSession.createDataFrame(starts, "range_no long, before_it long")
+    within = F.col(name).bitwiseAND(F.lit((1 << 33) - 1))
+    return placed.withColumn("range_no", part).join(F.broadcast(start), "range_no").withColumn(name, F.col("before_it") + within).drop("range_no", "before_it")
+
+
 def shared_table(df: DataFrame) -> tuple[DataFrame, str]:
     """``df`` written as parquet below the shared checkpoint folder and read again, with its path."""
     spark = df.sparkSession

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from sitemine.session import table
@@ -19,10 +19,10 @@ def by_chunk(key: Column, rows: int) -> Column:
 
 
 def by_value(df: DataFrame, column: str, site: str = "site") -> DataFrame:
-    """A site for each value of ``column``, numbered in its order (a small distinct set)."""
-    names = df.select(column).where(F.col(column).isNotNull()).distinct()
-    ranked = names.groupBy().agg(F.array_sort(F.collect_set(column)).alias("all")).select(F.posexplode("all").alias(site, column))
-    return df.join(F.broadcast(ranked.withColumn(site, F.col(site).cast("int"))), column)
+    """A site for each value of ``column``, numbered in its order, null (if any) last; sites are few."""
+    names = df.select(F.col(column).alias("of_site")).distinct()
+    ranked = names.withColumn(site, (F.row_number().over(Window.orderBy(F.asc_nulls_last("of_site"))) - 1).cast("int"))
+    return df.join(F.broadcast(ranked), F.col(column).eqNullSafe(F.col("of_site"))).drop("of_site")
 
 
 def order_region(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,8 +9,6 @@ from sitemine import sites
 from sitemine.session import table
 
 SITES = 5
-#: Words in more than this share of documents are items.
-WORD_SHARE = 0.45
 
 
 def brand_rows(spark: SparkSession, sf_dir: str, site: Column | None = None) -> DataFrame:
@@ -33,19 +31,17 @@ def attribute_rows(spark: SparkSession, sf_dir: str, n_sites: int = SITES) -> Da
 
 
 def word_rows(spark: SparkSession, sf_dir: str, site: str = "hash") -> DataFrame:
+    """Every word of every document."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
-    words = docs.select("doc_id", "lang", "source", F.explode(F.array_distinct(F.expr("regexp_extract_all(lower(text), '[a-z]+', 0)"))).alias("item"))
-    n = docs.agg(F.count("*").alias("n_docs"))
-    common = words.groupBy("item").agg(F.count("*").alias("df")).crossJoin(F.broadcast(n)).where(F.col("df") > F.col("n_docs") * WORD_SHARE).select("item")
-    rows = words.join(F.broadcast(common), "item")  # at most 1/WORD_SHARE times the words of a document
-    rows = rows.withColumn("site", sites.by_hash(F.col("doc_id"), SITES)) if site == "hash" else sites.by_value(rows, site)
-    return rows.select("site", F.col("doc_id").alias("tid"), "item")
+    docs = docs.withColumn("site", sites.by_hash(F.col("doc_id"), SITES)) if site == "hash" else sites.by_value(docs, site)
+    words = F.array_distinct(F.expr("regexp_extract_all(lower(text), '[a-z]+', 0)"))
+    return docs.select("site", F.col("doc_id").alias("tid"), F.explode(words).alias("item"))
 
 
 def user_day_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     events = table(spark, sf_dir, "events").select("user_id", "ts", "event_type", "value")
     item = F.concat("event_type", F.when(F.col("value") > 20, "+").otherwise("-"))
-    return events.select(sites.by_hash(F.col("user_id"), SITES).alias("site"), (F.col("user_id") * 100 + F.dayofmonth("ts")).alias("tid"), item.alias("item"))
+    return events.select(sites.by_hash(F.col("user_id"), SITES).alias("site"), (F.col("user_id") * 100_000 + F.unix_date(F.to_date("ts"))).alias("tid"), item.alias("item"))
 
 
 def tag_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -74,7 +70,11 @@ def class_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return labels.join(docs, "doc_id").select(sites.by_hash(F.col("doc_id"), SITES).alias("site"), F.col("doc_id").alias("tid"), F.explode(items).alias("item"))
 
 
-BRAND_SQL = "select l_orderkey % 5 as site, l_orderkey as tid, p_brand as item from lineitem join part on l_partkey = p_partkey"
+def brand_sql(n_sites: int) -> str:
+    return f"select l_orderkey % {n_sites} as site, l_orderkey as tid, p_brand as item from lineitem join part on l_partkey = p_partkey"
+
+
+BRAND_SQL = brand_sql(SITES)
 REGION_SQL = (
     "select n_regionkey as site, l_orderkey as tid, p_brand as item from lineitem join part on l_partkey = p_partkey join orders on o_orderkey = l_orderkey"
     " join customer on c_custkey = o_custkey join nation on n_nationkey = c_nationkey"
@@ -86,13 +86,12 @@ ATTRIBUTE_SQL = (
 
 def word_sql(site: str) -> str:
     words = "select distinct doc_id, lang, source, unnest(regexp_extract_all(lower(text), '[a-z]+')) as item from documents"
-    common = f"select item from ({words}) group by item having count(*) > {WORD_SHARE} * (select count(*) from documents)"
-    key = "doc_id % 5" if site == "hash" else f"dense_rank() over (order by {site}) - 1"
-    return f"select {key} as site, doc_id as tid, item from ({words}) where item in ({common})"
+    key = "doc_id % 5" if site == "hash" else f"dense_rank() over (order by {site} nulls last) - 1"
+    return f"select {key} as site, doc_id as tid, item from ({words})"
 
 
 USER_DAY_SQL = (
-    "select user_id % 5 as site, user_id * 100 + day(ts) as tid, event_type || case when value > 20 then '+' else '-' end as item from events"
+    "select user_id % 5 as site, user_id * 100000 + date_diff('day', date '1970-01-01', ts::date) as tid, event_type || case when value > 20 then '+' else '-' end as item from events"
 )
 TAG_SQL = "select distinct page_id % 5 as site, page_id as tid, unnest(regexp_extract_all(lower(html), '<([a-z][a-z0-9]*)', 1)) as item from pages"
 CHAT_SQL = "select distinct conv_id % 5 as site, conv_id as tid, unnest(regexp_extract_all(lower(text), '[a-z]+')) as item from conversations"

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -13,6 +14,7 @@ from sitemine.operators.itemsets import central, rules
 from sitemine.operators.itemsets.latesync import MineResult, latesync_mine
 from sitemine.operators.itemsets.levelsync import levelsync_mine
 from sitemine.operators.itemsets.local import local_apriori
+from sitemine.session import drop_shared, shared_table
 from sitemine.workloads import inputs
 
 Rows = Callable[[SparkSession, str], DataFrame]
@@ -93,38 +95,83 @@ def top_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _named(mined.itemsets, dictionary).withColumn("place", rank.cast("long")).where("place <= 5")
 
 
+#: What both miners are held to: the frequent sets alone, or with their supports.
+OUTPUTS = ("sets", "supports")
+
+
+def _asked(mined: MineResult, output: str) -> tuple[int, int, int, int]:
+    """Passes, distinct sets asked, and the messages and bytes of asking every other site and being answered."""
+    last = mined.counters["passes"] if output == "supports" else mined.counters.get("frontier_passes", mined.counters["passes"])
+    others = mined.counters["sites"] - 1
+    log = mined.requests.where(F.col("pass") <= last)
+    asks, size = log.agg(F.count("*"), F.coalesce(F.sum(F.size("itemset") * 4 + 8), F.lit(0))).first()
+    return last, sum(p["requested"] for p in mined.passes[:last]), 2 * others * asks, others * size
+
+
+_COSTS = "passes long, requested long, messages long, bytes long"
+
+
 def passes_by_frontier(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Passes and requests of every frontier and of the baseline on the dense workload."""
+    """Passes, requests and messages of every frontier and of the baseline on the dense workload, by what is asked for."""
     baskets, _ = B.from_rows(inputs.attribute_rows(spark, sf_dir))
-    out = []
-    for kind in ("maximal", "all", "bottom_up"):
-        mined = latesync_mine(baskets, min_support="0.1", frontier=kind)
-        out.append((f"late-{kind}", mined.counters["passes"], mined.counters["requested"]))
-    mined = levelsync_mine(baskets, min_support="0.1")
-    out.append(("level", mined.counters["passes"], mined.counters["requested"]))
-    return spark.createDataFrame(out, "method string, passes long, requested long")
+    found = {f"late-{kind}": latesync_mine(baskets, min_support="0.1", frontier=kind) for kind in ("maximal", "all", "bottom_up")}
+    found["level"] = levelsync_mine(baskets, min_support="0.1")
+    out = [(name, output, *_asked(mined, output)) for name, mined in found.items() for output in OUTPUTS]
+    return spark.createDataFrame(out, f"method string, output string, {_COSTS}")
+
+
+SITE_COUNTS = (1, 2, 5, 20, 200)
 
 
 def process_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Passes and requests of both miners against the number of sites."""
+    """Passes, requests and messages of both miners against the number of sites, and how many locally frequent sets are so globally."""
     out = []
-    for n in (1, 2, 5, 20):
-        baskets, _ = B.from_rows(inputs.attribute_rows(spark, sf_dir, n))
-        for name, miner in (("late", latesync_mine), ("level", levelsync_mine)):
-            mined = miner(baskets, min_support="0.1")
-            out.append((n, name, mined.counters["passes"], mined.counters["requested"]))
-    return spark.createDataFrame(out, "sites long, method string, passes long, requested long")
+    for n in SITE_COUNTS:
+        baskets, _ = B.from_rows(inputs.brand_rows(spark, sf_dir, sites.by_hash(F.col("l_orderkey"), n)))
+        found = {"late": latesync_mine(baskets, min_support="0.005"), "level": levelsync_mine(baskets, min_support="0.005")}
+        n_local, n_global = found["late"].local.select("itemset").distinct().count(), found["late"].itemsets.count()
+        out += [(n, name, output, *_asked(mined, output), n_local, n_global) for name, mined in found.items() for output in OUTPUTS]
+    return spark.createDataFrame(out, f"sites long, method string, output string, {_COSTS}, local_sets long, global_sets long")
+
+
+SIZES = (1, 2, 3, 4, 5, 6)
 
 
 def size_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Passes of both miners against the largest size asked for: the late ones stay few."""
+    """Passes, requests and messages of both miners against the largest size asked for."""
     baskets, _ = B.from_rows(inputs.brand_rows(spark, sf_dir))
     out = []
-    for k in (1, 2, 3, 4):
+    for k in SIZES:
         for name, miner in (("late", latesync_mine), ("level", levelsync_mine)):
-            mined = miner(baskets, min_support="0.02", k=k)
-            out.append((k, name, mined.counters["passes"], mined.counters["requested"]))
-    return spark.createDataFrame(out, "k long, method string, passes long, requested long")
+            mined = miner(baskets, min_support="0.005", k=k)
+            out += [(k, name, output, *_asked(mined, output)) for output in OUTPUTS]
+    return spark.createDataFrame(out, f"k long, method string, output string, {_COSTS}")
+
+
+def gain_by_size(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of both miners against the largest size asked for, and the late one's gain (after a warm run)."""
+    baskets, _ = B.from_rows(inputs.attribute_rows(spark, sf_dir))
+    baskets, path = shared_table(baskets)
+    latesync_mine(baskets, min_support="0.05", k=2)
+    out = []
+    for k in SIZES:
+        took = []
+        for miner in (latesync_mine, levelsync_mine):
+            began = time.perf_counter()
+            miner(baskets, min_support="0.05", k=k)
+            took.append(time.perf_counter() - began)
+        out.append((k, *took, 1 - took[0] / took[1]))
+    drop_shared(spark, path)
+    return spark.createDataFrame(out, "k long, late_seconds double, level_seconds double, gain double")
+
+
+def stricter_local(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """With a local bound above the global one sets are lost: those frequent in all, and those found, by size."""
+    baskets, _ = B.from_rows(inputs.brand_rows(spark, sf_dir))
+    truth = latesync_mine(baskets, min_support="0.005").itemsets
+    found = latesync_mine(baskets, min_support="0.005", local_support="0.01").itemsets.select("itemset", F.lit(1).alias("hit"))
+    both = truth.join(found, "itemset", "left").groupBy("size").agg(F.count("*").alias("frequent"), F.count("hit").alias("found"))
+    return both.withColumn("size", F.col("size").cast("long"))
 
 
 def accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -182,6 +229,45 @@ x as (select b.* from b join (select b.site, item from b join n on n.site = b.si
 {" union all ".join(levels)}"""
 
 
+def log_sql(rows: str, share: str, k: int = 4) -> str:
+    """DuckDB: (method, pass, kind, site, s, z), a row for each set that a site asks for in a pass, from local and global sets."""
+    part = "array_to_string(list_filter(l, lambda x, j: j <> i), '|')"
+    ctes = [
+        f"loc as materialized (select site, itemset as s, size as z from ({local_sql(rows, share, k)}))",
+        f"everywhere as materialized (select itemset as s from ({itemset_sql(rows, share, k)}))",
+        "u as materialized (select distinct s, z, string_split(s, '|') as l from loc)",
+        f"part as materialized (select s, {part} as t from (select s, l, unnest(range(1, z + 1)) as i from u where z > 1))",
+        "sub1 as (select s, s as t from u)",
+    ]
+    ctes += [f"sub{i + 1} as (select distinct a.s, p.t from sub{i} a join part p on p.s = a.t)" for i in range(1, k)]
+    ctes.append("sub as materialized (" + " union ".join(f"select * from sub{i}" for i in range(1, k + 1)) + ")")
+    ctes.append("f1 as materialized (select site, s from loc where (site, s) not in (select l.site, p.t from loc l join part p on p.s = l.s))")
+    for p in range(1, k + 1):
+        ctes.append(f"a{p} as materialized (" + " union ".join(f"select s from f{i}" for i in range(1, p + 1)) + ")")
+        ctes.append(f"c{p} as materialized (select distinct t as s from sub where s in (select s from a{p}) and s in (select s from everywhere))")
+        ctes.append(
+            f"f{p + 1} as materialized (select distinct f.site, p.t as s from f{p} f join part p on p.s = f.s where f.s not in (select s from everywhere)"
+            f" and p.t not in (select s from c{p}) and p.t not in (select s from a{p}))"
+        )
+    logs = [f"select 'late' as method, {p} as pass, 'frontier' as kind, site, s from f{p}" for p in range(1, k + 1)]
+    last = " + ".join(f"(select (count(*) > 0)::int from f{p})" for p in range(1, k + 1))
+    logs.append(f"select 'late', {last} + 1, 'support', site, s from loc where s in (select s from c{k}) and s not in (select s from a{k})")
+    logs.append("select 'level', z, 'frontier', site, s from loc l where not exists (select 1 from part p where p.s = l.s and p.t not in (select s from everywhere))")
+    logs.append("select 'late-all', 1, 'frontier', site, s from loc")
+    ctes.append("log as materialized (" + " union all ".join(logs) + ")")
+    return f"with {', '.join(ctes)} select method, pass::bigint as pass, kind, site, s, len(string_split(s, '|'))::bigint as z from log"
+
+
+def asked_sql(rows: str, share: str, n_sites: int, k: int = 4, names: dict[str, str] | None = None) -> str:
+    """DuckDB: what ``_asked`` says of both miners, by output; ``names``: other names of methods, and methods that ask alike."""
+    names = names or {"late": "late", "level": "level"}
+    shown = " union all ".join(f"select '{name}' as method, '{of}' as of" for name, of in names.items())
+    return f"""select m.method, o.output, count(distinct pass)::bigint as passes, count(distinct (pass, s))::bigint as requested,
+        (2 * {n_sites - 1} * count(*))::bigint as messages, ({n_sites - 1} * sum(4 * z + 8))::bigint as bytes
+        from ({shown}) m, (select unnest(['sets', 'supports']) as output) o, ({log_sql(rows, share, k)}) l
+        where l.method = m.of and (o.output = 'supports' or l.kind = 'frontier') group by m.method, o.output"""
+
+
 _W1 = itemset_sql(inputs.BRAND_SQL, "0.005")
 _LOCAL = local_sql(inputs.BRAND_SQL, "0.005")
 _BELOW = "len(string_split({a}, '|')) = len(string_split({b}, '|')) + 1 and len(list_filter(string_split({b}, '|'), lambda i: not list_contains(string_split({a}, '|'), i))) = 0"
@@ -196,10 +282,10 @@ QUERIES = {
     "itemsets_words_lang": late(lambda s, d: inputs.word_rows(s, d, "lang"), "0.55"),
     "itemsets_words_source": late(lambda s, d: inputs.word_rows(s, d, "source"), "0.55"),
     "itemsets_userday": late(inputs.user_day_rows, "0.1"),
-    "itemsets_tags": late(inputs.tag_rows, "0.5", k=3),
-    "itemsets_chats": late(inputs.chat_rows, "0.4", k=3),
-    "itemsets_benchmark": late(inputs.benchmark_rows, "0.3", k=3),
-    "itemsets_classes": late(inputs.class_rows, "0.05", k=3),
+    "itemsets_tags": late(inputs.tag_rows, "0.5"),
+    "itemsets_chats": late(inputs.chat_rows, "0.4"),
+    "itemsets_benchmark": late(inputs.benchmark_rows, "0.3"),
+    "itemsets_classes": late(inputs.class_rows, "0.05"),
     "itemsets_brand_loose_local": late(inputs.brand_rows, "0.02", local_support="0.015"),
     "frontier_all_brand": late(inputs.brand_rows, "0.02", frontier="all"),
     "frontier_bottom_up_brand": late(inputs.brand_rows, "0.02", frontier="bottom_up"),
@@ -207,8 +293,12 @@ QUERIES = {
     "counting_extend_brand": late(inputs.brand_rows, "0.02", engine="extend"),
     "counting_trie_brand": late(inputs.brand_rows, "0.02", engine="trie"),
     "counting_contains_attrs": late(inputs.attribute_rows, "0.1", engine="contains"),
+    "counting_bitmap_attrs": late(inputs.attribute_rows, "0.1", engine="bitmap"),
+    "counting_expand_attrs": late(inputs.attribute_rows, "0.1", engine="expand"),
     "counting_scan_all_brand": late(inputs.brand_rows, "0.02", known_counts=False),
     "levelsync_brand": level(inputs.brand_rows, "0.005"),
+    "levelsync_attrs": level(inputs.attribute_rows, "0.05"),
+    "levelsync_words": level(lambda s, d: inputs.word_rows(s, d), "0.55"),
     "levelsync_upper_brand": level(inputs.brand_rows, "0.005", pruning=("local", "upper")),
     "levelsync_all_sizes_brand": level(inputs.brand_rows, "0.02", k=None),
     "central_brand": whole(inputs.brand_rows, "0.005", central.central_apriori),
@@ -223,6 +313,8 @@ QUERIES = {
     "passes_by_frontier": passes_by_frontier,
     "process_sweep": process_sweep,
     "size_sweep": size_sweep,
+    "gain_by_size": gain_by_size,
+    "stricter_local_misses": stricter_local,
     "itemset_accuracy": accuracy,
 }
 
@@ -237,10 +329,10 @@ ORACLES = {
     "itemsets_words_lang": itemset_sql(inputs.word_sql("lang"), "0.55"),
     "itemsets_words_source": itemset_sql(inputs.word_sql("source"), "0.55"),
     "itemsets_userday": itemset_sql(inputs.USER_DAY_SQL, "0.1"),
-    "itemsets_tags": itemset_sql(inputs.TAG_SQL, "0.5", 3),
-    "itemsets_chats": itemset_sql(inputs.CHAT_SQL, "0.4", 3),
-    "itemsets_benchmark": itemset_sql(inputs.BENCHMARK_SQL, "0.3", 3),
-    "itemsets_classes": itemset_sql(inputs.CLASS_SQL, "0.05", 3),
+    "itemsets_tags": itemset_sql(inputs.TAG_SQL, "0.5"),
+    "itemsets_chats": itemset_sql(inputs.CHAT_SQL, "0.4"),
+    "itemsets_benchmark": itemset_sql(inputs.BENCHMARK_SQL, "0.3"),
+    "itemsets_classes": itemset_sql(inputs.CLASS_SQL, "0.05"),
     "itemsets_brand_loose_local": _RARE,
     "frontier_all_brand": _RARE,
     "frontier_bottom_up_brand": _RARE,
@@ -249,6 +341,19 @@ ORACLES = {
     "counting_trie_brand": _RARE,
     "counting_contains_attrs": itemset_sql(inputs.ATTRIBUTE_SQL, "0.1"),
     "counting_scan_all_brand": _RARE,
+    "counting_bitmap_attrs": itemset_sql(inputs.ATTRIBUTE_SQL, "0.1"),
+    "counting_expand_attrs": itemset_sql(inputs.ATTRIBUTE_SQL, "0.1"),
+    "levelsync_attrs": itemset_sql(inputs.ATTRIBUTE_SQL, "0.05"),
+    "levelsync_words": itemset_sql(inputs.word_sql("hash"), "0.55"),
+    "passes_by_frontier": asked_sql(inputs.ATTRIBUTE_SQL, "0.1", 5, names={"late-maximal": "late", "late-all": "late-all", "late-bottom_up": "level", "level": "level"}),
+    "process_sweep": " union all ".join(
+        f"""select {n}::bigint as sites, a.*, u.local_sets, g.global_sets from ({asked_sql(inputs.brand_sql(n), "0.005", n)}) a,
+        (select count(distinct itemset)::bigint as local_sets from ({local_sql(inputs.brand_sql(n), "0.005")})) u, (select count(*)::bigint as global_sets from ({_W1})) g"""
+        for n in SITE_COUNTS
+    ),
+    "size_sweep": " union all ".join(f"select {k}::bigint as k, a.* from ({asked_sql(inputs.BRAND_SQL, '0.005', 5, k)}) a" for k in SIZES),
+    "stricter_local_misses": f"""with l as materialized ({local_sql(inputs.BRAND_SQL, "0.01")}), w as ({_W1})
+        select size, count(*)::bigint as frequent, (count(*) filter (where itemset in (select itemset from l)))::bigint as found from w group by size""",
     "levelsync_brand": _W1,
     "levelsync_upper_brand": _W1,
     "levelsync_all_sizes_brand": _RARE,

@@ -1,12 +1,12 @@
-"""Distributed connected components over a link table.
-
-Every node points to a smaller node of its component.  A round joins each link with the
-grandparents of its far end and gives the smallest seen to the near end and to the near
-end's parent (so whole trees hook on, not single nodes), and every node is moved up to its
-own grandparent.  Pointers only fall; when their sum stands still they are stars around the
-smallest node of each component.  Minima combine before the shuffle, and both sides of the
-joins that meet a hub are plain exchanges, which adaptive execution can split.  Nothing is
-collected on the driver but one sum a round.
+"""Distributed connected components over a link table, by contraction.
+
+A round hooks every node to the smallest of itself and its neighbours, moves pointers up to
+the roots of the trees so made (doubling their reach each time), and replaces the ends of
+each link by their roots.  Links inside a tree vanish, so the table shrinks from round to
+round; when it is empty the rounds' pointers are joined from the last to the first.  A
+component's smallest node is never moved and ends as its name.  Minima combine before the
+shuffle, and both sides of the joins that meet a hub are plain exchanges, which adaptive
+execution can split.  Nothing is collected on the driver but a sum a step.
 """
 
 from __future__ import annotations
@@ -23,26 +23,42 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFr
     ``component`` is the smallest node reachable.  Self links, null ends and repeated
     links are allowed and change nothing.  No links give an empty table.
     """
-    once = links.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b))).select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).distinct()
-    edges = materialise(once.select(F.explode(F.array(F.struct("u", "v"), F.struct(F.col("v").alias("u"), F.col("u").alias("v")))).alias("e")).select("e.*"))
-    parents = edges.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("least")).select("node", F.least("node", "least").alias("parent"))
-    parents, total = _summed(parents)
+    known = links.where(F.col(a).isNotNull() & F.col(b).isNotNull())
+    edges = _contracted(known.select(F.col(a).alias("u"), F.col(b).alias("v")))
+    rounds = []
+    while True:
+        ends = edges.select(F.explode(F.array(F.struct("u", "v"), F.struct(F.col("v").alias("u"), F.col("u").alias("v")))).alias("e"))
+        rounds.append(_roots(ends.groupBy(F.col("e.u").alias("node")).agg(F.min("e.v").alias("near")).select("node", F.least("node", "near").alias("root"))))
+        side = lambda end: rounds[-1].select(F.col("node").alias(end), F.col("root").alias(f"root_{end}"))
+        edges = _contracted(edges.join(side("u"), "u").join(side("v"), "v").select(F.col("root_u").alias("u"), F.col("root_v").alias("v")))
+        if edges.isEmpty():
+            break
+    out = rounds.pop()
+    while rounds:
+        above = out.select(F.col("node").alias("up"), F.col("root").alias("top"))
+        lower = rounds.pop()
+        out = lower.join(above, F.col("root") == F.col("up"), "left").select("node", F.coalesce("top", "root").alias("root"))
+        out = materialise(out)
+    return out.select("node", F.col("root").alias("component"))
+
+
+def _contracted(edges: DataFrame) -> DataFrame:
+    return materialise(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
+
+
+def _roots(pointers: DataFrame) -> DataFrame:
+    """Pointers (node, root) moved up until they stand still; they only fall, so their sum tells."""
+    kept, total = _summed(pointers)
     while True:
-        above = parents.select(F.col("node").alias("up"), F.col("parent").alias("grand"))
-        known = materialise(parents.join(above, F.col("parent") == F.col("up")).select("node", "parent", "grand"))
-        far = known.select(F.col("node").alias("v"), F.col("grand").alias("seen"))
-        lowest = edges.join(far, "v").groupBy("u").agg(F.min("seen").alias("low"))
-        told = known.join(lowest, F.col("node") == F.col("u")).select(
-            F.explode(F.array(F.struct("node", F.least("low", "grand").alias("to")), F.struct(F.col("parent").alias("node"), F.col("low").alias("to")))).alias("x")
-        )
+        above = kept.select(F.col("node").alias("up"), F.col("root").alias("top"))
         before = total
-        parents, total = _summed(told.groupBy(F.col("x.node").alias("node")).agg(F.min("x.to").alias("parent")))
+        kept, total = _summed(kept.join(above, F.col("root") == F.col("up")).select("node", F.col("top").alias("root")))
         if total == before:
-            return parents.select("node", F.col("parent").alias("component"))
+            return kept
 
 
-def _summed(parents: DataFrame) -> tuple[DataFrame, object]:
-    """``parents`` computed, and the sum of its pointers."""
+def _summed(pointers: DataFrame) -> tuple[DataFrame, object]:
+    """``pointers`` computed, and the sum of their roots."""
     seen = Observation()
-    kept = materialise(parents.observe(seen, F.sum(F.col("parent").cast("decimal(38,0)")).alias("total")))
+    kept = materialise(pointers.observe(seen, F.sum(F.col("root").cast("decimal(38,0)")).alias("total")))
     return kept, seen.get["total"]

@@ -4,9 +4,11 @@ Reading.  ``parse`` walks a byte string as a player would: an ID3v2 tag (with it
 frames), an APEv2 or ID3v1 tag at the end, then frame headers.  Where no header stands it
 looks for the next sync word and accepts it only if the header is legal, fits the stream's
 version, layer and rate, and the header after it (or the end of the audio) is where this
-one says.  It reads Xing / Info and VBRI tables, checks each protected frame's CRC-16 over
-header and side information, adds up samples for the exact duration, and keeps a frame
-seek table.
+one says.  It reads Xing / Info and VBRI tables whole (counts, quality, and the seek table
+as byte offsets), checks each protected frame's CRC-16 over what its layer protects (side
+information, or bit allocation and, in layer II, scale factor selection), adds up samples
+for the exact duration, and keeps every frame's offset.  Free-format streams, whose frames
+do not tell their length, are taken for junk.
 
 Writing.  ``store`` puts a payload into MPEG-2 Layer III frames of 576 samples at 16 kHz
 mono, 144 kbit/s: 648 bytes, of which 576 carry payload (one byte a sample) after header,
@@ -39,7 +41,7 @@ from sitemine.llm.common import bounded_batches, fresh_name
 
 BLOCK = 576
 #: Frames between entries of the seek table.
-SEEK_STEP = 50
+SEEK_STEP = 1
 
 # Fixed values of the format: kbit/s by (version is 1, layer) and index, Hz by version and index.
 BITRATES = {
@@ -52,6 +54,14 @@ BITRATES = {
 }
 RATES = {1.0: (44100, 48000, 32000), 2.0: (22050, 24000, 16000), 2.5: (11025, 12000, 8000)}
 VERSIONS = {0: 2.5, 2: 2.0, 3: 1.0}
+# Fixed values of layer II: bits of a subband's allocation, as runs of (subbands, bits), by table.
+ALLOCATION = {
+    "27": ((11, 4), (12, 3), (4, 2)),
+    "30": ((11, 4), (12, 3), (7, 2)),
+    "8": ((2, 4), (6, 3)),
+    "12": ((2, 4), (10, 3)),
+    "low": ((4, 4), (7, 3), (19, 2)),
+}
 
 
 @dataclass(frozen=True)
@@ -64,6 +74,7 @@ class Header:
     mono: bool
     size: int
     samples: int
+    bound: int  # subbands below it have an allocation for each channel (joint stereo shares the rest)
 
     @property
     def side(self) -> int:
@@ -89,7 +100,9 @@ def header_of(word: int) -> Header | None:
     kbps, rate, padding = BITRATES[first, layer][kbit], RATES[version][hz], word >> 9 & 1
     samples = 384 if layer == 1 else 1152 if layer == 2 or first else 576
     size = (12000 * kbps // rate + padding) * 4 if layer == 1 else samples // 8 * 1000 * kbps // rate + padding
-    return Header(version, layer, not word >> 16 & 1, kbps, rate, word >> 6 & 3 == 3, size, samples)
+    mode = word >> 6 & 3
+    bound = ((word >> 4 & 3) + 1) * 4 if mode == 1 else 32
+    return Header(version, layer, not word >> 16 & 1, kbps, rate, mode == 3, size, samples, bound)
 
 
 @lru_cache(65536)
@@ -103,6 +116,43 @@ def crc16(data: bytes) -> int:
     return crc
 
 
+def crc16_bits(lead: bytes, data: bytes, bits: int) -> int:
+    """``crc16`` of ``lead`` and the first ``bits`` bits of ``data``."""
+    crc = crc16(lead + data[: bits // 8])
+    for i in range(bits % 8):
+        bit = data[bits // 8] >> (7 - i) & 1
+        crc = (crc << 1 ^ (0x8005 if crc >> 15 != bit else 0)) & 0xFFFF
+    return crc
+
+
+def allocation_of(head: Header) -> list[int]:
+    """Bits of each subband's allocation in a layer II frame."""
+    channels = 1 if head.mono else 2
+    if head.version != 1.0:
+        name = "low"
+    elif (each := head.kbps // channels) < 56:
+        name = "12" if head.rate == 32000 else "8"
+    else:
+        name = "27" if head.rate == 48000 or each <= 80 else "30"
+    return [bits for subbands, bits in ALLOCATION[name] for _ in range(subbands)]
+
+
+def protected_bits(head: Header, body: bytes) -> int:
+    """How many bits after the CRC it covers, besides the last two header bytes."""
+    if head.layer == 3:
+        return 8 * head.side
+    channels = 1 if head.mono else 2
+    if head.layer == 1:
+        return 4 * (head.bound * channels + 32 - head.bound)
+    number, at, chosen = int.from_bytes(body, "big"), 0, 0
+    for band, width in enumerate(allocation_of(head)):
+        for _ in range(channels if band < head.bound else 1):
+            value = number >> (8 * len(body) - at - width) & ((1 << width) - 1)
+            at += width
+            chosen += (value > 0) * (1 if band < head.bound else channels)
+    return at + 2 * chosen
+
+
 @dataclass
 class Audio:
     """What a stream holds; offsets are bytes from its start."""
@@ -118,6 +168,8 @@ class Audio:
     vbr: str = ""
     vbr_frames: int = -1
     vbr_bytes: int = -1
+    vbr_quality: int = -1
+    vbr_seek: list[int] = field(default_factory=list)
     bitrates: set[int] = field(default_factory=set)
     offsets: np.ndarray = field(default_factory=lambda: np.empty(0, np.int64))
 
@@ -131,10 +183,10 @@ class Audio:
     def feature(self) -> str:
         """One line of everything measured, the seek table by its digest."""
         kind = f"mpeg{self.head.version:g}-layer{self.head.layer}-{self.head.rate}hz" if self.head else "none"
-        seek = zlib.crc32(self.offsets[::SEEK_STEP].astype("<i8").tobytes())
+        seek, told = (zlib.crc32(np.asarray(x, "<i8").tobytes()) for x in (self.offsets[::SEEK_STEP], self.vbr_seek))
         return (
             f"{kind};kbps={','.join(map(str, sorted(self.bitrates)))};frames={self.frames};samples={self.samples};seconds={self.duration:.6f};"
-            f"crc={self.checked - self.bad_crc}/{self.checked};junk={self.junk};resyncs={self.resyncs};vbr={self.vbr or '-'}:{self.vbr_frames}:{self.vbr_bytes};seek={seek:08x}"
+            f"crc={self.checked - self.bad_crc}/{self.checked};junk={self.junk};resyncs={self.resyncs};vbr={self.vbr or '-'}:{self.vbr_frames}:{self.vbr_bytes}:{self.vbr_quality};table={told:08x};seek={seek:08x}"
         )
 
 
@@ -197,20 +249,31 @@ def _read_tail(data: bytes, tags: dict[str, str], tagged: bool) -> int:
 def _vbr(audio: Audio, frame: bytes, head: Header) -> bool:
     """Whether the frame is a table of variable bitrates instead of sound."""
     at = 4 + head.side
+    number = lambda size: int.from_bytes(frame[at : at + size], "big")
     for skip in (0, 2):  # some writers leave room for a CRC, some don't
         if frame[at + skip : at + skip + 4] in (b"Xing", b"Info"):
             at += skip
             audio.vbr = frame[at : at + 4].decode()
-            flags = int.from_bytes(frame[at + 4 : at + 8], "big")
-            at += 8
+            at += 4
+            flags = number(4)
+            at += 4
             if flags & 1:
-                audio.vbr_frames = int.from_bytes(frame[at : at + 4], "big")
+                audio.vbr_frames = number(4)
                 at += 4
             if flags & 2:
-                audio.vbr_bytes = int.from_bytes(frame[at : at + 4], "big")
+                audio.vbr_bytes = number(4)
+                at += 4
+            if flags & 4:  # for each hundredth of the time, the 256th of the bytes
+                audio.vbr_seek = [part * max(0, audio.vbr_bytes) // 256 for part in frame[at : at + 100]]
+                at += 100
+            if flags & 8:
+                audio.vbr_quality = number(4)
             return True
     if frame[36:40] == b"VBRI":
-        audio.vbr, audio.vbr_bytes, audio.vbr_frames = "VBRI", int.from_bytes(frame[46:50], "big"), int.from_bytes(frame[50:54], "big")
+        audio.vbr, audio.vbr_quality, audio.vbr_bytes, audio.vbr_frames = "VBRI", *struct.unpack(">HII", frame[44:54].ljust(10, b"\0"))
+        entries, scale, width, _ = struct.unpack(">HHHH", frame[54:62].ljust(8, b"\0"))
+        table = frame[62 : 62 + entries * width]
+        audio.vbr_seek = np.cumsum([int.from_bytes(table[i : i + width], "big") * scale for i in range(0, len(table), max(1, width))], dtype=np.int64).tolist()
         return True
     return False
 
@@ -245,13 +308,13 @@ def _walk(data: bytes, tagged: bool) -> tuple[Audio, bool]:
             audio.junk += stop - at
             at, sure = stop, False
             continue
-        frame = data[at : at + min(head.size, 200)]
-        if head.protected and head.layer == 3:
+        if head.protected:
+            frame = data[at : at + min(head.size, 200)]
             audio.checked += 1
-            audio.bad_crc += crc16(frame[2:4] + frame[6 : 6 + head.side]) != int.from_bytes(frame[4:6], "big")
+            audio.bad_crc += crc16_bits(frame[2:4], frame[6:], protected_bits(head, frame[6:])) != int.from_bytes(frame[4:6], "big")
         if audio.head is None:
             audio.head = head
-            if head.layer == 3 and _vbr(audio, frame, head):
+            if head.layer == 3 and _vbr(audio, data[at : at + head.size], head):
                 at, sure = at + head.size, True
                 continue
         offsets.append(at)
@@ -380,5 +443,48 @@ def op1_mpeg_audio(spark, sf_dir: str) -> DataFrame:
         "seconds",
         "bad_crc",
         "junk_bytes",
-        "seek_offsets",
+        F.array_join("seek_offsets", ",").alias("seek_offsets"),
     )
+
+
+# The stored form in hexadecimal digits, built from the text by string functions alone.
+_LEAD_HEX = "FFF2D8C0" + f"{crc16(bytes.fromhex('D8C0') + bytes(9)):04X}" + "00" * 9
+_PERCENT_HEX = "".join(f"{256 * i // 100:02X}" for i in range(100))
+
+
+def _crc_sql(column: str) -> str:
+    """DuckDB: the CRC-32 of a list of bytes, half a byte at a time."""
+    halves = []
+    for n in range(16):
+        for _ in range(4):
+            n = n >> 1 ^ (0xEDB88320 if n & 1 else 0)
+        halves.append(n)
+    half = f"(list_value({', '.join(map(str, halves))}))"
+    one = f"xor(xor(a, x) >> 4, {half}[(xor(a, x) & 15) + 1])"
+    return f"xor(list_reduce(list_prepend(4294967295, {column}), lambda a, x: xor({one} >> 4, {half}[({one} & 15) + 1])), 4294967295)"
+
+
+ORACLE = f"""
+with t as (select doc_id, coalesce(text, '') as text, octet_length(encode(coalesce(text, '')))::bigint as n_bytes from documents),
+p as (select *, hex(encode(text)) || repeat('FF', (case when n_bytes = 0 then 576 else (576 - n_bytes % 576) % 576 end)::bigint) as payload from t),
+f as (select *, (length(payload) / 2)::bigint as payload_bytes, (length(payload) / 1152)::bigint as frames from p),
+x as (select *, 'TLEN' as k1, (frames * 576 * 1000 // 16000)::varchar as v1, 'content_bytes' as k2, n_bytes::varchar as v2 from f),
+y as (select *, hex('TLEN') || printf('%08X', length(v1) + 1) || '000000' || hex(v1)
+    || hex('TXXX') || printf('%08X', length(v2) + 15) || '000000' || hex('content_bytes') || '00' || hex(v2) as tags from x),
+z as (select *, (length(tags) / 2)::bigint as tag_bytes from y),
+m as (select *, hex('ID3') || '030000' || printf('%02X%02X%02X%02X', tag_bytes >> 21 & 127, tag_bytes >> 14 & 127, tag_bytes >> 7 & 127, tag_bytes & 127) || tags
+    || '{_LEAD_HEX}' || hex('Info') || '00000007' || printf('%08X', frames) || printf('%08X', (frames + 1) * 648) || '{_PERCENT_HEX}' || repeat('00', {648 - 15 - 116})
+    || array_to_string(list_transform(range(frames), lambda i: '{_LEAD_HEX}' || substr(payload, 1152 * i + 1, 1152) || '{"00" * 57}'), '') as media from z),
+b as (select *, list_transform(range(8 * frames), lambda i: ((10 + tag_bytes + 648 * (i // 8 + 1)) >> (8 * (i % 8))) & 255) as seek_bytes,
+    list_transform(range(800), lambda i: (((256 * (i // 8) // 100) * ((frames + 1) * 648) // 256) >> (8 * (i % 8))) & 255) as told_bytes,
+    right(payload, 64) as tail_hex from m),
+d as (select *, list_transform(range(32), lambda i: ('0x' || substr(tail_hex, 2 * i + 1, 2))::bigint) as tail from b),
+c as (select *, {_crc_sql("seek_bytes")} as seek_crc, {_crc_sql("told_bytes")} as told_crc, {_crc_sql("tail")} as tail_crc32 from d)
+select doc_id, n_bytes, payload_bytes, sha256(unhex(payload)) as payload_sha256, tail_crc32::bigint as tail_crc32, (length(media) / 2)::bigint as media_bytes, sha256(unhex(media)) as media_sha256,
+    'mpeg2-layer3-16000hz;kbps=144;frames=' || frames || ';samples=' || (frames * 576) || ';seconds=' || printf('%.6f', frames * 576 / 16000.0::double)
+    || ';crc=' || (frames + 1) || '/' || (frames + 1) || ';junk=0;resyncs=0;vbr=Info:' || frames || ':' || ((frames + 1) * 648) || ':-1;table=' || printf('%08x', told_crc::bigint)
+    || ';seek=' || printf('%08x', seek_crc::bigint) as feature,
+    frames, (frames * 576)::bigint as samples, 16000::bigint as sample_rate, frames * 576 / 16000.0::double as seconds, 0::bigint as bad_crc, 0::bigint as junk_bytes,
+    array_to_string(list_transform(range(frames), lambda i: 10 + tag_bytes + 648 * (i + 1)), ',') as seek_offsets
+from c
+"""

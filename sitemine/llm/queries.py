@@ -17,6 +17,7 @@ QUERIES = {
     "op10_language_id": language_id.op10_language_id,
 }
 ORACLES = {
+    "op1_mpeg_audio": mpeg_audio.ORACLE,
     "op2_embedding_dedup": embedding_dedup.ORACLE,
     "op5_mixing": mixing.ORACLE,
     "op6_chat_format": chat_format.ORACLE,

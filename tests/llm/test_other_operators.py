@@ -57,13 +57,73 @@ class TestAudio:
         xing[36:48] = b"Xing" + struct.pack(">II", 1, 77)
         audio = mpeg_audio.parse(bytes(xing) + frame(0) * 3)
         assert (audio.vbr, audio.vbr_frames, audio.frames) == ("Xing", 77, 3)
+        xing[36:164] = b"Xing" + struct.pack(">III", 15, 3, 4 * 417) + bytes(range(0, 200, 2)) + struct.pack(">I", 57) + bytes(8)
+        audio = mpeg_audio.parse(bytes(xing) + frame(0) * 3)
+        assert audio.vbr_quality == 57 and audio.vbr_seek == [2 * i * 4 * 417 // 256 for i in range(100)]
         vbri = bytearray(frame(0))
-        vbri[36:54] = b"VBRI" + bytes(6) + struct.pack(">II", 1234, 5)
+        vbri[36:54] = b"VBRI" + bytes(4) + struct.pack(">HII", 80, 1234, 5)
+        vbri[54:70] = struct.pack(">HHHH", 4, 3, 2, 7) + struct.pack(">HHHH", 10, 20, 30, 40)
         audio = mpeg_audio.parse(bytes(vbri) + frame(0) * 2)
-        assert (audio.vbr, audio.vbr_bytes, audio.vbr_frames) == ("VBRI", 1234, 5)
+        assert (audio.vbr, audio.vbr_bytes, audio.vbr_frames, audio.vbr_quality, audio.vbr_seek) == ("VBRI", 1234, 5, 80, [30, 90, 180, 300])
         for nothing in (b"", b"\xff", b"no audio here", bytes(1000), b"\xff" * 1000):
             assert mpeg_audio.parse(nothing).frames == 0
 
+    @staticmethod
+    def crc_of_bits(bits):
+        """CRC-16 bit by bit over a list of bits."""
+        crc = 0xFFFF
+        for bit in bits:
+            top = crc >> 15
+            crc = crc << 1 & 0xFFFF
+            if top != bit:
+                crc ^= 0x8005
+        return crc
+
+    def test_checksums_of_layers_one_and_two(self):
+        rng = random.Random(4)
+        bits_of = lambda raw: [b >> i & 1 for b in raw for i in range(7, -1, -1)]
+        # (header, size, bits of each allocation in stream order, channels that each stands for)
+        cases = [
+            (0xFFFE9000 | 3 << 6, 12 * 288000 // 44100 * 4, [4] * 32, [1] * 32),  # layer I, mono
+            (0xFFFE9000, 12 * 288000 // 44100 * 4, [4] * 64, [1] * 64),  # layer I, stereo
+            (0xFFFE9050, 12 * 288000 // 44100 * 4, [4] * (2 * 8 + 24), [1] * 16 + [2] * 24),  # layer I, joint stereo from subband 8
+            (0xFFFC90C0, 144 * 160000 // 44100, [4] * 11 + [3] * 12 + [2] * 7, [1] * 30),  # layer II, mono at 160
+            (0xFFFC9000, 144 * 160000 // 44100, [4] * 22 + [3] * 24 + [2] * 8, [1] * 54),  # layer II, stereo at 80 a channel
+            (0xFFFC1840, 144 * 32000 // 32000, [4] * 4 + [3] * 4 + [3] * 8, [1] * 8 + [2] * 8),  # layer II, 16 a channel at 32 kHz, joint from subband 4
+            (0xFFF490C0, 144 * 80000 // 22050, [4] * 4 + [3] * 7 + [2] * 19, [1] * 30),  # layer II of MPEG-2
+        ]
+        for word, size, widths, channels in cases:
+            body = bytearray(rng.randbytes(size - 6))
+            bits, at, more = bits_of(body), 0, 0
+            for width, n in zip(widths, channels, strict=True):
+                more += 2 * n * any(bits[at : at + width]) if word >> 17 & 3 == 2 else 0
+                at += width
+            head = word.to_bytes(4, "big")
+            crc = self.crc_of_bits(bits_of(head[2:]) + bits[: at + more])
+            frame = head + crc.to_bytes(2, "big") + bytes(body)
+            audio = mpeg_audio.parse(frame * 3)
+            assert (audio.frames, audio.checked, audio.bad_crc, audio.junk) == (3, 3, 0, 0), hex(word)
+            broken = bytearray(frame)
+            broken[4] ^= 1
+            assert mpeg_audio.parse(bytes(broken) + frame * 2).bad_crc == 1
+
+    def test_an_independent_reader(self):
+        """The stored bytes taken apart by fixed offsets and bitwise checks, without the parser."""
+        content = "Töne ".encode() * 700
+        data = mpeg_audio.store(content)
+        tag = data[6] << 21 | data[7] << 14 | data[8] << 7 | data[9]
+        assert data[:6] == b"ID3\x03\0\0" and (len(data) - 10 - tag) % 648 == 0
+        frames = [data[i : i + 648] for i in range(10 + tag, len(data), 648)]
+        for f in frames:
+            head = int.from_bytes(f[:4], "big")
+            # sync, MPEG-2, layer III, protected, 144 kbit/s, 16 kHz, no padding, mono
+            assert (head >> 20, head >> 19 & 1, head >> 17 & 3, head >> 16 & 1, head >> 12 & 15, head >> 10 & 3, head >> 9 & 1, head >> 6 & 3) == (0xFFF, 0, 1, 0, 13, 2, 0, 3)
+            bits = [b >> i & 1 for b in f[2:4] + f[6:15] for i in range(7, -1, -1)]
+            assert self.crc_of_bits(bits) == int.from_bytes(f[4:6], "big")
+        assert frames[0][15:31] == b"Info" + struct.pack(">III", 7, len(frames) - 1, 648 * len(frames))
+        assert b"".join(f[15:591] for f in frames[1:]) == content + b"\xff" * (-len(content) % 576)
+        assert mpeg_audio.parse(data).offsets.tolist() == [10 + tag + 648 * i for i in range(1, len(frames))]
+
     def test_crc_known_value(self):
         # CRC-16 with polynomial 0x8005, start 0xFFFF, not reflected: published check value of "123456789"
         assert mpeg_audio.crc16(b"123456789") == 0xAEE7

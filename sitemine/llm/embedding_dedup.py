@@ -5,11 +5,16 @@ table.  The number of bits follows the number of vectors (about 16 to a bucket),
 number of tables follows the bits so that a pair exactly at the threshold shares a bucket
 with chance ``recall``; pairs above it do so more surely.
 
-Verification.  Within a bucket cosines are blocks of matrix products in double precision.
-A pair is counted in the first table where its keys agree and nowhere else, so counts add
-up without listing pairs; only the links of a spanning forest leave a bucket, for
-distributed connected components.  Buckets too large for one task are split into pairs of
-blocks.  Equal vectors collapse to one before any of this and are counted by multiplicity.
+Candidates.  An index row is a key, an id and a sketch of 128 further signs; vectors stay
+where they are.  Pairs of a bucket whose sketches differ in no more bits than a pair at the
+threshold may (``SIGMAS`` standard deviations) join families, of which a bucket emits the
+links of a spanning forest.
+
+Verification.  A vector is in one family at most and is sent there once.  Within a family
+cosines are blocks of matrix products in double precision: every pair is compared once,
+counted, and only the links of a spanning forest leave, for distributed connected
+components.  Buckets and families too large for one task are split into pairs of blocks.
+Equal vectors collapse to one before any of this and are counted by multiplicity.
 
 Defined cases: null or zero vectors, vectors with null or non-finite components, and empty
 ones link with nothing; vectors of different lengths never link; null ids keep their row
@@ -29,14 +34,18 @@ from pyspark.sql import functions as F
 
 from sitemine.llm.buckets import deal, runs
 from sitemine.llm.components import connected_components
+from sitemine.llm.simhash import forest
 from sitemine.session import materialise
 
 THRESHOLD = 0.9
 RECALL = 0.995
 SEED = 42
 BUCKET = 16
-#: Vectors of one bucket or block that a worker compares at a time.
+#: Vectors of one family or block that a worker compares at a time.
 BLOCK_ROWS = 4096
+#: Signs of a sketch, and standard deviations by which a pair's differing signs may pass the expected number.
+SKETCH = 128
+SIGMAS = 4
 _TILE = 512
 
 
@@ -62,12 +71,8 @@ def unit_rows(x: np.ndarray) -> np.ndarray:
     return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
-def key_type(bits: int) -> str:
-    return "<u2" if bits <= 16 else "<u4" if bits <= 32 else "<u8"
-
-
-def _index(nodes: DataFrame, bits: int, tables: int, seed: int) -> DataFrame:
-    kind = key_type(bits)
+def signed(nodes: DataFrame, bits: int, tables: int, seed: int = SEED) -> DataFrame:
+    """(node, keys, s0, s1): bucket keys and sketch of each vector."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -75,30 +80,42 @@ def _index(nodes: DataFrame, bits: int, tables: int, seed: int) -> DataFrame:
             for dim in np.unique(dims):
                 some = batch.filter(pa.array(dims == dim))
                 for part in (some.slice(i, 256) for i in range(0, some.num_rows, 256)):
-                    raw = part.column("vector").flatten().to_numpy().reshape(-1, dim)
-                    keys = table_keys(unit_rows(raw.astype(np.float64)), bits, tables, seed)
-                    spot = np.repeat(np.arange(len(raw)), tables)
-                    narrow = keys.astype(kind)
+                    x = unit_rows(part.column("vector").flatten().to_numpy().reshape(-1, dim).astype(np.float64))
+                    keys = (np.int64(dim) << 16 | np.arange(tables)) << bits | table_keys(x, bits, tables, seed)
+                    signs = np.packbits(x @ hyperplanes(dim, SKETCH, 1, seed + 1) > 0, axis=1, bitorder="little").view("<i8")
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1, dtype=np.int32) * tables), pa.array(keys.ravel()))
                     yield pa.RecordBatch.from_arrays(
-                        [
-                            pa.array(((np.int64(dim) << 16 | np.arange(tables)) << bits | keys).ravel()),
-                            pa.array(np.tile(np.arange(tables, dtype=np.int32), len(raw))),
-                            pa.array(part.column("node").to_numpy()[spot]),
-                            pa.array(part.column("copies").to_numpy()[spot]),
-                            pa.array([r.tobytes() for r in raw], pa.binary()).take(pa.array(spot)),
-                            pa.array([r[:t].tobytes() for r in narrow for t in range(tables)], pa.binary()),  # of the tables before
-                        ],
-                        names=["key", "turn", "node", "copies", "vector", "keys"],
+                        [part.column("node"), lists, pa.array(np.ascontiguousarray(signs[:, 0])), pa.array(np.ascontiguousarray(signs[:, 1]))], names=["node", "keys", "s0", "s1"]
                     )
 
-    return nodes.mapInArrow(run, "key long, turn int, node long, copies long, vector binary, keys binary")
+    return nodes.select("node", F.size("vector").alias("dim"), "vector").mapInArrow(run, "node long, keys array<long>, s0 long, s1 long")
+
+
+def family_links(index: DataFrame, threshold: float) -> DataFrame:
+    """(a, b): a spanning forest of every bucket, of pairs whose sketches may belong to a link."""
+    share = math.acos(threshold) / math.pi
+    most = math.floor(SKETCH * share + SIGMAS * math.sqrt(SKETCH * share * (1 - share)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table, bounds in runs(batches):
+            nodes = table.column("node").to_numpy()
+            sketch = np.stack([table.column(c).to_numpy() for c in ("s0", "s1")], axis=1).view(np.uint64)
+            close = lambda x, y: np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64) <= most
+            found = []
+            for i in np.flatnonzero(np.diff(bounds) > 1):
+                mine = sketch[bounds[i] : bounds[i + 1]]
+                found += forest(nodes[bounds[i] : bounds[i + 1]], lambda left, at, mine=mine: close(mine[left], mine[at]))
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([f[j] for f in found])) for j in (0, 1)], names=["a", "b"])
+
+    dealt = deal(lambda some: some.select(F.explode("keys").alias("key"), "node", "s0", "s1"), index)
+    return dealt.select("key", "bi", "bj", "node", "s0", "s1").mapInArrow(run, "a long, b long")
 
 
-def compare_bucket(x: np.ndarray, keys: np.ndarray, side: np.ndarray | None, copies: np.ndarray, threshold: float) -> tuple[np.ndarray, list]:
+def compare_family(x: np.ndarray, side: np.ndarray | None, copies: np.ndarray, threshold: float) -> tuple[np.ndarray, list]:
     """Links counted for each row of unit vectors x, and (row, row) links of a spanning forest.
 
-    ``keys`` are the rows' bucket numbers in earlier tables: a pair that agrees in any of
-    them was counted there.  With ``side`` only rows of different sides are compared.
+    With ``side`` only rows of different sides are compared.
     """
     n = len(x)
     counts, label = np.zeros(n, np.int64), np.arange(n)
@@ -113,8 +130,6 @@ def compare_bucket(x: np.ndarray, keys: np.ndarray, side: np.ndarray | None, cop
                 near &= side[a][:, None] != side[b][None, :]
             if not near.any():
                 continue
-            for t in range(keys.shape[1]):
-                near &= keys[a, t][:, None] != keys[b, t][None, :]
             counts[a] += near @ copies[b]
             counts[b] += copies[a] @ near
             for r in i + np.flatnonzero(near.any(axis=1)):
@@ -126,24 +141,20 @@ def compare_bucket(x: np.ndarray, keys: np.ndarray, side: np.ndarray | None, cop
     return counts, links
 
 
-def _compared(dealt: DataFrame, bits: int, number: str, threshold: float) -> DataFrame:
-    """(a, b, n): n > 0 links counted for a (b is -1), or n = 0 and a link of a forest."""
-    kind = key_type(bits)
+def _compared(members: DataFrame, number: str, threshold: float) -> DataFrame:
+    """(a, b, n) of (family, node, copies, vector): n > 0 links counted for a (b is -1), or n = 0 and a link of a forest."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table, bounds in runs(batches):
+        for table, bounds in runs(batches, ("family", "bi", "bj")):
             nodes, copies, side = (table.column(c).to_numpy() for c in ("node", "copies", "side"))
             pair = table.column("bi").to_numpy() != table.column("bj").to_numpy()
-            vectors, keys = table.column("vector").combine_chunks(), table.column("keys").combine_chunks()
-            turns = table.column("turn").to_numpy()
+            vectors = table.column("vector").combine_chunks()
             a: list[np.ndarray] = []
             b: list[np.ndarray] = []
             n: list[np.ndarray] = []
-            for i in np.flatnonzero(np.diff(bounds) > 1):
-                lo, hi = bounds[i], bounds[i + 1]
+            for lo, hi in zip(bounds[:-1], bounds[1:], strict=True):
                 x = np.stack([np.frombuffer(v.as_buffer(), number) for v in vectors[lo:hi]]).astype(np.float64)
-                earlier = np.stack([np.frombuffer(k.as_buffer(), kind) for k in keys[lo:hi]]).reshape(hi - lo, turns[lo])
-                counts, links = compare_bucket(unit_rows(x), earlier, side[lo:hi] if pair[lo] else None, copies[lo:hi], threshold)
+                counts, links = compare_family(unit_rows(x), side[lo:hi] if pair[lo] else None, copies[lo:hi], threshold)
                 some = np.flatnonzero(counts)
                 a.append(nodes[lo:hi][some]); b.append(np.full(len(some), -1)); n.append(counts[some])  # fmt: skip  # noqa: E702
                 if links:
@@ -152,7 +163,14 @@ def _compared(dealt: DataFrame, bits: int, number: str, threshold: float) -> Dat
             if sum(map(len, a)):
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in (a, b, n)], names=["a", "b", "n"])
 
-    return dealt.mapInArrow(run, "a long, b long, n long")
+    def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            raw = [v.values.to_numpy().astype(number).tobytes() for v in batch.column("vector")]
+            yield pa.RecordBatch.from_arrays([batch.column(c) for c in ("family", "node", "copies")] + [pa.array(raw, pa.binary())], names=["family", "node", "copies", "vector"])
+
+    rows = members.select("family", "node", "copies", "vector").mapInArrow(packed, "family long, node long, copies long, vector binary")
+    dealt = deal(lambda some: some, rows, key="family", block_rows=BLOCK_ROWS)
+    return dealt.select("family", "bi", "bj", "side", "node", "copies", "vector").mapInArrow(run, "a long, b long, n long")
 
 
 def near_duplicates(
@@ -175,9 +193,9 @@ def near_duplicates(
     )
     n = groups.count()
     bits, tables = lsh_shape(n, threshold, recall)
-    nodes = groups.where(F.col("node").isNotNull()).select("node", "copies", F.size("vector").alias("dim"), "vector")
-    dealt = deal(lambda some: _index(some, bits, tables, seed), nodes, block_rows=BLOCK_ROWS)
-    found = materialise(_compared(dealt.select("key", "bi", "bj", "side", "turn", "node", "copies", "vector", "keys"), bits, {"float": "<f4", "double": "<f8"}[number], threshold))
+    nodes = groups.where(F.col("node").isNotNull()).select("node", "copies", "vector")
+    families = connected_components(family_links(signed(nodes, bits, tables, seed), threshold)).select("node", F.col("component").alias("family"))
+    found = materialise(_compared(nodes.join(families, "node"), {"float": "<f4", "double": "<f8"}[number], threshold))
     counts = found.where("n > 0").groupBy(F.col("a").alias("node")).agg(F.sum("n").alias("others"))
     parts = connected_components(found.where("n = 0").select("a", "b"))
     known = materialise(

@@ -1,15 +1,16 @@
 """Language ID by string kernels: Nyström landmarks and kernel ridge regression.
 
 The blended-spectrum presence kernel of two texts is the number of character n-grams
-(n = 1 to 3) that stand in both, over the geometric mean of the numbers in each.
-Characters are lower-cased; the most common ones of the training sample have a class of
-their own, all others share one.
+(n = 1 to 3, of lower-cased code points, none left out) that stand in both, over the
+geometric mean of the numbers in each.
 
 Training takes at most ``max_rows`` labelled rows, as many of each language as far as
 they go, chosen by a hash of the id: a documented bound, the same at every size.  Some of
-them, evenly over languages, are landmarks; their kernel matrix gives the Nyström map, and
+them, evenly over languages, are landmarks.  Only the landmarks' n-grams come to the driver,
+up to ``MARK_GRAMS`` (longer samples are refused); every training row meets them where it
+is and sends its kernel with each.  The landmarks' kernel matrix gives the Nyström map, and
 one ridge regression per language (+1 for its rows, -1 for others) is solved in closed
-form.  Both steps are small dense algebra on the driver.
+form: small dense algebra on the driver.
 
 Scoring is exact for that model: a batch of texts is a matrix of n-gram presences; its
 product with the landmarks' presences, the Nyström map and the regression weights (folded
@@ -24,7 +25,6 @@ columns are kept; an empty table gives an empty table.
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -33,19 +33,21 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from sitemine.llm.common import bounded_batches, fresh_name
+from sitemine.llm.common import HashTable, bounded_batches, fresh_name, mixed
 from sitemine.session import broadcast_if_small, materialise
 
-CLASSES = 128
 ORDERS = 3
+#: Bits of a code point in an n-gram's number.
+POINT = 21
+#: N-grams of all landmarks together that the driver may hold.
+MARK_GRAMS = 20_000_000
+#: Points of a text whose n-grams are made distinct at a time.
+CHUNK = 1 << 20
 MAX_ROWS = 2000
 LANDMARKS = 256
 RIDGE = 1e-2
 UNKNOWN = "und"
 _LETTER = re.compile(r"[^\W\d_]")
-#: Codes of n-grams: those of one character, then of two, then of three.
-_BASES = [sum(CLASSES**k for k in range(1, n)) for n in range(1, ORDERS + 1)]
-_CODES = sum(CLASSES**n for n in range(1, ORDERS + 1))
 
 
 def has_letter(text: str) -> bool:
@@ -56,53 +58,43 @@ def held_out(id_col: Column) -> Column:
     return F.coalesce(F.crc32(id_col.cast("string")) % 4 == 2, F.lit(False))
 
 
-def code_points(text: str) -> np.ndarray:
-    return np.frombuffer(text.lower().encode("utf-32-le", "replace"), "<u4")
-
-
-def ngram_codes(classes: np.ndarray) -> np.ndarray:
-    """Codes of all n-grams of a class sequence, repeats included."""
-    x = classes.astype(np.int32)
-    parts, code = [], None
-    for n in range(1, ORDERS + 1):
-        if len(x) < n:
-            break
-        code = x if code is None else code[:-1] * CLASSES + x[n - 1 :]
-        parts.append(code + _BASES[n - 1])
-    return np.concatenate(parts) if parts else np.empty(0, np.int32)
+def ngrams(text: str) -> np.ndarray:
+    """The distinct n-grams of a text as sorted numbers: their points, each plus one, side by side."""
+    points = np.frombuffer(text.lower().encode("utf-32-le", "replace"), "<u4").astype(np.int64) + 1
+    found: list[np.ndarray] = []
+    for i in range(0, len(points), CHUNK):
+        part = points[i : i + CHUNK + ORDERS - 1]
+        code = part
+        made = [part]
+        for n in range(1, min(ORDERS, len(part))):
+            code = code[:-1] << POINT | part[n:]
+            made.append(code)
+        found = [np.unique(np.concatenate([*found, *made]))]
+    return found[0] if found else np.empty(0, np.int64)
 
 
 @dataclass
 class Model:
     languages: list[str]
-    alphabet: np.ndarray  # code points with a class of their own: class is position + 1
-    codes: np.ndarray  # n-gram codes of the landmarks, a column each
-    weights: np.ndarray  # (columns, languages)
+    codes: np.ndarray  # n-grams of the landmarks, a row each
+    weights: np.ndarray  # (n-grams, languages)
 
 
 class Scorer:
     """A model unfolded for a worker."""
 
     def __init__(self, model: Model):
-        self.model = model
-        self.classes = np.zeros(0x110000, np.uint8)
-        self.classes[model.alphabet] = np.arange(1, len(model.alphabet) + 1)
-        self.column = np.full(_CODES, -1, np.int32)
-        self.column[model.codes] = np.arange(len(model.codes))
-        self.stamp = np.zeros(_CODES, np.int32)
+        self.weights = model.weights
+        self.table = HashTable(mixed(model.codes), np.arange(len(model.codes), dtype=np.float64))
 
     def scores(self, texts: list[str]) -> np.ndarray:
         """(texts, languages) regression values."""
-        present = np.zeros((len(texts), len(self.model.codes)), np.float32)
-        size = np.ones(len(texts))
+        out = np.zeros((len(texts), self.weights.shape[1]))
         for i, text in enumerate(texts):
-            codes = ngram_codes(self.classes[code_points(text)])
-            turn = np.arange(len(codes), dtype=np.int32)
-            self.stamp[codes] = turn
-            size[i] = max(1, np.count_nonzero(self.stamp[codes] == turn))
-            columns = self.column[codes]
-            present[i, columns[columns >= 0]] = 1
-        return (present @ self.model.weights) / np.sqrt(size)[:, None]
+            codes = ngrams(text)
+            row = self.table.find(mixed(codes))
+            out[i] = self.weights[row[~np.isnan(row)].astype(np.int64)].sum(axis=0, dtype=np.float64) / np.sqrt(max(1, len(codes)))
+        return out
 
 
 def sample_rows(docs: DataFrame, *, id_col: str, text: str, lang: str, max_rows: int) -> DataFrame:
@@ -117,59 +109,76 @@ def sample_rows(docs: DataFrame, *, id_col: str, text: str, lang: str, max_rows:
     near = rows.join(broadcast_if_small(share), F.col(lang) == F.col("l")).where(turn < F.col("share") * (1 << 40))
     ids = near.select(F.col("l"), F.col(text).alias("text"), turn.alias("turn"), F.col(id_col).alias("id"))
     rank = F.row_number().over(Window.partitionBy("l").orderBy("turn", "id"))
-    return materialise(ids.withColumn("rank", rank).where(F.col("rank") <= each).select(F.col("l").cast("string").alias("lang"), "text", "turn"))
+    return materialise(ids.withColumn("rank", rank).where(F.col("rank") <= each).select(F.col("l").cast("string").alias("lang"), "rank", "turn", "text"))
 
 
-def _alphabet(sample: DataFrame) -> np.ndarray:
+def _grams_of(rows: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: Counter[int] = Counter()
         for batch in batches:
-            for text in batch.column(0).to_pylist():
-                seen.update(np.unique(code_points(text)).tolist())
-        yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.int64()), pa.array(list(seen.values()), pa.int64())], names=["c", "n"])
+            codes = [ngrams(t) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("lang"), batch.column("rank"), pa.array(codes, pa.list_(pa.int64()))], names=["lang", "rank", "codes"])
 
-    found = sample.select("text").mapInArrow(run, "c long, n long").groupBy("c").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "c").limit(CLASSES - 1)
-    return np.array(sorted(r.c for r in found.collect()), np.int64)
+    return rows.select("lang", "rank", "text").mapInArrow(run, "lang string, rank int, codes array<long>")
 
 
-def train(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang: str = "lang", max_rows: int = MAX_ROWS, landmarks: int = LANDMARKS, ridge: float = RIDGE) -> Model:
-    sample = sample_rows(bounded_batches(docs), id_col=id_col, text=text, lang=lang, max_rows=max_rows)
-    alphabet = _alphabet(sample)
+def kernel_rows(sample: DataFrame, marks: list[np.ndarray]) -> DataFrame:
+    """(lang, rank, kernel): each training row's kernel with every landmark."""
+    codes = np.unique(np.concatenate(marks))
+    spot = np.concatenate([np.searchsorted(codes, m) for m in marks])
+    owner = np.repeat(np.arange(len(marks)), [len(m) for m in marks])
+    order = np.argsort(spot, kind="stable")
+    # the landmarks that hold each n-gram, as an inverted list
+    held = codes, np.searchsorted(spot[order], np.arange(len(codes) + 1)), owner[order], np.array([max(1, len(m)) for m in marks])
+    shared = sample.sparkSession.sparkContext.broadcast(held)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        classes = np.zeros(0x110000, np.uint8)
-        classes[alphabet] = np.arange(1, len(alphabet) + 1)
+        codes, starts, owner, sizes = shared.value
         for batch in batches:
-            codes = [np.unique(ngram_codes(classes[code_points(t)])) for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("lang"), batch.column("turn"), pa.array(codes, pa.list_(pa.int32()))], names=["lang", "turn", "codes"])
+            out = []
+            ends, values = batch.column("codes").offsets.to_numpy(), batch.column("codes").values.to_numpy()
+            for own in (values[a:b] for a, b in zip(ends[:-1], ends[1:], strict=True)):
+                at = np.minimum(np.searchsorted(codes, own), len(codes) - 1)
+                at = at[codes[at] == own]
+                n = starts[at + 1] - starts[at]
+                lists = owner[np.repeat(starts[at] - np.cumsum(n) + n, n) + np.arange(n.sum())]
+                out.append(np.bincount(lists, minlength=len(sizes)) / np.sqrt(sizes * max(1, len(own))))
+            yield pa.RecordBatch.from_arrays([batch.column("lang"), batch.column("rank"), pa.array(out, pa.list_(pa.float64()))], names=["lang", "rank", "kernel"])
+
+    return _grams_of(sample).mapInArrow(run, "lang string, rank int, kernel array<double>")
+
+
+def nystrom(kernel: np.ndarray) -> np.ndarray:
+    """The map from kernels with the landmarks to features, of the landmarks' own kernel matrix."""
+    values, vectors = np.linalg.eigh(kernel)
+    good = values > values.max() * 1e-8
+    return vectors[:, good] / np.sqrt(values[good])
+
 
-    rows = sample.mapInArrow(run, "lang string, turn long, codes array<int>").collect()
-    rows.sort(key=lambda r: (r.turn, r.lang, len(r.codes), r.codes))
+def regression(features: np.ndarray, target: np.ndarray, ridge: float) -> np.ndarray:
+    return np.linalg.solve(features.T @ features + ridge * len(features) * np.eye(features.shape[1]), features.T @ target)
+
+
+def train(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text", lang: str = "lang", max_rows: int = MAX_ROWS, landmarks: int = LANDMARKS, ridge: float = RIDGE) -> Model:
+    sample = sample_rows(bounded_batches(docs), id_col=id_col, text=text, lang=lang, max_rows=max_rows)
+    chosen = materialise(_grams_of(sample.orderBy("rank", "turn", "lang").limit(landmarks)))
+    if (total := chosen.agg(F.sum(F.size("codes"))).first()[0] or 0) > MARK_GRAMS:
+        raise ValueError(f"the landmarks hold {total} n-grams, the driver may hold {MARK_GRAMS}: use fewer landmarks")
+    marked = sorted(((r["rank"], r.lang, np.array(r.codes, np.int64)) for r in chosen.collect()), key=lambda m: m[:2])
+    if not marked or not total:
+        return Model([], np.empty(0, np.int64), np.zeros((0, 0), np.float32))
+    marks = [codes for _, _, codes in marked]
+    rows = sorted(kernel_rows(sample, marks).collect(), key=lambda r: (r["rank"], r.lang))
+    kernel = np.array([r.kernel for r in rows])
+    place = {(r["rank"], r.lang): i for i, r in enumerate(rows)}
+    root = nystrom(kernel[[place[m[:2]] for m in marked]])
     languages = sorted({r.lang for r in rows})
-    if not rows:
-        return Model([], alphabet, np.empty(0, np.int64), np.zeros((0, 0), np.float32))
-    turns: Counter[str] = Counter()
-    order = []
-    for i, r in enumerate(rows):
-        order.append((turns[r.lang], i))
-        turns[r.lang] += 1
-    marks = [i for _, i in sorted(order)[:landmarks]]
-    codes = np.unique(np.concatenate([np.array(rows[i].codes, np.int64) for i in marks]))
-    column = np.full(_CODES, -1, np.int64)
-    column[codes] = np.arange(len(codes))
-    presence = np.zeros((len(rows), len(codes)), np.float32)
-    for i, r in enumerate(rows):
-        own = column[np.array(r.codes, np.int64)]
-        presence[i, own[own >= 0]] = 1 / np.sqrt(len(r.codes) or 1)
-    kernel = (presence @ presence[marks].T).astype(np.float64)
-    values, vectors = np.linalg.eigh(kernel[marks])
-    good = values > values.max() * 1e-8
-    root = vectors[:, good] / np.sqrt(values[good])
-    features = kernel @ root
     target = np.array([[1.0 if r.lang == name else -1.0 for name in languages] for r in rows])
-    weights = np.linalg.solve(features.T @ features + ridge * len(rows) * np.eye(features.shape[1]), features.T @ target)
-    folded = presence[marks].T.astype(np.float64) @ (root @ weights)
-    return Model(languages, alphabet, codes, folded.astype(np.float32))
+    by_mark = root @ regression(kernel @ root, target, ridge)
+    codes = np.unique(np.concatenate(marks))
+    folded = np.zeros((len(codes), len(languages)))
+    for own, weight in zip(marks, by_mark, strict=True):
+        folded[np.searchsorted(codes, own)] += weight / np.sqrt(max(1, len(own)))
+    return Model(languages, codes, folded.astype(np.float32))
 
 
 def predict(docs: DataFrame, model: Model, *, text: str = "text") -> DataFrame:
@@ -193,7 +202,7 @@ def predict(docs: DataFrame, model: Model, *, text: str = "text") -> DataFrame:
                         pred[i], score[i] = model.languages[best], min(1.0, max(0.0, (1 + float(value)) / 2))
                 yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(pred, pa.string()), pa.array(score)], names=[*part.schema.names[:-1], *names])
 
-    return docs.select(*keep.columns, F.col(text).alias("text__")).mapInArrow(run, schema)
+    return docs.select(*keep.columns, F.col(text).alias(fresh_name(keep, "whole_text"))).mapInArrow(run, schema)
 
 
 def op10_language_id(spark, sf_dir: str) -> DataFrame:

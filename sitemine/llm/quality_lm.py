@@ -44,7 +44,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sitemine.llm.common import bounded_batches, fresh_name
+from sitemine.llm.common import HashTable, bounded_batches, fresh_name, mixed
 from sitemine.session import broadcast_if_small, drop_shared, materialise, shared_table
 
 #: Code points of an n-gram; a context of three fits a long.
@@ -65,7 +65,6 @@ CHUNK = 1 << 18
 GATHER = 1 << 19
 #: Ids (eight bytes each) that a broadcast may hold.
 ID_ROWS = 4_000_000
-_M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 
 
 def trusted_ids(labels: DataFrame) -> DataFrame:
@@ -91,16 +90,6 @@ def grams(points: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         yield context, part[ORDER - 1 :]
 
 
-def mixed(*parts: np.ndarray | int) -> np.ndarray:
-    """A 64-bit hash of numbers, the same wherever it is taken."""
-    out = np.zeros(1, np.uint64)
-    for part in parts:
-        out = (out ^ np.asarray(part).astype(np.uint64)) * _M1
-        out = (out ^ (out >> np.uint64(29))) * _M2
-        out = out ^ (out >> np.uint64(32))
-    return out
-
-
 def half_of(text: Column) -> Column:
     return F.pmod(F.xxhash64(text), F.lit(2)).cast("int")
 
@@ -225,36 +214,10 @@ def probabilities(asked: DataFrame, model: Model) -> DataFrame:
     return out.select("number", "context", "point", p.alias("p"))
 
 
-class Table:
-    """Numbers by 64-bit hash in a worker: sorted hashes, and where each start of the hash begins."""
-
-    def __init__(self, keys: np.ndarray, values: np.ndarray):
-        order = np.argsort(keys)
-        self.keys, self.values = keys[order], values[order]
-        bits = max(1, len(keys).bit_length())
-        self.shift = np.uint64(64 - bits)
-        self.first = np.searchsorted(self.keys >> self.shift, np.arange((1 << bits) + 1, dtype=np.uint64)).astype(np.int32)
-
-    def find(self, asked: np.ndarray) -> np.ndarray:
-        """The value of each hash, NaN where there is none."""
-        start = (asked >> self.shift).astype(np.int64)
-        at, end = self.first[start], self.first[start + 1]
-        out = np.full(len(asked), np.nan)
-        left = np.flatnonzero(at < end)
-        at, end = at[left], end[left]
-        while len(left):
-            hit = self.keys[at] == asked[left]
-            out[left[hit]] = self.values[at[hit]]
-            at = at + 1
-            more = ~hit & (at < end)
-            left, at, end = left[more], at[more], end[more]
-        return out
-
-
 _SEEN, _CONTEXT, _FLOOR = 0, 10, 20
 
 
-def log_costs(table: Table, number: int, context: np.ndarray, point: np.ndarray) -> np.ndarray:
+def log_costs(table: HashTable, number: int, context: np.ndarray, point: np.ndarray) -> np.ndarray:
     """Negative log probabilities of a text's n-grams, backing off where one was not seen."""
     out, left, weight = np.empty(len(point)), np.arange(len(point)), np.ones(len(point))
     for k in range(ORDER, 0, -1):
@@ -319,11 +282,11 @@ def _in_place(docs: DataFrame, model: Model, languages: list[str]) -> DataFrame:
     rows = reduce(DataFrame.union, parts).toArrow()
     shared = docs.sparkSession.sparkContext.broadcast((rows.column("key").to_numpy().view(np.uint64), rows.column("value").to_numpy()))
     del rows
-    unfolded: list[Table] = []
+    unfolded: list[HashTable] = []
 
     def run(part: pa.RecordBatch, numbers: list[int], texts: list[str | None]) -> Iterator[pa.RecordBatch]:
         if not unfolded:
-            unfolded.append(Table(*shared.value))
+            unfolded.append(HashTable(*shared.value))
         sums = []
         for number, text in zip(numbers, texts, strict=True):
             points = points_of(text or "")

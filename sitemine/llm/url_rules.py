@@ -4,7 +4,9 @@ A URL becomes a set of tokens: labels of its host and their words, its registrab
 path segments (digits as ``#``) and query keys.  Spark's FP-growth mines token
 combinations over labelled URLs, the label being one more item; combinations that imply
 the bad label with enough support and confidence are rules, and a rule is dropped when a
-rule with fewer of its tokens is at least as sure.  Rules match through an inverted
+rule with fewer of its tokens is at least as sure.  Tokens that stand in exactly the same
+labelled URLs are mined as one (the first of them), and those in all of them not at all: a
+rule that names more of them is never surer, and templates would make 2^k combinations.  Rules match through an inverted
 index: each is filed under its rarest token, a URL meets only rules filed under its own
 tokens, and the rest of the rule is then compared.
 
@@ -13,7 +15,7 @@ All of it is DataFrame functions and Spark's own miner.
 Defined cases: a null URL, or one without ``://``, has empty host and path, no tokens and
 the verdict allow; repeated URLs and rows keep their rows; null labels are not learned
 from; without labels there are no rules; an empty table gives an empty table; extra
-columns of the input pass through (names clashing with the output are replaced).
+columns of the input pass through (an output whose name is taken is renamed).
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ from pyspark.ml.fpm import FPGrowth
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sitemine.llm.common import ascii_lower
+from sitemine.llm.common import ascii_lower, fresh_name
 from sitemine.session import broadcast_if_small, materialise
 
 MIN_SUPPORT = 0.002
@@ -73,25 +75,32 @@ def url_tokens(url: Column) -> Column:
     ]
     distinct = F.array_sort(F.array_distinct(F.concat(*named)))
     # a label that is one word says the same as the word
-    return F.filter(distinct, lambda t: ~(t.startswith("word=") & F.array_contains(distinct, F.concat(F.lit("host="), F.substring(t, 6, 10_000)))))
+    return F.filter(distinct, lambda t: ~(t.startswith("word=") & F.array_contains(distinct, F.concat(F.lit("host="), F.substr(t, F.lit(6))))))
 
 
 def mine_rules(labelled: DataFrame, *, url: str = "url", bad: str = "bad", min_support: float = MIN_SUPPORT, min_confidence: float = MIN_CONFIDENCE, min_count: int = MIN_COUNT) -> DataFrame:
     """(rule_id, tokens, rarest, confidence, support) from URLs with a boolean label."""
-    items = labelled.where(F.col(bad).isNotNull()).select(
-        F.concat(url_tokens(F.col(url)), F.when(F.col(bad), F.array(F.lit(BAD))).otherwise(F.array().cast("array<string>"))).alias("items")
-    )
-    items = materialise(items.where(F.size("items") > 0))
+    own = labelled.where(F.col(bad).isNotNull()).select(F.monotonically_increasing_id().alias("row"), url_tokens(F.col(url)).alias("tokens"), F.col(bad).alias("bad"))
+    own = materialise(own)
     empty = "rule_id bigint, tokens array<string>, rarest string, confidence double, support double"
-    n = items.count()
+    n = own.where((F.size("tokens") > 0) | F.col("bad")).count()
     if n < min_count or not n:
         return labelled.sparkSession.createDataFrame([], empty)
-    model = FPGrowth(itemsCol="items", minSupport=max(min_support, min_count / n), minConfidence=min_confidence).fit(items)
-    sure = model.associationRules.where((F.size("consequent") == 1) & (F.col("consequent")[0] == BAD))
-    rules = materialise(sure.select(F.xxhash64(F.array_sort("antecedent")).alias("rule_id"), F.array_sort("antecedent").alias("tokens"), "confidence", "support"))
+    each = own.select("row", F.explode("tokens").alias("token"))
+    where = each.groupBy("token").agg(F.count("*").alias("n"), F.sum(F.xxhash64("row").cast("decimal(38,0)")).alias("rows"))
+    first = materialise(where.where(F.col("n") < own.count()).groupBy("n", "rows").agg(F.min("token").alias("token")).select("token"))
+    kept = each.join(broadcast_if_small(first), "token").groupBy("row").agg(F.collect_set("token").alias("kept"))
+    label = F.when(F.col("bad"), F.array(F.lit(BAD))).otherwise(F.array().cast("array<string>"))
+    items = own.join(kept, "row", "left").select(F.concat(F.coalesce("kept", F.array().cast("array<string>")), label).alias("items"))
+    items = materialise(items.where(F.size("items") > 0))
+    model = FPGrowth(itemsCol="items", minSupport=max(min_support * n, min_count) / max(1, items.count()), minConfidence=min_confidence).fit(items)
+    sets = materialise(model.freqItemsets.select(F.array_sort("items").alias("items"), "freq"))
+    with_bad = sets.where(F.array_contains("items", BAD) & (F.size("items") > 1)).select(F.array_remove("items", BAD).alias("tokens"), F.col("freq").alias("hits"))
+    sure = with_bad.join(sets.withColumnRenamed("items", "tokens"), "tokens").withColumn("confidence", F.col("hits") / F.col("freq")).where(F.col("confidence") >= min_confidence)
+    rules = materialise(sure.select(F.xxhash64("tokens").alias("rule_id"), "tokens", "confidence", (F.col("hits") / n).alias("support")))
     if rules.isEmpty():
         return labelled.sparkSession.createDataFrame([], empty)
-    frequency = model.freqItemsets.where(F.size("items") == 1).select(F.col("items")[0].alias("token"), "freq")
+    frequency = sets.where(F.size("items") == 1).select(F.col("items")[0].alias("token"), "freq")
     rarest = (
         rules.select("rule_id", F.explode("tokens").alias("token")).join(frequency, "token").groupBy("rule_id").agg(F.min_by("token", F.struct("freq", "token")).alias("rarest"))
     )
@@ -115,29 +124,22 @@ def matches(urls: DataFrame, rules: DataFrame, *, url: str = "url") -> DataFrame
 
 def judge(urls: DataFrame, rules: DataFrame, *, url: str = "url", fixed: Sequence[tuple[str, str]] = FIXED_RULES) -> DataFrame:
     """``urls`` plus host, path, rule, verdict, mined_rule (id of the association rule that fits, else null)."""
-    hits = matches(urls, rules, url=url).select(F.col("url").alias("hit_url__"), F.col("rule_id").alias("hit_rule__"))
-    joined = urls.drop("host", "path", "rule", "verdict", "mined_rule").join(hits, F.col(url) == F.col("hit_url__"), "left")
-    host, path = host_of(F.col(url)), path_of(F.col(url))
-    told = fixed_rule(F.col("host"), F.col("path"), fixed)
+    hit_url, hit_rule, told = (fresh_name(urls, x) for x in ("hit_url", "hit_rule", "told"))
+    host, path, rule, verdict, mined = (fresh_name(urls, x) for x in ("host", "path", "rule", "verdict", "mined_rule"))
+    hits = matches(urls, rules, url=url).select(F.col("url").alias(hit_url), F.col("rule_id").alias(hit_rule))
+    joined = urls.join(hits, F.col(url) == F.col(hit_url), "left").withColumns({host: host_of(F.col(url)), path: path_of(F.col(url))})
+    block = F.when(F.col(hit_rule).isNotNull(), "block").otherwise("allow")
     return (
-        joined.withColumns({"host": host, "path": path})
-        .withColumn("told__", told)
-        .withColumns(
-            {
-                "rule": F.col("told__.rule"),
-                "mined_rule": F.col("hit_rule__"),
-                "verdict": F.coalesce("told__.verdict", F.when(F.col("hit_rule__").isNotNull(), "block").otherwise("allow")),
-            }
-        )
-        .drop("hit_url__", "hit_rule__", "told__")
+        joined.withColumn(told, fixed_rule(F.col(host), F.col(path), fixed))
+        .withColumns({rule: F.col(told)["rule"], mined: F.col(hit_rule), verdict: F.coalesce(F.col(told)["verdict"], block)})
+        .drop(hit_url, hit_rule, told)
     )
 
 
 def labelled_pages(pages: DataFrame, labels: DataFrame) -> DataFrame:
     """(url, bad): pages whose path names a labelled document; bad is low quality or toxic."""
-    number = F.regexp_extract(path_of(F.col("url")), "^/[a-z]+/([0-9]{1,18})", 1)
-    seen = pages.select("url", number.alias("number"))
-    seen = seen.withColumn("doc_id", F.when(F.col("number") != "", F.col("number").cast("long"))).drop("number")
+    number = F.regexp_extract(path_of(F.col("url")), "^/[a-z]+/([0-9]+)", 1)
+    seen = pages.select("url", number.try_cast("long").alias("doc_id"))  # no number, or none that an id can be, is null
     bad = (F.col("quality") == 0) | (F.coalesce("toxic", F.lit(0)) == 1)
     return seen.where(F.col("doc_id").isNotNull()).join(labels.select("doc_id", bad.alias("bad")), "doc_id").select("url", "bad")
 

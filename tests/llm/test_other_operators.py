@@ -8,6 +8,7 @@ import math
 import random
 import re
 import struct
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -209,7 +210,17 @@ class TestUrlRules:
         rules = url_rules.mine_rules(spark.createDataFrame([], "url string, bad boolean"))
         got = url_rules.judge(spark.createDataFrame(rows + rows[:1], "page_id long, url string, host string"), rules).collect()
         assert len(got) == len(rows) + 1
-        assert {r.url: (r.host, r.path, r.rule, r.verdict) for r in got} == want
+        assert {r.url: (r.host_, r.path, r.rule, r.verdict) for r in got} == want and {r.host for r in got} == {"host"}
+
+    def test_templates_are_mined_as_one_token(self, spark):
+        """Tokens that always stand together, or everywhere, do not multiply rules."""
+        path = "/".join(f"part{i}" for i in range(16))
+        urls = [(f"http://shop.net/{path}/item{'/x/y/z' if i % 4 == 0 else ''}?a=1&b=2", i % 4 == 0) for i in range(80)] + [("http://far.net/", None), ("http://shop.net/99999999999999999999", None)]
+        rules = url_rules.mine_rules(spark.createDataFrame(urls, "url string, bad boolean"), min_support=0.01, min_count=1).collect()
+        assert [(r.tokens, r.confidence, r.support) for r in rules] == [(["path=x"], 1.0, 0.25)]
+        pages = spark.createDataFrame([("http://a.net/en/12345678901234567890/x",), ("http://a.net/en/1234567890123456789",), ("http://a.net/en/7",), (None,)], "url string")
+        labels = spark.createDataFrame([(1234567890123456789, 0, 0), (7, 1, 0), (7, 1, 1)], "doc_id long, quality int, toxic int")
+        assert sorted((r.url[-3:], r.bad) for r in url_rules.labelled_pages(pages, labels).collect()) == [("789", True), ("n/7", False), ("n/7", True)]
 
     def test_mined_rules_against_brute_force(self, spark):
         rng = random.Random(4)
@@ -398,16 +409,38 @@ class TestLanguage:
         assert all(0 <= r.score_ <= 1 for r in told)
 
     def test_score_is_the_kernel_model(self, spark):
-        """The folded scores equal kernels, Nyström map and ridge regression written out."""
+        """Kernels, Nyström map and ridge regression written out over sets of strings."""
         rng = random.Random(7)
-        df = spark.createDataFrame([(i, prose(rng, lang, 12), lang) for i, lang in enumerate(["en", "de"] * 20)], "doc_id long, text string, lang string")
-        model = language_id.train(df, landmarks=10)
-        scorer = language_id.Scorer(model)
-        text = prose(rng, "en", 9)
-        grams = set(language_id.ngram_codes(scorer.classes[language_id.code_points(text)]).tolist())
-        column = {int(c): i for i, c in enumerate(model.codes)}
-        want = sum((model.weights[column[g]] for g in grams if g in column), np.zeros(2)) / math.sqrt(len(grams))
-        assert scorer.scores([text])[0] == pytest.approx(want, rel=1e-4)
+        train = [(i, prose(rng, lang, 12), lang) for i, lang in enumerate(["en", "de", "fr"] * 14)]
+        asked = [(1000 + i, prose(rng, lang, 9), None) for i, lang in enumerate(["en", "de", "fr", "de"])] + [(2000, "łódź 東京 ß", None)]
+        df = spark.createDataFrame(train + asked, "doc_id long, text string, lang string")
+        marks, ridge = 10, 0.02
+        model = language_id.train(df, landmarks=marks, ridge=ridge)
+        grams = lambda t: {t.lower()[i : i + n] for n in (1, 2, 3) for i in range(len(t) - n + 1)}
+        kernel = lambda a, b: len(grams(a) & grams(b)) / math.sqrt(len(grams(a)) * len(grams(b)))
+        sample = [(r["rank"], r.turn, r.lang, r.text) for r in language_id.sample_rows(df, id_col="doc_id", text="text", lang="lang", max_rows=2000).collect()]
+        learned = [i for i, _, _ in train if zlib.crc32(str(i).encode()) % 4 != 2]
+        assert sorted(t for *_, t in sample) == sorted(t for i, t, _ in train if i in learned)
+        landmarks = [t for *_, t in sorted(sample)[:marks]]
+        k_mm = np.array([[kernel(a, b) for b in landmarks] for a in landmarks])
+        k_nm = np.array([[kernel(t, b) for b in landmarks] for *_, t in sample])
+        languages = sorted({lang for _, _, lang, _ in sample})
+        y = np.array([[1.0 if lang == name else -1.0 for name in languages] for _, _, lang, _ in sample])
+        # ridge regression on Nyström features z = k_m K_mm^(-1/2), solved for weights on the kernels themselves
+        w = np.linalg.solve(k_nm.T @ k_nm + ridge * len(sample) * k_mm, k_nm.T @ y)
+        want = np.array([[kernel(t, b) for b in landmarks] for _, t, _ in asked]) @ w
+        got = language_id.Scorer(model).scores([t for _, t, _ in asked])
+        assert model.languages == languages and got == pytest.approx(want, rel=1e-3, abs=1e-4)
+        told = {r.doc_id: r for r in language_id.predict(df, model).collect()}
+        for (i, _, _), values in zip(asked, want, strict=True):
+            assert told[i].lang_pred == languages[int(values.argmax())]
+            assert told[i].score == pytest.approx(min(1, max(0, (1 + values.max()) / 2)), abs=1e-3)
+
+    def test_long_texts_in_chunks(self, monkeypatch):
+        text = "".join(random.Random(9).choices("abcdefß東", k=3000))
+        whole = language_id.ngrams(text)
+        monkeypatch.setattr(language_id, "CHUNK", 250)
+        assert (language_id.ngrams(text) == whole).all() and len(whole) == len({text[i : i + n] for n in (1, 2, 3) for i in range(len(text) - n + 1)})
 
     def test_nothing_to_learn(self, spark):
         df = spark.createDataFrame([(1, "words", None)], "doc_id long, text string, lang string")

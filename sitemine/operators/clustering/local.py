@@ -81,7 +81,29 @@ def assign(points: DataFrame, centers: DataFrame) -> DataFrame:
         return _assign_by_matrix(points, centers)
     gathered = centers.groupBy("site").agg(F.array_sort(F.collect_list(F.struct("local_id", "center"))).alias("centers"))
     near = F.array_min(F.transform("centers", lambda c: F.struct(squared_distance(F.col("features"), c["center"]).alias("d"), c["local_id"].alias("local_id"))))
-    return points.join(F.broadcast(gathered), "site").withColumn("local_id", near["local_id"]).drop("centers")
+    gathered = F.broadcast(gathered) if numbers <= MATRIX_TO else gathered
+    return points.join(gathered, "site").withColumn("local_id", near["local_id"]).drop("centers")
+
+
+def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
+    """The nearest row of c for each row of x, the first among equals, as exact differences tell.
+
+    Products are compared after centring; where the runner-up is within their rounding, the
+    differences themselves decide.
+    """
+    middle = c.mean(axis=0)
+    y, e = x - middle, c - middle
+    size = (e * e).sum(axis=1)
+    far = size - 2 * y @ e.T
+    best = far.argmin(axis=1)
+    if len(c) < 2:
+        return best
+    doubt = 1e-12 * ((y * y).sum(axis=1) + size.max()) * x.shape[1]
+    close = far <= far[np.arange(len(x)), best][:, None] + doubt[:, None]
+    for i in np.flatnonzero(close.sum(axis=1) > 1):
+        some = np.flatnonzero(close[i])
+        best[i] = some[((x[i] - c[some]) ** 2).sum(axis=1).argmin()]
+    return best
 
 
 def _assign_by_matrix(points: DataFrame, centers: DataFrame) -> DataFrame:
@@ -99,7 +121,7 @@ def _assign_by_matrix(points: DataFrame, centers: DataFrame) -> DataFrame:
             for site in np.unique(sites):
                 ids, c = shared.value[int(site)]
                 own = sites == site
-                labels[own] = ids[((c * c).sum(axis=1) - 2 * x[own] @ c.T).argmin(axis=1)]
+                labels[own] = ids[nearest(x[own], c)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(labels)], names=[*batch.schema.names, "local_id"])
 
     schema = ", ".join([*(f"`{c}` {t}" for c, t in points.dtypes), "local_id int"])

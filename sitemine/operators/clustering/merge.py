@@ -10,7 +10,8 @@ increase.  Three engines:
   ``task`` where scatter is bounded globally and picks are by variance, since the scatter
   of a union is never below that of a part (other settings are refused);
 * ``tree``: within sites, then within groups of sites, then over all; approximate, for
-  more summaries than one task should hold.
+  more summaries than one task should hold.  Where a level's share is still over
+  ``TASK_ROWS`` it is cut along the first axis, again at other places until nothing merges.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import functions as F
 
 from sitemine.functions.merge_columns import distance_np, merge_np, merge_stats
 from sitemine.operators.clustering.pairs import near_pairs
-from sitemine.session import materialise
+from sitemine.session import broadcast_if_small, materialise, numbered
 
 #: Summaries that one task merges; more go to ``tree``.
 TASK_ROWS = 20_000
@@ -120,7 +121,7 @@ def as_groups(substats: DataFrame, factor: float, variance: str) -> DataFrame:
     )
 
 
-def _merge_in_task(groups: DataFrame, by: str | None, bound: float, options: dict) -> DataFrame:
+def _merge_in_task(groups: DataFrame, by: list[str] | None, bound: float, options: dict) -> DataFrame:
     """Greedy merging of each ``by`` group of the table (all of it when None), one task each."""
 
     def one(part: pd.DataFrame) -> pd.DataFrame:
@@ -135,10 +136,22 @@ def _merge_in_task(groups: DataFrame, by: str | None, bound: float, options: dic
             row["group_id"] = row["members"][0]["site"] * (1 << 20) + row["members"][0]["local_id"]
         return pd.DataFrame(rows, columns=["group_id", "n", "center", "scatter", "limit", "members"])
 
-    keyed = groups.groupBy() if by is None else groups.groupBy(by)
+    keyed = groups.groupBy() if by is None else groups.groupBy(*by)
     return keyed.applyInPandas(one, GROUPS)
 
 
+def _merge_in_slices(groups: DataFrame, bound: float, options: dict, shift: int) -> tuple[DataFrame, int]:
+    """Greedy merging of each ``bucket``, those over ``TASK_ROWS`` cut along the first axis; and how many groups are left."""
+    placed = numbered(groups, [F.col("bucket"), F.col("center")[0], F.col("group_id")], "place")
+    sliced = placed.withColumn("slice", F.struct("bucket", F.floor((F.col("place") + shift) / TASK_ROWS).alias("part")))
+    # a bucket that fits one task stays whole wherever its places fall
+    whole = groups.groupBy("bucket").count().where(F.col("count") <= TASK_ROWS).select(F.col("bucket").alias("of"), F.lit(True).alias("fits"))
+    sliced = sliced.join(broadcast_if_small(whole), F.col("bucket") == F.col("of"), "left")
+    part = F.when(F.col("fits"), F.lit(0).cast("long")).otherwise(F.col("slice.part"))
+    merged = materialise(_merge_in_task(sliced.select(*groups.columns, part.alias("part")), ["bucket", "part"], bound, options))
+    return merged, merged.count()
+
+
 def _merge_in_rounds(groups: DataFrame, bound: float) -> DataFrame:
     """Mutually best pairs merge together until no pair is feasible."""
     groups = materialise(groups)
@@ -198,18 +211,23 @@ def merge_subclusters(
             raise ValueError("rounds equal the greedy order only for squared distances, global scatter bounds and picks by variance")
         merged = _merge_in_rounds(groups, bound)
     elif engine == "tree":
-        merged, n = groups, substats.select("site").distinct().count()
+        merged, n = groups, substats.agg(F.max("site")).first()[0] + 1
         bucket = F.col("members")[0]["site"]
         while True:
-            merged = materialise(_merge_in_task(merged.withColumn("bucket", bucket), "bucket", bound, options))
+            merged, _ = _merge_in_slices(merged.withColumn("bucket", bucket.cast("long")), bound, options, 0)
             if n <= 1:
                 break
             n = -(-n // fan_in)
             bucket = F.floor(bucket / fan_in) if n > 1 else F.lit(0)
+        left, shift = merged.count(), 0
+        while left > TASK_ROWS:  # more than a task holds: slices half a slice off, until they find nothing
+            before, shift = left, TASK_ROWS // 2 - shift
+            merged, left = _merge_in_slices(merged.withColumn("bucket", F.lit(0).cast("long")), bound, options, shift)
+            if left == before and not shift:
+                break
     else:
         raise ValueError("engine must be auto, task, rounds or tree")
-    order = Window.orderBy("group_id")
-    ranked = merged.withColumn("global_id", (F.row_number().over(order) - 1).cast("int"))
+    ranked = numbered(materialise(merged), [F.col("group_id")], "global_id").withColumn("global_id", F.col("global_id").cast("int"))
     return materialise(ranked.select("global_id", "n", "center", "scatter", F.size("members").alias("n_members"), "members"))
 
 

@@ -6,9 +6,11 @@ cluster.  A candidate moves to the nearest other cluster if the total scatter st
 falls.  Only two clusters change in a move, so the test needs only their summaries.
 
 ``sequential`` mode lets each accepted move change the summaries seen by the next, in one
-task over the summaries.  ``batch`` mode evaluates all candidates at once as joins and
-accepts the best gains that share no cluster, round by round, until no candidate gains
-(``max_sweeps`` bounds sequential mode only).
+task over up to ``TASK_ROWS`` summaries.  ``batch`` mode evaluates all candidates at once as
+joins and accepts the best gains that share no cluster, round by round, until no candidate
+gains (``max_sweeps`` bounds sequential mode only).  ``auto`` is sequential where the
+summaries fit a task and batch beyond.  Clusters meet candidates block by block, each block
+small enough to be broadcast.
 """
 
 from __future__ import annotations
@@ -19,12 +21,21 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from sitemine.functions.merge_columns import distance_np, merge_np, move_gain, remove_np, squared_distance
-from sitemine.operators.clustering.merge import MEMBERS, labels_of
+from sitemine.operators.clustering.merge import MEMBERS, TASK_ROWS, labels_of
 from sitemine.operators.clustering.stats import dimension
 from sitemine.session import materialise, shared_table
 
 CLUSTERS = f"global_id int, n long, center array<double>, scatter double, n_members int, members {MEMBERS}"
 TRACE = "step int, kind string, a int, b int, total_scatter double"
+#: Numbers in the centres of a block of clusters that is broadcast.
+BLOCK_NUMBERS = 4_000_000
+
+
+def _blocks(others: DataFrame) -> list[DataFrame]:
+    """``others`` (rival, r: its summary) in blocks, each broadcast."""
+    size = others.agg(F.count("*").alias("rows"), F.max(F.size("r.center")).alias("d")).first()
+    n = max(1, -(-(size.rows or 0) * ((size.d or 0) + 2) // BLOCK_NUMBERS))
+    return [F.broadcast(others if n == 1 else others.where(F.pmod("rival", F.lit(n)) == i)) for i in range(n)]
 
 
 def members_with_stats(clusters: DataFrame, substats: DataFrame) -> DataFrame:
@@ -50,11 +61,14 @@ def border(clusters: DataFrame, substats: DataFrame, b: int | float, *, rule: st
 
 def closest_rival(candidates: DataFrame, clusters: DataFrame) -> DataFrame:
     """``candidates`` plus rival, rival_d2, rival_stats: the nearest other cluster of each."""
-    others = clusters.select(F.col("global_id").alias("rival"), F.struct("n", "center", "scatter").alias("rival_stats"))
-    near = candidates.join(F.broadcast(others), F.col("rival") != F.col("global_id")).withColumn("rival_d2", squared_distance(F.col("center"), F.col("rival_stats.center")))
-    keys = ["site", "local_id"]
-    best = near.groupBy(*keys).agg(F.min_by(F.struct("rival", "rival_d2", "rival_stats"), F.struct("rival_d2", "rival")).alias("best"))
-    return candidates.join(best, keys).select(*candidates.columns, "best.*")
+    others = clusters.select(F.col("global_id").alias("rival"), F.struct("n", "center", "scatter").alias("r"))
+    keys, found = ["site", "local_id"], None
+    for block in _blocks(others):
+        near = candidates.join(block, F.col("rival") != F.col("global_id")).withColumn("rival_d2", squared_distance(F.col("center"), F.col("r.center")))
+        best = near.groupBy(*keys).agg(F.min_by(F.struct("rival", "rival_d2", F.col("r").alias("rival_stats")), F.struct("rival_d2", "rival")).alias("best"))
+        found = best if found is None else found.union(best)
+    found = found.groupBy(*keys).agg(F.min_by("best", F.struct("best.rival_d2", "best.rival")).alias("best"))
+    return candidates.join(found, keys).select(*candidates.columns, "best.*")
 
 
 def multi_attributed(clusters: DataFrame, substats: DataFrame, bound: float) -> DataFrame:
@@ -63,8 +77,11 @@ def multi_attributed(clusters: DataFrame, substats: DataFrame, bound: float) ->
     others = clusters.select(F.col("global_id").alias("rival"), F.struct("n", "center", "scatter").alias("r"))
     d2 = squared_distance(F.col("center"), F.col("r.center"))
     merged = F.col("scatter") + F.col("r.scatter") + F.col("n") * F.col("r.n") / (F.col("n") + F.col("r.n")) * d2
-    fits = rows.join(F.broadcast(others), (F.col("rival") != F.col("global_id")) & (merged < bound))
-    return rows.join(fits.select("site", "local_id").distinct(), ["site", "local_id"], "left_semi")
+    fits = None
+    for block in _blocks(others):
+        some = rows.join(block, (F.col("rival") != F.col("global_id")) & (merged < bound)).select("site", "local_id")
+        fits = some if fits is None else fits.union(some)
+    return rows.join(fits.distinct(), ["site", "local_id"], "left_semi")
 
 
 def moves(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None = None, *, rule: str = "to_center") -> DataFrame:
@@ -77,7 +94,7 @@ def moves(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float
     return rivals.select("global_id", "site", "local_id", "rival", move_gain(member, F.col("own"), F.col("rival_stats")).alias("gain"))
 
 
-def _sequential(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None, distance: str, sweeps: int) -> tuple[DataFrame, DataFrame]:
+def _sequential(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None, distance: str, sweeps: int, rule: str) -> tuple[DataFrame, DataFrame]:
     """One task over the summaries; both results come from the same rows."""
     rows = members_with_stats(clusters, substats).select("global_id", "site", "local_id", "n", "center", "scatter", F.col("own.n").alias("gn"), F.col("own.center").alias("gc"), F.col("own.scatter").alias("gv"))
 
@@ -95,12 +112,17 @@ def _sequential(clusters: DataFrame, substats: DataFrame, b: int | float, bound:
                 own = np.flatnonzero(at == g)
                 if len(own) < 2 or len(group) < 2:
                     continue
-                far = distance_np(np.stack([items[i][1] for i in own]), group[g][1])
+                ids = np.array([h for h in sorted(group) if h != g])
+                rn, rc, rv = (np.array([group[h][j] for h in ids]) for j in range(3))
+                if rule == "to_rival":
+                    far = np.array([-distance_np(rc, items[i][1]).min() for i in own])
+                else:
+                    far = distance_np(np.stack([items[i][1] for i in own]), group[g][1])
                 wanted = int(b) if isinstance(b, int) else max(1, int(np.floor(len(own) * float(b) + 0.5)))
                 ranked = [int(own[i]) for i in np.lexsort((own, -far))]
                 picked = ranked[:wanted]
                 if bound is not None:
-                    fits = lambda i: any(merge_np(group[h], items[i], distance)[2] < bound for h in group if h != g)
+                    fits = lambda i: (rv + items[i][2] + rn * items[i][0] / (rn + items[i][0]) * distance_np(rc, items[i][1], distance) < bound).any()
                     picked += [i for i in ranked[wanted:] if fits(i)]
                 for i in picked:
                     if (at == g).sum() < 2:
@@ -139,11 +161,11 @@ def regroup(substats: DataFrame, labels: DataFrame) -> DataFrame:
     return sums.join(spread, "global_id").select("global_id", "n", "center", "scatter", F.size("members").alias("n_members"), "members")
 
 
-def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None) -> tuple[DataFrame, DataFrame]:
+def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: float | None, rule: str) -> tuple[DataFrame, DataFrame]:
     log = []
     total = reached = clusters.agg(F.sum("scatter")).first()[0]
     while True:
-        options = materialise(moves(clusters, substats, b, bound).where("gain > 0"))
+        options = materialise(moves(clusters, substats, b, bound, rule=rule).where("gain > 0"))
         # a move stands if it is the best of both clusters that it touches
         touched = options.select("global_id", "rival", "site", "local_id", "gain", F.explode(F.array("global_id", "rival")).alias("touched"))
         order = Window.partitionBy("touched").orderBy(F.desc("gain"), "site", "local_id")
@@ -167,15 +189,22 @@ def _batch(clusters: DataFrame, substats: DataFrame, b: int | float, bound: floa
 
 
 def perturb(
-    clusters: DataFrame, substats: DataFrame, *, border: int | float = 0.1, bound: float | None = None, mode: str = "sequential", distance: str = "sqeuclidean", max_sweeps: int = 1
+    clusters: DataFrame, substats: DataFrame, *, border: int | float = 0.1, bound: float | None = None, mode: str = "auto", distance: str = "sqeuclidean", max_sweeps: int = 1, rule: str = "to_center"
 ) -> tuple[DataFrame, DataFrame]:
-    """(clusters, trace) after the repair; ``bound`` switches multi-attributed members on."""
+    """(clusters, trace) after the repair; ``bound`` switches multi-attributed members on, ``rule`` says what the border is."""
+    if rule not in ("to_center", "to_rival"):
+        raise ValueError("rule must be to_center or to_rival")
     if not border:
         return clusters, clusters.sparkSession.createDataFrame([], TRACE)
+    if mode in ("auto", "sequential"):
+        rows = substats.count()
+        if mode == "sequential" and rows > TASK_ROWS:
+            raise ValueError(f"{rows} summaries, one task may hold {TASK_ROWS}; use batch")
+        mode = "sequential" if rows <= TASK_ROWS else "batch"
     if mode == "sequential":
-        return _sequential(clusters, substats, border, bound, distance, max_sweeps)
+        return _sequential(clusters, substats, border, bound, distance, max_sweeps, rule)
     if mode == "batch":
         if distance != "sqeuclidean":
             raise ValueError("batch mode needs squared distances")
-        return _batch(clusters, substats, border, bound)
-    raise ValueError("mode must be sequential or batch")
+        return _batch(clusters, substats, border, bound, rule)
+    raise ValueError("mode must be auto, sequential or batch")

@@ -40,10 +40,12 @@ def vmerge_cluster(
     variance: str = "scatter",
     distance: str = "sqeuclidean",
     pick: str = "variance",
+    same_site: bool = True,
     engine: str = "auto",
     border: int | float = 0.1,
+    rule: str = "to_center",
     multi: bool = True,
-    mode: str = "sequential",
+    mode: str = "auto",
     max_sweeps: int = 1,
 ) -> VMergeResult:
     """Cluster every site alone, ship summaries, merge under the bound, repair borders.
@@ -58,10 +60,10 @@ def vmerge_cluster(
     substats = materialise(sub_stats(labelled, d=dimension(points)))
     bound = float(threshold) if not isinstance(threshold, str) else merge_bound(substats, factor, variance)
     merged = merge_subclusters(
-        substats, threshold=threshold, factor=factor, scope=scope, variance=variance, distance=distance, pick=pick, engine=engine
+        substats, threshold=threshold, factor=factor, scope=scope, variance=variance, distance=distance, pick=pick, same_site=same_site, engine=engine
     )
     before = merged.agg(F.sum("scatter").alias("t"), F.count("*").alias("g")).first()
-    clusters, moves = perturb(merged, substats, border=border, bound=bound if multi and variance == "scatter" else None, mode=mode, distance=distance, max_sweeps=max_sweeps)
+    clusters, moves = perturb(merged, substats, border=border, bound=bound if multi and variance == "scatter" else None, mode=mode, distance=distance, max_sweeps=max_sweeps, rule=rule)
     head = points.sparkSession.createDataFrame([(0, "merge", substats.count(), before.g, before.t)], moves.schema)
     return VMergeResult(labels_of(clusters), clusters, substats, head.union(moves), labelled, bound)
 

@@ -36,15 +36,15 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def read_baskets(spark: SparkSession, path: str, fmt: str, *, sep: str = " ", n_sites: int = 1) -> DataFrame:
     """(site, tid, item) from a file or folder.
 
-    ``text``: a line is a transaction, its items split at ``sep``; transactions are
-    numbered by a hash of file and text, and repeated lines stay apart by their position.
+    ``text``: a line is a transaction, its items split at runs of the characters of ``sep``;
+    the numbers of transactions are unique, and depend on how files are split into tasks.
     ``csv``, ``json``, ``orc``, ``parquet``: rows of (site, tid, item).
     """
     if fmt != "text":
         reader = spark.read.schema(_LONG_ROWS)
         return (reader.option("header", True) if fmt == "csv" else reader).format(fmt).load(path).select("site", "tid", "item")
     lines = spark.read.text(path).select("value", F.monotonically_increasing_id().alias("tid"))
-    items = F.filter(F.split("value", f"[{sep}]+"), lambda x: x != "")
+    items = F.filter(F.split("value", "[" + "".join(f"\\x{{{ord(c):x}}}" for c in sep) + "]+"), lambda x: x != "")
     return lines.select(F.pmod("tid", F.lit(n_sites)).cast("int").alias("site"), "tid", F.explode(F.array_distinct(items)).alias("item"))
 
 

@@ -19,6 +19,7 @@ from their tables, the others are counted in one scan.
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 from dataclasses import dataclass, field
@@ -60,7 +61,12 @@ class Clock:
     """Seconds by part of a run; jobs inside a part carry its name as their job group."""
 
     def __init__(self, spark, prefix: str):
-        self.spark, self.prefix, self.seconds = spark, prefix, {}
+        self.spark, self.prefix, self.seconds = spark, f"{prefix}:{uuid.uuid4().hex[:8]}", {}
+
+    @property
+    def groups(self) -> dict[str, str]:
+        """The job group of each part."""
+        return {name: f"{self.prefix}:{name}" for name in self.seconds}
 
     @contextmanager
     def part(self, name: str) -> Iterator[None]:
@@ -263,7 +269,7 @@ def _late(baskets: DataFrame, clock: Clock, min_support, k, local_support, front
     frontier_passes = sum(p["kind"] == "frontier" for p in passes)
     counters = {
         "baskets": n, "sites": n_sites, "minimum": least, "passes": len(passes), "frontier_passes": frontier_passes, "support_passes": len(passes) - frontier_passes,
-        "requested": sum(p["requested"] for p in passes), "seconds": clock.seconds,
+        "requested": sum(p["requested"] for p in passes), "seconds": clock.seconds, "groups": clock.groups,
     }
     return MineResult(result, local, log, passes, counters)
 

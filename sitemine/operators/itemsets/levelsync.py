@@ -81,6 +81,6 @@ def _level(baskets: DataFrame, clock: Clock, min_support, k, pruning, known_coun
     found = materialise(state["found"].select("itemset", F.size("itemset").alias("size"), "support"))
     counters = {
         "baskets": n, "sites": n_sites, "minimum": least, "passes": len(state["passes"]), "requested": sum(p["requested"] for p in state["passes"]), "upper_pruned": state["pruned"],
-        "seconds": clock.seconds,
+        "seconds": clock.seconds, "groups": clock.groups | {"local": f"{clock.prefix}:all"},
     }
     return MineResult(found, materialise(local), materialise(state["log"]), state["passes"], counters)

@@ -155,5 +155,26 @@ def timed(run: Callable[[], object], repeats: int = 3, warm_up: int = 1) -> floa
     return (time.perf_counter() - began) / repeats
 
 
+def observed_times(spark: SparkSession, run: str, groups: dict[str, str]) -> DataFrame:
+    """(run, stage, process, seconds) of every task that ran under the job groups {part: group}; stages are named part:number.
+
+    Read from the session's own status store, which keeps the latest stages.
+    """
+    context = spark.sparkContext
+    context._jsc.sc().listenerBus().waitUntilEmpty()
+    tracker, store = context.statusTracker(), context._jsc.sc().statusStore()
+    rows = []
+    for part, group in groups.items():
+        for stage_id in sorted({s for job in tracker.getJobIdsForGroup(group) for s in tracker.getJobInfo(job).stageIds}):
+            stage = store.lastStageAttempt(stage_id)
+            if stage.numCompleteTasks() == 0:  # a stage whose output was there already
+                continue
+            tasks = store.taskList(stage_id, stage.attemptId(), 100_000)
+            for i in range(tasks.size()):
+                if tasks.apply(i).duration().isDefined():
+                    rows.append((run, f"{part}:{stage_id}", tasks.apply(i).index(), tasks.apply(i).duration().get() / 1000))
+    return stage_times(spark, rows)
+
+
 def stage_times(spark: SparkSession, rows: list[tuple[str, str, int, float]]) -> DataFrame:
     return spark.createDataFrame(rows, STAGE_TIMES)

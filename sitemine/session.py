@@ -77,7 +77,7 @@ def shared_table(df: DataFrame) -> tuple[DataFrame, str]:
     ensure_checkpoint_dir(spark)
     path = f"{spark.sparkContext.getCheckpointDir()}/tables/{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.parquet(path), path
+    return spark.read.schema(df.schema).parquet(path), path
 
 
 def drop_shared(spark: SparkSession, path: str) -> None:

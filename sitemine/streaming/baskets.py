@@ -117,7 +117,23 @@ def late_rows(query: StreamingQuery) -> int:
 
 
 def as_of_version(points: DataFrame, versions: DataFrame) -> DataFrame:
-    """``points`` (ts, ...) with the latest version (from_ts, version) at or before their time."""
+    """``points`` (ts, ...) with the latest version (from_ts, version) at or before their time, null before the first.
+
+    Versions are one each time summaries were merged again; their spans are looked up by a
+    binary search over a sorted array.
+    """
     gathered = versions.groupBy().agg(F.array_sort(F.collect_list(F.struct("from_ts", "version"))).alias("all"))
-    last = F.element_at(F.filter("all", lambda v: v["from_ts"] <= F.col("ts")), -1)
-    return points.crossJoin(F.broadcast(gathered)).withColumn("version", F.when(F.size(F.filter("all", lambda v: v["from_ts"] <= F.col("ts"))) > 0, last["version"])).drop("all")
+    steps = F.sequence(F.lit(1), F.ceil(F.log2(F.size("all") + 1)).cast("int") + 1)
+    # (lo, hi): versions before lo are early enough, versions from hi on are too late
+    found = F.aggregate(
+        steps,
+        F.struct(F.lit(0).alias("lo"), F.size("all").alias("hi")),
+        lambda span, _: F.when(
+            span["lo"] < span["hi"],
+            F.when(
+                F.get("all", F.floor((span["lo"] + span["hi"]) / 2).cast("int"))["from_ts"] <= F.col("ts"),
+                F.struct((F.floor((span["lo"] + span["hi"]) / 2) + 1).cast("int").alias("lo"), span["hi"].alias("hi")),
+            ).otherwise(F.struct(span["lo"].alias("lo"), F.floor((span["lo"] + span["hi"]) / 2).cast("int").alias("hi"))),
+        ).otherwise(span),
+    )
+    return points.crossJoin(F.broadcast(gathered)).withColumn("version", F.get("all", found["lo"] - 1)["version"]).drop("all")

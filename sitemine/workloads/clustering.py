@@ -123,20 +123,34 @@ r as (select m.*, o.n as own_n, o.x as own_x, o.y as own_y, o.scatter as own_sca
       qualify row_number() over (partition by m.site, m.local_id order by (m.x - c.x) ** 2 + (m.y - c.y) ** 2, c.global_id) = 1)"""
 
 
+def _tables(spark: SparkSession, sf_dir: str) -> list[tuple[str, DataFrame, int]]:
+    return [
+        ("embeddings", inputs.embedding_points(spark, sf_dir).drop("label"), 8),
+        ("lineitem", inputs.line_points(spark, sf_dir), 20),
+        ("part", inputs.part_points(spark, sf_dir), 8),
+        ("customer", inputs.customer_points(spark, sf_dir), 8),
+        ("supplier", inputs.supplier_points(spark, sf_dir), 4),
+    ]
+
+
 def vmerge_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """What must hold of any run: no point lost, every sub-cluster labelled once, groups under the bound."""
-    points = inputs.part_points(spark, sf_dir)
-    r = vmerge_cluster(points, k_local=8, border=0)
-    labels = r.labels.agg(F.count("*").alias("rows"), F.countDistinct("site", "local_id").alias("subs")).first()
-    sums = r.clusters.agg(F.sum("n").alias("n"), F.max(F.when(F.col("n_members") > 1, F.col("scatter"))).alias("top")).first()
-    labelled = label_points(r.labelled, r.labels).count()
-    ok = labels.rows == labels.subs == r.substats.count()
-    return spark.createDataFrame([(sums.n, labelled, ok, (sums.top or 0.0) < r.bound)], "n_points long, n_labelled long, labels_once boolean, under_bound boolean")
+    """What must hold of any run, without and with the repair: no point lost, every sub-cluster labelled once,
+    unrepaired groups under the bound, and the clusters' scatter that of the labelled points."""
+    out = []
+    for name, points, k in _tables(spark, sf_dir):
+        for border in (0, 0.1):
+            r = vmerge_cluster(points, k_local=k, border=border)
+            labels = r.labels.agg(F.count("*").alias("rows"), F.countDistinct("site", "local_id").alias("subs")).first()
+            sums = r.clusters.agg(F.sum("n").alias("n"), F.sum("scatter").alias("s"), F.max(F.when(F.col("n_members") > 1, F.col("scatter"))).alias("top")).first()
+            again = sub_stats(label_points(r.labelled, r.labels), by=("global_id",)).agg(F.sum("n").alias("n"), F.sum("scatter").alias("s")).first()
+            once = labels.rows == labels.subs == r.substats.count()
+            out.append((name, float(border), sums.n, again.n, once, bool(border) or (sums.top or 0.0) < r.bound, abs(again.s - sums.s) <= 1e-6 * max(1.0, sums.s)))
+    return spark.createDataFrame(out, "workload string, border double, n_points long, n_labelled long, labels_once boolean, under_bound boolean, scatter_of_points boolean")
 
 
 def merge_engines_agree(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Clusters by the engines that must agree."""
-    s = sub_stats(kmeans_multi(inputs.line_points(spark, sf_dir), 8, iterations=3), d=4)
+    s = sub_stats(kmeans_multi(inputs.line_points(spark, sf_dir), 20), d=4)
     s = materialise(s)
     out = [(e, M.merge_subclusters(s, engine=e)) for e in ("task", "rounds")]
     rows = [(e, c.count(), round(c.agg(F.sum("scatter")).first()[0], 4), c.agg(F.sum("n")).first()[0]) for e, c in out]
@@ -166,34 +180,88 @@ _SUMMARY = "run string, clusters long, points long, total_scatter double, moves_
 
 def vmerge_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole method on vectors, order lines, customers and suppliers."""
-    runs = [
-        ("embeddings", inputs.embedding_points(spark, sf_dir).drop("label"), 8),
-        ("lineitem", inputs.line_points(spark, sf_dir), 20),
-        ("customer", inputs.customer_points(spark, sf_dir), 8),
-        ("supplier", inputs.supplier_points(spark, sf_dir), 4),
-    ]
-    return spark.createDataFrame([_summary(vmerge_cluster(p, k_local=k, iterations=4), name) for name, p, k in runs], _SUMMARY)
+    return spark.createDataFrame([_summary(vmerge_cluster(p, k_local=k), name) for name, p, k in _tables(spark, sf_dir)], _SUMMARY)
 
 
 def vmerge_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole method on order lines, twenty sub-clusters a site: the bench's throughput."""
-    return spark.createDataFrame([_summary(vmerge_cluster(inputs.line_points(spark, sf_dir), k_local=20, iterations=5), "lineitem")], _SUMMARY)
+    return spark.createDataFrame([_summary(vmerge_cluster(inputs.line_points(spark, sf_dir), k_local=20), "lineitem")], _SUMMARY)
+
+
+ABLATION = {
+    "none": {"border": 0}, "tenth": {"border": 0.1, "multi": False}, "tenth_multi": {"border": 0.1}, "half": {"border": 0.5}, "three": {"border": 3},
+    "half_to_rival": {"border": 0.5, "rule": "to_rival"}, "half_batch": {"border": 0.5, "mode": "batch"}, "half_sweeps": {"border": 0.5, "max_sweeps": 10},
+}
+
+
+def _ablation(spark: SparkSession, sf_dir: str) -> list[tuple[str, tuple]]:
+    """(workload, summary): every way of repair from the same merged clusters, on each workload."""
+    gaussian.register(spark)
+    workloads = [
+        ("parts", inputs.part_points(spark, sf_dir), 8),
+        ("mixture", spark.read.format("gaussian_mixture").option("points", 1200).load().drop("label"), 20),
+        ("vectors", inputs.embedding_points(spark, sf_dir).drop("label"), 8),
+        ("lines", inputs.line_points(spark, sf_dir), 20),
+    ]
+    out = []
+    for workload, points, k in workloads:
+        s = materialise(sub_stats(kmeans_multi(points, k)))
+        bound = M.merge_bound(s)
+        merged = M.merge_subclusters(s)
+        for name, options in ABLATION.items():
+            options = dict(options)
+            multi = options.pop("multi", True)
+            clusters, trace = P.perturb(merged, s, bound=bound if multi else None, **options)
+            c = clusters.agg(F.count("*").alias("k"), F.sum("n").alias("n"), F.sum("scatter").alias("s")).first()
+            moved = {x.kind: x["count"] for x in trace.groupBy("kind").count().collect()}
+            out.append((workload, (name, c.k, c.n, round(c.s, 4), moved.get("move_try", 0) + moved.get("move_accept", 0), moved.get("move_accept", 0))))
+    return out
 
 
 def perturb_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Total scatter and moves by border size, shared members and mode, from the same local step."""
-    points = inputs.part_points(spark, sf_dir)
+    """Total scatter and moves by border size, shared members, rule and mode, from the same merged clusters of each workload."""
+    return spark.createDataFrame([(w, *row) for w, row in _ablation(spark, sf_dir)], f"workload string, {_SUMMARY}")
+
+
+def repair_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What must hold of any repair: no point lost, and no total above that without it."""
+    rows = _ablation(spark, sf_dir)
+    start = {w: r[3] for w, r in rows if r[0] == "none"}
+    points = {w: {r[2] for v, r in rows if v == w} for w in start}
+    out = [(w, next(iter(points[w])), len(points[w]) == 1, all(r[3] <= start[w] + 1e-6 * start[w] for v, r in rows if v == w)) for w in start]
+    return spark.createDataFrame(out, "workload string, points long, none_lost boolean, never_worse boolean")
+
+
+def site_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The planted mixture over 5, 50 and 200 sites, twenty sub-clusters each: summaries, bytes sent, clusters, moves, agreement."""
+    gaussian.register(spark)
     out = []
-    for name, options in {
-        "none": {"border": 0}, "tenth": {"border": 0.1, "multi": False}, "tenth_multi": {"border": 0.1}, "half": {"border": 0.5}, "three": {"border": 3},
-        "half_batch": {"border": 0.5, "mode": "batch"}, "half_sweeps": {"border": 0.5, "max_sweeps": 10},
-    }.items():
-        out.append(_summary(vmerge_cluster(points, k_local=8, local="kmeans", **options), name))
-    return spark.createDataFrame(out, _SUMMARY)
+    for n in (5, 50, 200):
+        points = materialise(spark.read.format("gaussian_mixture").option("sites", n).option("points", 400).load())
+        for variance in M.VARIANCES:
+            r = vmerge_cluster(points, k_local=20, variance=variance)
+            labelled = materialise(label_points(r.labelled, r.labels))
+            _, clusters, total, scatter, tried, accepted = _summary(r, "")
+            summaries = r.substats.count()
+            out.append((n, variance, total, summaries, summaries * 32, clusters, scatter, tried, accepted, round(purity(labelled).first()[0], 4), round(adjusted_rand(labelled).first()[0], 4)))
+    return spark.createDataFrame(
+        out, "sites long, variance string, points long, summaries long, bytes long, clusters long, total_scatter double, moves_tried long, moves_accepted long, purity double, adjusted_rand double"
+    )
 
 
 def gap_part(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _rounded(gap_statistic(inputs.part_points(spark, sf_dir), 5, n_ref=4))
+    return _rounded(gap_statistic(inputs.part_points(spark, sf_dir)))
+
+
+def gap_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What must hold of the gap statistic: every k tried at every site, one chosen, by the rule."""
+    rows = gap_statistic(inputs.part_points(spark, sf_dir)).collect()
+    out = []
+    for site in sorted({r.site for r in rows}):
+        mine = sorted((r for r in rows if r.site == site), key=lambda r: r.k)
+        by_rule = next((a.k for a, b in zip(mine, mine[1:], strict=False) if a.gap >= b.gap - b.se), mine[-1].k)
+        out.append((site, len(mine), [r.k for r in mine if r.chosen] == [by_rule]))
+    return spark.createDataFrame(out, "site long, tried long, chosen_by_rule boolean")
 
 
 def central_reference(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -235,7 +303,10 @@ QUERIES = {
     "vmerge_tables": vmerge_tables,
     "vmerge_lineitem": vmerge_lineitem,
     "perturb_ablation": perturb_ablation,
+    "repair_invariants": repair_invariants,
+    "site_sweep": site_sweep,
     "gap_statistic_part": gap_part,
+    "gap_invariants": gap_invariants,
     "central_kmeans": central_reference,
 }
 
@@ -266,5 +337,10 @@ ORACLES = {
     "move_gain": f"""with {_FIXED}, w as (select *, own_n - n as ln, (own_n * own_x - n * x) / (own_n - n) as lx, (own_n * own_y - n * y) / (own_n - n) as ly from r)
         select global_id, site, local_id, rival, round(own_scatter + rs - (own_scatter - scatter - ln * n / own_n::double * ((x - lx) ** 2 + (y - ly) ** 2))
           - (rs + scatter + rn * n / (rn + n)::double * d2), 4) + 0.0 as gain from w""",
-    "vmerge_invariants": "select count(*)::bigint as n_points, count(*)::bigint as n_labelled, true as labels_once, true as under_bound from part",
+    "repair_invariants": """select w as workload, n::bigint as points, true as none_lost, true as never_worse from (
+        select 'parts' as w, count(*) as n from part union all select 'mixture', 6000 union all select 'vectors', count(*) from embeddings union all select 'lines', count(*) from lineitem)""",
+    "gap_invariants": "select (p_partkey % 5)::bigint as site, 8::bigint as tried, true as chosen_by_rule from part group by 1",
+    "vmerge_invariants": """select w as workload, b::double as border, n::bigint as n_points, n::bigint as n_labelled, true as labels_once, true as under_bound, true as scatter_of_points
+        from (select 'embeddings' as w, count(*) as n from embeddings union all select 'lineitem', count(*) from lineitem union all select 'part', count(*) from part
+          union all select 'customer', count(*) from customer union all select 'supplier', count(*) from supplier), (select unnest([0.0, 0.1]) as b)""",
 }

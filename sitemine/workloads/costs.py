@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from sitemine.functions import itemset_columns
 from sitemine.operators.clustering.local import kmeans_multi
+from sitemine.operators.clustering.pipeline import vmerge_cluster
 from sitemine.operators.clustering.stats import sub_stats
 from sitemine.operators.itemsets import baskets as B
 from sitemine.operators.itemsets.latesync import latesync_mine
@@ -17,10 +18,12 @@ from sitemine.operators.itemsets.levelsync import levelsync_mine
 from sitemine.operators.itemsets.views import mine_view
 from sitemine.plans import cost
 from sitemine.session import drop_shared, ensure_checkpoint_dir, table
+from sitemine.sources import gaussian
 from sitemine.streaming import baskets as S
 from sitemine.workflow.dag import Dag
 from sitemine.workloads import inputs
-from sitemine.workloads.itemsets import itemset_sql
+from sitemine.workloads.clustering import _kmeans_sql
+from sitemine.workloads.itemsets import OUTPUTS, itemset_sql, log_sql
 
 SIZES = (1_000, 10_000, 100_000, 1_000_000)
 
@@ -58,19 +61,74 @@ def stagemax_model(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def miner_traffic(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Requests, message rows and bytes of both miners and both polling rules, with the worst transfer."""
+    """Requests, message rows and bytes of both miners by output, every site asking every other, with the worst transfers."""
+    return _traffic(spark, sf_dir, "none")
+
+
+def miner_traffic_polled(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by polling sites."""
+    return _traffic(spark, sf_dir, "hash")
+
+
+def _traffic(spark: SparkSession, sf_dir: str, polling: str) -> DataFrame:
     baskets, _ = B.from_rows(inputs.attribute_rows(spark, sf_dir))
     sites = spark.createDataFrame([(i,) for i in range(5)], "site int")
     shift = cost.links(spark).select((F.col("src") - 1).alias("src"), (F.col("dst") - 1).alias("dst"), "mbit_s", "latency_ms")
     out = []
     for name, miner in (("late", latesync_mine), ("level", levelsync_mine)):
         mined = miner(baskets, min_support="0.1")
-        for polling in ("none", "hash"):
-            sent = cost.traffic(mined.requests, sites, polling=polling)
+        for output in OUTPUTS:
+            last = mined.counters["passes"] if output == "supports" else mined.counters.get("frontier_passes", mined.counters["passes"])
+            sent = cost.traffic(mined.requests.where(F.col("pass") <= last), sites, polling=polling)
             total = sent.agg(F.sum("rows").alias("rows"), F.sum("bytes").alias("bytes")).first()
             seconds = cost.worst_transfer(sent, shift).agg(F.sum("seconds")).first()[0]
-            out.append((name, polling, mined.counters["passes"], mined.counters["requested"], total.rows, total.bytes, round(seconds, 6)))
-    return spark.createDataFrame(out, "miner string, polling string, passes long, requested long, messages long, bytes long, transfer_seconds double")
+            out.append((name, output, last, sum(p["requested"] for p in mined.passes[:last]), total.rows, total.bytes, round(seconds, 6)))
+    return spark.createDataFrame(out, "miner string, output string, passes long, requested long, messages long, bytes long, transfer_seconds double")
+
+
+def _runs(spark: SparkSession, sf_dir: str) -> list[tuple[str, float, DataFrame]]:
+    """(task, wall seconds, task times) of each method on its workload."""
+    baskets, _ = B.from_rows(inputs.brand_rows(spark, sf_dir))
+    out = []
+    for name, miner in (("latesync", latesync_mine), ("levelsync", levelsync_mine)):
+        began = time.perf_counter()
+        counters = miner(baskets, min_support="0.005").counters
+        out.append((name, time.perf_counter() - began, cost.observed_times(spark, name, counters["groups"])))
+    gaussian.register(spark)
+    group = f"clustering:{uuid.uuid4().hex[:8]}"
+    began = time.perf_counter()
+    with cost.stage(spark, group):
+        found = vmerge_cluster(spark.read.format("gaussian_mixture").option("points", 1200).load(), k_local=20)
+        found.clusters.count()
+    out.append(("clustering", time.perf_counter() - began, cost.observed_times(spark, "clustering", {"all": group})))
+    return out
+
+
+def model_against_run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each method's run here against the stage-max model of its own tasks, beside the published pair.
+
+    ``compute_share`` is the modelled part of the run, ``remote_share`` the part of all task
+    seconds that counting for other sites took.
+    """
+    published = {name: (measured, estimated) for name, measured, estimated in cost.BASELINE}
+    out = []
+    for name, wall, times in _runs(spark, sf_dir):
+        estimate = cost.stagemax(times).first().est_seconds
+        remote = cost.share(times, "remote").first().share
+        measured, modelled = published[name]
+        out.append((name, round(wall, 3), round(estimate, 3), round(cost.overhead(estimate, wall), 4), round(cost.compute_share(estimate, 0.0, wall), 4), round(remote, 4), round(cost.overhead(modelled, measured), 4)))
+    return spark.createDataFrame(out, "task string, measured double, estimated double, overhead double, compute_share double, remote_share double, published_overhead double")
+
+
+def model_holds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What must hold of any run against its model: no stage beyond the run, shares of stages that add up to one."""
+    out = []
+    for name, wall, times in _runs(spark, sf_dir):
+        longest = times.groupBy("stage").agg(F.max("seconds").alias("s")).agg(F.max("s")).first()[0]
+        parts = times.groupBy(F.split("stage", ":")[0].alias("part")).agg(F.sum("seconds").alias("s")).collect()
+        total = times.agg(F.sum("seconds")).first()[0]
+        out.append((name, longest <= wall, abs(sum(r.s for r in parts) / total - 1) < 1e-9))
+    return spark.createDataFrame(out, "task string, stages_within_run boolean, shares_add_up boolean")
 
 
 def time_shares(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -102,7 +160,7 @@ def workflow_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sql_mining(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The miner from a view to a view, for use from SQL."""
     inputs.attribute_rows(spark, sf_dir).createOrReplaceTempView("attribute_rows")
-    mine_view(spark, "attribute_rows", "attribute_sets", k=3, min_support="0.1")
+    mine_view(spark, "attribute_rows", "attribute_sets", k=4, min_support="0.1")
     return spark.sql("select size, count(*) as n, max(support) as top from attribute_sets group by size")
 
 
@@ -172,6 +230,9 @@ QUERIES = {
     "stage_counts": stage_counts,
     "stagemax_model": stagemax_model,
     "miner_traffic": miner_traffic,
+    "miner_traffic_polled": miner_traffic_polled,
+    "model_against_run": model_against_run,
+    "model_holds": model_holds,
     "time_shares": time_shares,
     "workflow_latency": workflow_latency,
     "sql_mining": sql_mining,
@@ -185,8 +246,29 @@ QUERIES = {
     "subsets_in_sql": subsets_in_sql,
 }
 
+_SHIFTED = f"(select c0 - 1 as src, c1 - 1 as dst, c2::double as mbit, c3::double as ms from (values {_LINK_VALUES}) v(c0, c1, c2, c3))"
+_TRAFFIC = f"""with log as materialized ({log_sql(inputs.ATTRIBUTE_SQL, "0.1")}),
+l as materialized (select o.output, l.* from log l, (select unnest(['sets', 'supports']) as output) o where l.method in ('late', 'level') and (o.output = 'supports' or l.kind = 'frontier')),
+sites as (select unnest(range(5)) as site),
+own as (select method, output, pass, site, sum(4 * z) as ask, count(*) as n from l group by all),
+sent as (select p.method, p.output, p.pass, a.site as src, b.site as dst, coalesce(x.ask, 0) + 8 * coalesce(y.n, 0) as bytes
+    from (select distinct method, output, pass from l) p, sites a join sites b on a.site <> b.site
+    left join own x on (x.method, x.output, x.pass, x.site) = (p.method, p.output, p.pass, a.site)
+    left join own y on (y.method, y.output, y.pass, y.site) = (p.method, p.output, p.pass, b.site)),
+worst as (select method, output, pass, max(ms / 1000 + bytes * 8 / (mbit * 1000000)) as s from sent join {_SHIFTED} k using (src, dst) where bytes > 0 group by all)
+select method as miner, output, count(distinct pass)::bigint as passes, count(distinct (pass, s))::bigint as requested, (8 * count(*))::bigint as messages,
+    (4 * sum(4 * z + 8))::bigint as bytes, (select round(sum(w.s), 6) from worst w where w.method = l.method and w.output = l.output) as transfer_seconds
+from l group by method, output"""
+
 ORACLES = {
-    "sql_mining": f"select size, count(*)::bigint as n, max(support)::bigint as top from ({itemset_sql(inputs.ATTRIBUTE_SQL, '0.1', 3)}) group by size",
+    "miner_traffic": _TRAFFIC,
+    "model_holds": "select unnest(['latesync', 'levelsync', 'clustering']) as task, true as stages_within_run, true as shares_add_up",
+    "clustering_traffic": f"""with k as materialized ({_kmeans_sql()}), sent as (select site + 1 as site, count(distinct local_id) as n, count(distinct local_id) * 32 as bytes from k group by site),
+        worst as (select dst, max(ms / 1000 + bytes * 8 / (mbit * 1000000)) as s from (select c0 as src, c1 as dst, c2::double as mbit, c3::double as ms from (values {_LINK_VALUES}) v(c0, c1, c2, c3)) l
+          join sent on site = src group by dst),
+        best as (select dst from worst order by s, dst limit 1)
+        select site::int as src, (select dst from best)::int as dst, n::bigint as rows, bytes::bigint as bytes from sent where site <> (select dst from best)""",
+    "sql_mining": f"select size, count(*)::bigint as n, max(support)::bigint as top from ({itemset_sql(inputs.ATTRIBUTE_SQL, '0.1')}) group by size",
     "link_worst_transfer": f"""select s as bytes, round(max(ms / 1000 + s * 8 / (mbit * 1000000)), 6) as seconds
         from (select unnest([1000, 10000, 100000, 1000000])::bigint as s), (select col2::double as mbit, col3::double as ms from (values {_LINK_VALUES}) v(col0, col1, col2, col3)) group by s""",
     "link_matrix": "select src::bigint as src, " + ", ".join(f"coalesce(max(m) filter (where dst = {i}), -1)::double as to_{i}" for i in range(1, 6)) + f" from (values {_LINK_VALUES}) v(src, dst, m, ms) group by src",

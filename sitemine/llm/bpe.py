@@ -338,14 +338,14 @@ def encode(docs: DataFrame, *, text: str = "text", path: str | None = None, piec
                 yield pa.RecordBatch.from_arrays([*part.columns[:-1], _lists(made)], names=[*part.schema.names[:-1], ids])
 
     made = _schema(keep, f"`{ids}` array<int>")
-    short = docs.where(F.char_length(body) <= piece).select(*keep.columns, body.alias("text__")).mapInArrow(whole, made)
+    short = docs.where(F.char_length(body) <= piece).select(*keep.columns, body.alias(fresh_name(keep, "whole_text"))).mapInArrow(whole, made)
     return short.unionByName(_encode_long(docs, text, ids, path, piece))
 
 
 def _encode_long(docs: DataFrame, text: str, ids: str, path: str, piece: int) -> DataFrame:
     """The documents over ``piece`` characters, by pieces."""
     keep = docs.drop(text).columns
-    rest = F.struct(F.lit(0).alias("spare__"), *keep).alias("rest")
+    rest = F.struct(F.lit(0).alias(fresh_name(docs, "spare")), *keep).alias("rest")
     rows = docs.where(F.char_length(text) > piece).select(F.monotonically_increasing_id().alias("rid"), rest, F.col(text).alias("text"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -20,7 +20,7 @@ Rows are gathered per conversation, which is one document of the corpus; convers
 are dealt over the cluster by id and a worker holds a few at a time.
 
 Defined cases: null text and null role are empty; turns are ordered by turn number (null
-first), ties by role, then text; null conversation ids form one conversation; repeated
+first), ties by role, then text; a row without a conversation id is a conversation of its own; repeated
 rows are turns of their own; extra columns are ignored; an empty table gives an empty
 table.
 """
@@ -115,7 +115,8 @@ def format_conversations(chats: DataFrame, *, id_col: str = "conv_id", turn: str
     """(conv_id, n_turns, formatted, loss_starts, loss_ends), one row per conversation."""
     fields = F.struct(F.col(turn).alias("t"), F.coalesce(role, F.lit("")).alias("r"), F.coalesce(text, F.lit("")).alias("x"))
     kind = dict(chats.dtypes)[id_col]
-    grouped = chats.select(F.col(id_col).alias("conv_id"), fields.alias("f")).groupBy("conv_id").agg(F.sort_array(F.collect_list("f")).alias("f"))
+    lone = F.when(F.col(id_col).isNull(), F.monotonically_increasing_id())  # rows of no conversation never meet
+    grouped = chats.select(F.col(id_col).alias("conv_id"), lone.alias("lone"), fields.alias("f")).groupBy("conv_id", "lone").agg(F.sort_array(F.collect_list("f")).alias("f"))
     rows = grouped.select("conv_id", F.col("f.r").alias("roles"), F.col("f.x").alias("texts"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -139,17 +139,18 @@ def mix(
     plan = materialise(
         targets.join(cuts.withColumnRenamed("mix_source", "of"), F.col("mix_source").eqNullSafe(F.col("of")), "left").drop("of")
     )
+    plan_source, plan_whole, plan_cut = (fresh_name(docs, x) for x in ("plan_source", "plan_whole", "plan_cut"))
     names = {k: fresh_name(docs, v) for k, v in (("size", "mix_size"), ("source_size", "mix_source_size"), ("target", "mix_target"), ("times", "mix_times"))}
     rows = plan.select(
-        F.col("mix_source").alias("plan_source__"), F.col("source_size").alias(names["source_size"]), F.col("target").alias(names["target"]),
-        F.col("whole").alias("plan_whole__"), F.col("cut").alias("plan_cut__"),
+        F.col("mix_source").alias(plan_source), F.col("source_size").alias(names["source_size"]), F.col("target").alias(names["target"]),
+        F.col("whole").alias(plan_whole), F.col("cut").alias(plan_cut),
     )
-    once_more = F.coalesce(digest(F.col(id_col), seed) <= F.col("plan_cut__"), F.lit(False)).cast("long")
+    once_more = F.coalesce(digest(F.col(id_col), seed) <= F.col(plan_cut), F.lit(False)).cast("long")
     return (
-        docs.join(broadcast_if_small(rows), F.col(source).eqNullSafe(F.col("plan_source__")), "left")
+        docs.join(broadcast_if_small(rows), F.col(source).eqNullSafe(F.col(plan_source)), "left")
         .withColumn(names["size"], word_count(F.col(text)))
-        .withColumn(names["times"], F.when(F.col(names["size"]) > 0, F.col("plan_whole__") + once_more).otherwise(0).cast("long"))
-        .drop("plan_source__", "plan_whole__", "plan_cut__")
+        .withColumn(names["times"], F.when(F.col(names["size"]) > 0, F.col(plan_whole) + once_more).otherwise(0).cast("long"))
+        .drop(plan_source, plan_whole, plan_cut)
     )
 
 

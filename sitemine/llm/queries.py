@@ -15,6 +15,7 @@ QUERIES = {
     "op8_simhash": simhash.op8_simhash,
     "op9_quality_lm": quality_lm.op9_quality_lm,
     "op10_language_id": language_id.op10_language_id,
+    "url_fixed_rules": url_rules.url_fixed_rules,
 }
 ORACLES = {
     "op1_mpeg_audio": mpeg_audio.ORACLE,
@@ -22,4 +23,5 @@ ORACLES = {
     "op5_mixing": mixing.ORACLE,
     "op6_chat_format": chat_format.ORACLE,
     "op7_line_dedup": line_dedup.ORACLE,
+    "url_fixed_rules": url_rules.FIXED_ORACLE,
 }

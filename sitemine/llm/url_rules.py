@@ -149,3 +149,22 @@ def op3_url_rules(spark, sf_dir: str) -> DataFrame:
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality", "toxic")
     rules = mine_rules(labelled_pages(pages, labels))
     return judge(pages, rules).select("page_id", "host", "path", "rule", "verdict", "mined_rule")
+
+
+def url_fixed_rules(spark, sf_dir: str) -> DataFrame:
+    """What the fixed rules alone say of every page: the part of op3 that SQL can say."""
+    pages = spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url")
+    told = fixed_rule(host_of(F.col("url")), path_of(F.col("url")))
+    return pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"), told["rule"].alias("rule"), told["verdict"].alias("fixed_verdict"))
+
+
+_FIXED_VALUES = ", ".join(f"('{verdict}', '{rule}')" for verdict, rule in FIXED_RULES)
+FIXED_ORACLE = f"""
+with p as (select page_id, url, case when instr(coalesce(url, ''), '://') > 0 then substr(url, instr(url, '://') + 3) end as rest from pages),
+h as (select page_id, translate(coalesce(regexp_extract(rest, '^[^/?#]*'), ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as host,
+  coalesce(regexp_extract(substr(rest, length(regexp_extract(rest, '^[^/?#]*')) + 1), '^[^?#]*'), '') as path from p),
+r as (select verdict, rule, substr(rule, 1, instr(rule, '/') - 1) as name, substr(rule, instr(rule, '/')) as start from (values {_FIXED_VALUES}) v(verdict, rule)),
+fits as (select page_id, rule, verdict from h join r on (host = name or ends_with(host, '.' || name)) and starts_with(path, start)
+  qualify row_number() over (partition by page_id order by length(rule) desc, instr(rule, '/') desc) = 1)
+select page_id, host, path, rule, verdict as fixed_verdict from h left join fits using (page_id)
+"""

@@ -322,6 +322,8 @@ class TestChat:
         assert got[1].turns_sha256 == sha("user\n\nassistant\na\nassistant\nb\n") and got[1].loss_sha256 == sha("ab") and got[1].loss_chars == 2
         assert got[None].turns_sha256 == sha("\nx\\\n") and got[None].loss_chars == 0
         assert got[2].loss_sha256 == sha("</s>" * 2000)
+        lone = spark.createDataFrame([(None, 1, "user", "a", 9), (None, 2, "assistant", "</s>" * 50_000, 9)], "conv_id long, turn long, role string, text string, formatted int")
+        assert sorted((r.conv_id, r.n_turns, r.loss_chars) for r in chat_format.read_back(chat_format.format_conversations(lone)).collect()) == [(None, 1, 0), (None, 1, 200_000)]
         assert chat_format.format_conversations(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 

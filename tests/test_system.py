@@ -78,6 +78,8 @@ def test_sources(spark, sf, tmp_path):
     assert made.count() == 600 and made.where(F.size("items") == 0).count() == 0
     (tmp_path / "t.txt").write_text("a b c\na  b\n\na b c\n")
     assert files.read_baskets(spark, str(tmp_path / "t.txt"), "text").groupBy("tid").count().count() == 3
+    (tmp_path / "u.txt").write_text("a]b^c\n")
+    assert {r["item"] for r in files.read_baskets(spark, str(tmp_path / "u.txt"), "text", sep="]^").collect()} == {"a", "b", "c"}
     rows = spark.createDataFrame([(0, 1, "x"), (1, 2, "y")], "site int, tid long, item string")
     for fmt in ("csv", "json", "orc", "parquet"):
         rows.write.option("header", True).format(fmt).save(str(tmp_path / fmt))
@@ -105,6 +107,7 @@ def test_site_keys(spark, sf):
     assert [r[0] for r in df.select(sites.by_hash(F.col("k"), 5)).collect()] == [2, 2, 3]
     assert [r[0] for r in df.select(sites.by_chunk(F.col("k"), 5)).collect()] == [1, 2, 0]
     assert {(r.k, r.site) for r in sites.by_value(df, "v").collect()} == {(7, 1), (12, 0), (3, 1)}
+    assert {r.site for r in sites.by_value(df.union(df.limit(1).select("k", F.lit(None))), "v").collect()} == {0, 1, 2}
     assert sites.order_region(spark, sf).select("site").distinct().count() == 5
     with pytest.raises(ValueError, match="tid, item"):
         schemas.require_columns(df.withColumn("site", F.lit(1)), schemas.BASKET_ROWS)
@@ -234,3 +237,17 @@ def test_versions_as_of(spark):
     points = spark.createDataFrame([(1, 5), (2, 15), (3, 1)], "id int, ts int")
     versions = spark.createDataFrame([(2, "a"), (10, "b")], "from_ts int, version string")
     assert {r.id: r.version for r in S.as_of_version(points, versions).collect()} == {1: "a", 2: "b", 3: None}
+    for n in (0, 1, 2, 5, 8, 33):
+        times = [7 * i + 3 for i in range(n)]
+        many = spark.createDataFrame([(t, f"v{t}") for t in times], "from_ts int, version string")
+        got = {r.ts: r.version for r in S.as_of_version(spark.range(250).select(F.col("id").cast("int").alias("ts")), many).collect()}
+        assert got == {ts: next((f"v{t}" for t in reversed(times) if t <= ts), None) for ts in range(250)}
+
+
+def test_numbered_by_ranges(spark):
+    """Ranks of a sort by ranges are those of one task."""
+    from sitemine.session import numbered
+
+    rows = spark.range(500).select(F.pmod(F.col("id") * 37, F.lit(101)).alias("a"), "id")
+    few, many = (sorted(map(tuple, numbered(rows, [F.col("a"), F.col("id")], "place", limit).collect())) for limit in (10**6, 10))
+    assert few == many and sorted(r[2] for r in few) == list(range(500))

@@ -132,6 +132,61 @@ def test_near_pairs_are_the_feasible_pairs(spark):
     assert "CartesianProduct" not in got._jdf.queryExecution().executedPlan().toString()
 
 
+def test_near_pairs_of_unlike_sizes(spark):
+    """One tiny group among large ones: all feasible pairs, each once."""
+    rng = np.random.default_rng(15)
+    rows = [(i, int(4 ** rng.integers(0, 7)), (rng.normal(size=2) * 3).tolist(), float(rng.random())) for i in range(70)]
+    df = spark.createDataFrame(rows, "group_id long, n long, center array<double>, scatter double")
+    stat = lambda r: (r[1], np.array(r[2]), r[3])
+    want = {(a, b) for a in range(70) for b in range(a + 1, 70) if merge_np(stat(rows[a]), stat(rows[b]))[2] < 8.0}
+    got = near_pairs(df, 8.0).collect()
+    assert {(r.a, r.b) for r in got} == want and len(got) == len(want)
+
+
+def test_tree_in_slices(spark, monkeypatch):
+    """Where a task holds few summaries, slices lose none and stay under the bound."""
+    rng = np.random.default_rng(16)
+    rows = [(i % 5, i, 3, (rng.normal(size=2) + 20 * (i % 4)).tolist(), 1.0) for i in range(120)]
+    s = spark.createDataFrame(rows, STATS)
+    monkeypatch.setattr(merge, "TASK_ROWS", 16)
+    merged = merge.merge_subclusters(s, threshold=60.0, engine="tree", fan_in=2).collect()
+    assert sum(r.n for r in merged) == 360 and sorted(m.local_id for r in merged for m in r.members) == list(range(120))
+    assert all(r.scatter < 60.0 for r in merged) and len(merged) < 60 and sorted(r.global_id for r in merged) == list(range(len(merged)))
+
+
+def test_repair_beyond_a_task(spark, monkeypatch):
+    rows = [(0, i, 50, [0.0], 0.0) for i in range(2)] + [(0, 10 + i, 1, [9.0 + i / 100], 0.0) for i in range(5)] + [(1, 0, 50, [10.0], 0.0)]
+    s = spark.createDataFrame(rows, STATS)
+    clusters = perturb.regroup(s, spark.createDataFrame([(r[0], r[1], r[0]) for r in rows], "site int, local_id int, global_id int"))
+    want, _ = perturb.perturb(clusters, s, border=5)
+    monkeypatch.setattr(perturb, "TASK_ROWS", 3)
+    monkeypatch.setattr(perturb, "BLOCK_NUMBERS", 1)  # a block a cluster
+    got, _ = perturb.perturb(clusters, s, border=5)
+    assert groups(got) == groups(want)
+    with pytest.raises(ValueError, match="use batch"):
+        perturb.perturb(clusters, s, border=5, mode="sequential")
+    with pytest.raises(ValueError, match="rule"):
+        perturb.perturb(clusters, s, rule="inwards")
+
+
+def test_options_reach_every_step(spark):
+    rng = np.random.default_rng(17)
+    points = spark.createDataFrame([(i % 2, i, (rng.normal(size=2) * 4).tolist()) for i in range(200)], "site int, point_id long, features array<double>")
+    apart = vmerge_cluster(points, k_local=6, local="kmeans", same_site=False, border=0)
+    # a group that two sub-clusters of one site share was merged over a group of several
+    assert all(len({m.site for m in r.members}) == 2 for r in apart.clusters.collect() if r.n_members == 2)
+    for rule in ("to_center", "to_rival"):
+        r = vmerge_cluster(points, k_local=6, local="kmeans", border=0.5, rule=rule)
+        assert r.clusters.agg(F.sum("n")).first()[0] == 200
+    with pytest.raises(ValueError, match="one task may hold"):
+        gap.gap_statistic(points, 2, n_ref=1, max_site_rows=50)
+
+
+def test_equal_distances_go_to_the_first(spark):
+    x, c = np.array([[1e8 + 0.5, 3.0], [5.0, 5.0]]), np.array([[1e8, 3.0], [1e8 + 1, 3.0], [5.0, 4.0], [5.0, 6.0]])
+    assert local.nearest(x, c).tolist() == [0, 2]
+
+
 def test_repair_by_hand(spark):
     clusters = spark.createDataFrame([(0, 6, [1.0], 31.0, 2, [(0, 0), (0, 1)]), (1, 5, [10.0], 1.0, 1, [(1, 0)])], perturb.CLUSTERS)
     s = spark.createDataFrame([(0, 0, 5, [0.0], 1.0), (0, 1, 1, [6.0], 0.0), (1, 0, 5, [10.0], 1.0)], STATS)

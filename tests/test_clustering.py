@@ -187,6 +187,18 @@ def test_equal_distances_go_to_the_first(spark):
     assert local.nearest(x, c).tolist() == [0, 2]
 
 
+def test_rounding_does_not_decide_ties(spark):
+    """A point midway between two centres goes to the first, on whichever side the last bit of a coordinate lies."""
+    far = float(np.nextafter(0.6, 0))
+    points = spark.createDataFrame([(0, i, [x]) for i, x in enumerate((0.0, far, 0.3, 0.5))], "site int, point_id long, features array<double>")
+    centers = spark.createDataFrame([(0, 0, [0.0]), (0, 1, [far])], "site int, local_id int, center array<double>")
+    want = {0: 0, 1: 1, 2: 0, 3: 1}
+    for way in (local.assign, local._assign_by_matrix):
+        assert {r.point_id: r.local_id for r in way(points, centers).collect()} == want
+    x = np.array([[r.features[0]] for r in points.orderBy("point_id").collect()])
+    assert local.first_least((x - x[:2].T) ** 2).tolist() == [0, 1, 0, 1]
+
+
 def test_repair_by_hand(spark):
     clusters = spark.createDataFrame([(0, 6, [1.0], 31.0, 2, [(0, 0), (0, 1)]), (1, 5, [10.0], 1.0, 1, [(1, 0)])], perturb.CLUSTERS)
     s = spark.createDataFrame([(0, 0, 5, [0.0], 1.0), (0, 1, 1, [6.0], 0.0), (1, 0, 5, [10.0], 1.0)], STATS)

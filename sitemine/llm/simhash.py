@@ -22,9 +22,13 @@ guarantees nothing.  Here the shingles are dealt by their hash to positions, and
 position holds the SimHash word of its few shingles: where no shingle differs the word is
 the same.  A set is filed under its words at the first ``POSITIONS`` positions, a number
 that does not grow with the text; a pair at the threshold agrees in about a third of them
-and in none with a chance below 0.0001.  In a bucket, pairs whose 256-bit fingerprints are
-within ``SIGMAS`` standard deviations of the difference expected at the threshold join
-families; inside a family every two sets are compared exactly, in blocks.  Sets of at most
+and in none with a chance below 0.0001.  A row of the index carries a byte of each of the
+first ``TALLIED`` positions.  In a bucket the positional bytes that each pair shares are
+tallied and pairs below ``LEAST`` leave: a pair at the threshold shares fifteen or more on
+average, and fewer than ``LEAST`` with a chance below 0.00001.  Of the rest, pairs whose
+256-bit fingerprints are within ``SIGMAS`` standard deviations of the difference expected
+at the threshold join families; inside a family every two sets are compared exactly, in
+blocks.  Sets of at most
 ``SHORT`` shingles are compared exactly wherever they share one of their smallest shingle
 hashes, which two similar sets always do.
 
@@ -62,6 +66,9 @@ WORDS = 4
 POSITIONS = 32
 FEWEST = 64
 CROWD = 3
+#: Positions whose bytes are tallied (all sets have so many), and the fewest shared ones of a candidate pair.
+TALLIED = FEWEST
+LEAST = 3
 #: Standard deviations by which a pair's differing bits may pass the expected number.
 SIGMAS = 4
 #: Sets of so few shingles also meet by the shingles themselves: their bits differ more than expected.
@@ -142,9 +149,9 @@ def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text: str = "text",
 
 
 def position_words(h: np.ndarray, positions: int) -> tuple[np.ndarray, np.ndarray]:
-    """(position, word): SimHash words of the shingles dealt to each of the first ``POSITIONS`` of ``positions``."""
+    """(position, word): SimHash words of the shingles dealt to each of the first ``TALLIED`` of ``positions``."""
     at = (remix(h, 7) >> np.uint64(32)) * np.uint64(positions) >> np.uint64(32)
-    own = np.flatnonzero(at < POSITIONS)
+    own = np.flatnonzero(at < TALLIED)
     own = own[np.argsort(at[own], kind="stable")]
     where, starts, sizes = np.unique(at[own], return_index=True, return_counts=True)
     if not len(where):
@@ -154,42 +161,59 @@ def position_words(h: np.ndarray, positions: int) -> tuple[np.ndarray, np.ndarra
     return where, np.packbits(2 * ones > sizes[:, None], axis=1, bitorder="little").view("<u8").ravel()
 
 
-def position_keys(h: np.ndarray, ratio: float) -> np.ndarray:
-    """Keys of a set of shingle hashes; two sets whose sizes differ by no more than ``ratio`` use the same number of positions in one filing."""
+def position_filings(h: np.ndarray, ratio: float) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(keys, positional bytes) of each filing of a set of shingle hashes; two sets whose sizes differ by no more than ``ratio`` use the same number of positions in one.
+
+    A position without shingles has the byte zero, which agrees with nothing.
+    """
     if len(h) <= ratio * SHORT:
-        return np.empty(0, np.uint64)  # its partners are short as well
+        return []  # its partners are short as well
     positions = FEWEST
     while len(h) >= CROWD * positions:
         positions *= 4
     out = []
     for many in (positions, 4 * positions) if len(h) >= ratio * CROWD * positions else (positions,):
         where, words = position_words(h, many)
-        out.append(remix(words ^ remix(np.uint64(many * POSITIONS) + where, 9), 10))
-    return np.concatenate(out)
+        octets = np.zeros(TALLIED, np.uint8)
+        octets[where] = remix(words, 11) % np.uint64(255) + np.uint64(1)
+        where, words = where[where < POSITIONS], words[where < POSITIONS]
+        out.append((remix(words ^ remix(np.uint64(many * POSITIONS) + where, 9), 10), octets))
+    return out
+
+
+def position_keys(h: np.ndarray, ratio: float) -> np.ndarray:
+    """The keys of all filings of a set of shingle hashes."""
+    return np.concatenate([np.empty(0, np.uint64), *(keys for keys, _ in position_filings(h, ratio))])
+
+
+def enough_shared(octets: np.ndarray, of: np.ndarray, least: int = LEAST) -> np.ndarray:
+    """Whether rows of positional bytes share at least so many with ``of``."""
+    return ((octets == of) & (of != 0)).sum(axis=-1) >= least
 
 
 def set_fingerprints(docs: DataFrame, *, id_col: str, text: str, shingle: int, ratio: float) -> DataFrame:
-    """(id, w0.., size, digest, keys): fingerprint words of the distinct shingles, their number, the sum of their hashes, keys of the index."""
+    """(id, w0.., size, digest, filings): fingerprint words of the distinct shingles, their number, the sum of their hashes, keys and positional bytes of the index."""
     names = [f"w{i}" for i in range(WORDS)]
     kind = dict(docs.dtypes)[id_col]
+    kind_of_filings = pa.list_(pa.struct([("keys", pa.list_(pa.int64())), ("octets", pa.binary())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            made, sizes, digests, keys = [], [], [], []
+            made, sizes, digests, filings = [], [], [], []
             for t in batch.column(1).to_pylist():
                 h = np.unique(shingle_hashes(t or b"", shingle))
                 made.append(fingerprint_of(h, WORDS))
                 sizes.append(len(h))
                 digests.append(h.sum(dtype=np.uint64))
-                keys.append(position_keys(h, ratio).view(np.int64))
+                filings.append([{"keys": keys.view(np.int64), "octets": octets.tobytes()} for keys, octets in position_filings(h, ratio)])
             signed = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), *(signed([m[i] for m in made]) for i in range(WORDS)), pa.array(sizes, pa.int64()), signed(digests), pa.array(keys, pa.list_(pa.int64()))],
-                names=["id", *names, "size", "digest", "keys"],
+                [batch.column(0), *(signed([m[i] for m in made]) for i in range(WORDS)), pa.array(sizes, pa.int64()), signed(digests), pa.array(filings, kind_of_filings)],
+                names=["id", *names, "size", "digest", "filings"],
             )
 
     rows = bounded_batches(docs).select(F.col(id_col).alias("id"), F.col(text).cast("binary").alias("text"))
-    return rows.mapInArrow(run, f"id {kind}, " + ", ".join(f"{n} long" for n in [*names, "size", "digest"]) + ", keys array<long>")
+    return rows.mapInArrow(run, f"id {kind}, " + ", ".join(f"{n} long" for n in [*names, "size", "digest"]) + ", filings array<struct<keys:array<long>,octets:binary>>")
 
 
 def exact_keys(max_bits: int = MAX_BITS) -> list[tuple[int, ...]]:
@@ -302,26 +326,37 @@ def _link_batch(found: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
 
 
 def family_links(nodes: DataFrame, max_bits: int) -> DataFrame:
-    """(a, b): a spanning forest of every bucket of (node, w0.., keys), of pairs whose fingerprints differ in at most ``max_bits``."""
+    """(a, b): a spanning forest of every bucket of (node, w0.., keys, octets), a row a filing, of pairs that share ``LEAST`` positional bytes and whose fingerprints differ in at most ``max_bits``.
+
+    Rows without octets are compared by their fingerprints alone.
+    """
     names = [f"w{i}" for i in range(WORDS)]
+    carried = [*names, *(["octets"] if "octets" in nodes.columns else [])]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table, bounds in runs(batches):
             size = np.diff(bounds)
             nodes = table.column("node").to_numpy()
             prints = np.stack([table.column(n).to_numpy() for n in names], axis=1).view(np.uint64)
-            close = lambda x, y: np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64) <= max_bits
+            octets = np.frombuffer(b"".join(table.column("octets").to_pylist()), np.uint8).reshape(-1, TALLIED) if len(carried) > WORDS else None
+
+            def close(x: np.ndarray, y: np.ndarray | int) -> np.ndarray:
+                out = np.ones(len(x), bool) if octets is None else enough_shared(octets[x], octets[y])  # noqa: B023
+                y = y[out] if np.ndim(y) else y
+                out[out] = np.bitwise_count(prints[x[out]] ^ prints[y]).sum(axis=1, dtype=np.int64) <= max_bits  # noqa: B023
+                return out
+
             two = bounds[:-1][size == 2]
-            two = two[close(prints[two], prints[two + 1])]
+            two = two[close(two, two + 1)]
             found = [(nodes[two], nodes[two + 1])]
             for i in np.flatnonzero(size > 2):
-                mine = prints[bounds[i] : bounds[i + 1]]
-                found += forest(nodes[bounds[i] : bounds[i + 1]], lambda left, at, mine=mine: close(mine[left], mine[at]))
+                low = bounds[i]
+                found += forest(nodes[low : bounds[i + 1]], lambda left, at, low=low: close(low + left, low + at))
             if sum(len(x) for x, _ in found):
                 yield _link_batch(found)
 
-    dealt = deal(lambda some: some.select(F.explode("keys").alias("key"), "node", *names), nodes)
-    return dealt.select("key", "bi", "bj", "node", *names).mapInArrow(run, "a long, b long")
+    dealt = deal(lambda some: some.select(F.explode("keys").alias("key"), "node", *carried), nodes)
+    return dealt.select("key", "bi", "bj", "node", *carried).mapInArrow(run, "a long, b long")
 
 
 def prefix(hashes: np.ndarray, ratio: float) -> np.ndarray:
@@ -408,14 +443,14 @@ def similar_texts(
     nodes = materialise(prints.groupBy(*names, "size", "digest").agg(F.min("id").cast("long").alias("node")))
     share, bits = similarity_bits(similarity, measure), 64 * WORDS
     max_bits = math.floor(bits * share + SIGMAS * math.sqrt(bits * share * (1 - share)))
-    own = prints.select(F.col("id").cast("long").alias("node"), *names, "keys").where(F.size("keys") > 0)
+    own = prints.select(F.col("id").cast("long").alias("node"), *names, F.explode("filings").alias("filing")).select("node", *names, "filing.keys", "filing.octets")
     ids = broadcast_if_small(nodes.where(F.col("node").isNotNull()).select("node"), ID_ROWS)
     families = connected_components(family_links(own.join(ids, "node", "left_semi"), max_bits)).select("node", F.col("component").alias("family"))
     short = nodes.where((F.col("size") <= SHORT) & F.col("node").isNotNull()).select("node", F.lit(None).cast("long").alias("family"))
     wanted = materialise(families.union(short).groupBy("node").agg(F.max("family").alias("family")))
     own = bounded_batches(docs).select(F.col(id_col).alias("own_id"), F.col(text).alias("text"))
     texts = own.join(broadcast_if_small(wanted, ID_ROWS), F.col("own_id") == F.col("node")).select("node", "family", "text")
-    prints = prints.drop("keys")
+    prints = prints.drop("filings")
     return _with_components(prints, nodes, connected_components(set_links(texts, shingle, similarity, measure)), [*names, "size", "digest"]).drop("size", "digest")
 
 

@@ -202,6 +202,31 @@ class TestSimhash:
         nodes = spark.createDataFrame(prints, "node long, keys array<long>, " + ", ".join(f"w{i} long" for i in range(4)))
         assert {(r.a, r.b) for r in simhash.family_links(nodes, 60).collect()} == {(3, 2)}
 
+    def test_pairs_of_too_few_shared_positional_bytes_leave(self, spark):
+        octets = [bytes(range(1, 65)), bytes([1, 2]) + bytes(62), bytes([1, 2, 3]) + bytes(61)]
+        nodes = spark.createDataFrame([(i, [5], bytearray(o), 1, 2, 3, 4) for i, o in enumerate(octets)], "node long, keys array<long>, octets binary, " + ", ".join(f"w{i} long" for i in range(4)))
+        assert {(r.a, r.b) for r in simhash.family_links(nodes.where("node < 2"), 60).collect()} == set()
+        assert {(r.a, r.b) for r in simhash.family_links(nodes, 60).collect()} == {(2, 0)}
+
+    @pytest.mark.parametrize("measure", ["jaccard", "cosine"])
+    def test_tally_keeps_similar_pairs_and_drops_others(self, measure):
+        """Of pairs just at the threshold every one that meets passes the tally of positional bytes; unrelated sets share too few."""
+        rng = np.random.default_rng(13)
+        ratio, passed = simhash.size_ratio(0.8, measure), []
+        for n in (33, 60, 130, 193, 300, 760, 3100):
+            for turn in range(60):
+                smaller = n if turn % 2 else round(n * (1 + ratio) / 2)
+                need = 0.8 / 1.8 * (n + smaller) if measure == "jaccard" else 0.8 * (n * smaller) ** 0.5
+                shared = min(smaller, int(need) + 1)
+                made = np.unique(rng.integers(0, 2**64, 2 * n + smaller, np.uint64))
+                rng.shuffle(made)
+                a, b, c = np.sort(made[:n]), np.sort(np.concatenate([made[:shared], made[n : n + smaller - shared]])), np.sort(made[n + smaller :])
+                x, y, z = (simhash.position_filings(s, ratio) for s in (a, b, c))
+                met = [simhash.enough_shared(p, q) for k, p in x for m, q in y if np.intersect1d(k, m).size]
+                assert met and all(met), (n, turn)
+                passed += [simhash.enough_shared(p, q) for (_, p), (_, q) in zip(x, z, strict=True)]
+        assert np.mean(passed) < 0.02
+
     @pytest.mark.parametrize("measure", ["jaccard", "cosine"])
     def test_similar_pairs_meet_whatever_their_size(self, measure):
         """Brute force of the index: of pairs just at the threshold nearly all share a key, at every size and size ratio."""

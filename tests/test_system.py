@@ -8,6 +8,7 @@ import sys
 from pathlib import Path
 
 import pytest
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import functions as F
 
 import __spark_entry__
@@ -102,6 +103,37 @@ def test_event_log(spark, tmp_path):
     assert files.first_task_latency(spark, str(tmp_path / "log")) == 2.5
 
 
+def test_observed_times_outlive_forgotten_stages(spark):
+    """Stages that were skipped leave the status store first; the tasks of a run are read without them."""
+    context = spark.sparkContext
+    tracker, store = context.statusTracker(), context._jsc.sc().statusStore()
+
+    def skips(group):
+        with cost.stage(spark, group):
+            pairs = context.parallelize(range(40), 2).map(lambda i: (i % 3, 1)).reduceByKey(lambda a, b: a + b, 2)
+            pairs.count()
+            pairs.count()  # its first stage is skipped
+        ids = {s for j in tracker.getJobIdsForGroup(group) for s in tracker.getJobInfo(j).stageIds}
+        times = sorted(cost.observed_times(spark, "r", {"all": group}).collect())
+        assert len(times) == 6
+        return (ids - {int(r.stage.split(":")[1]) for r in times}).pop(), times
+
+    def forgotten(stage):
+        rdd = context._jsc.parallelize(context._jvm.java.util.ArrayList(), 1)
+        for _ in range(1500):
+            rdd.count()
+            context._jsc.sc().listenerBus().waitUntilEmpty()
+            try:
+                store.lastStageAttempt(stage)
+            except Py4JJavaError:
+                return True
+        return False
+
+    assert forgotten(skips("filler")[0])  # the store is full
+    skipped, times = skips("observed")
+    assert forgotten(skipped) and sorted(cost.observed_times(spark, "r", {"all": "observed"}).collect()) == times
+
+
 def test_site_keys(spark, sf):
     df = spark.createDataFrame([(7, "b"), (12, "a"), (3, "b")], "k long, v string")
     assert [r[0] for r in df.select(sites.by_hash(F.col("k"), 5)).collect()] == [2, 2, 3]

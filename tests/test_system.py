@@ -7,8 +7,10 @@ import subprocess
 import sys
 from pathlib import Path
 
+import duckdb
 import pytest
 from py4j.protocol import Py4JJavaError
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 import __spark_entry__
@@ -38,6 +40,24 @@ def test_core_stands_alone(tmp_path):
     assert said.returncode == 0, said.stderr[-1500:]
 
 
+LINE_QUERIES = ("gain_table", "link_matrix", "link_worst_transfer", "overhead_table", "stage_counts")
+
+
+@pytest.mark.parametrize("name", [*LINE_QUERIES, "site_sweep", "vmerge_planted", "workflow_latency"])
+def test_cost_queries_need_their_table(spark, tmp_path, name):
+    with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
+        __spark_entry__.queries()[name](spark, str(tmp_path)).collect()
+
+
+@pytest.mark.parametrize("name", LINE_QUERIES)
+def test_cost_queries_equal_their_sql(spark, sf, name):
+    con = duckdb.connect()
+    con.execute(f"create view lineitem as select * from '{sf}/lineitem.parquet'")
+    made = con.execute(__spark_entry__.oracle_sql()[name])
+    got = __spark_entry__.queries()[name](spark, sf)
+    assert got.columns == [c[0] for c in made.description] and sorted(map(tuple, got.collect())) == sorted(made.fetchall())
+
+
 def test_flagship(spark):
     assert __spark_entry__.entry(spark).columns == ["itemset", "size", "support"]
 
